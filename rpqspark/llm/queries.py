@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, packing, simhash, substrings, suffixes
+from . import bpe, neighbours, packing, products, simhash, substrings, suffixes
 from .common import read
 
 
@@ -17,6 +17,10 @@ def op2_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substrings.repeated_words(read(spark, sf_dir, "documents"), digest=True)
 
 
+def op3_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neighbours.nearest(read(spark, sf_dir, "embeddings"))
+
+
 def op5_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_decode(read(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"), digest=True)
 
@@ -25,6 +29,10 @@ def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.best_fit(read(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op8_products(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return products.largest(read(spark, sf_dir, "embeddings"))
+
+
 def op10_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffixes.repeated_bytes(read(spark, sf_dir, "documents"), digest=True)
 
@@ -33,7 +41,9 @@ def queries() -> dict:
     return {
         "op1_simhash": op1_simhash,
         "op2_substrings": op2_substrings,
+        "op3_neighbours": op3_neighbours,
         "op5_bpe": op5_bpe,
         "op6_packing": op6_packing,
+        "op8_products": op8_products,
         "op10_suffixes": op10_suffixes,
     }
