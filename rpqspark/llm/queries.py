@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, neighbours, packing, products, simhash, substrings, suffixes
+from . import bpe, neighbours, packing, products, secrets, simhash, substrings, suffixes
 from .common import read
 
 
@@ -33,6 +33,10 @@ def op8_products(spark: SparkSession, sf_dir: str) -> DataFrame:
     return products.largest(read(spark, sf_dir, "embeddings"))
 
 
+def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.scan(read(spark, sf_dir, "documents"))
+
+
 def op10_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffixes.repeated_bytes(read(spark, sf_dir, "documents"), digest=True)
 
@@ -45,5 +49,6 @@ def queries() -> dict:
         "op5_bpe": op5_bpe,
         "op6_packing": op6_packing,
         "op8_products": op8_products,
+        "op9_secrets": op9_secrets,
         "op10_suffixes": op10_suffixes,
     }
