@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, neighbours, packing, products, secrets, simhash, substrings, suffixes
+from . import bpe, neighbours, packing, pages, products, quality, secrets, simhash, substrings, suffixes
 from .common import read
 
 
@@ -21,6 +21,10 @@ def op3_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neighbours.nearest(read(spark, sf_dir, "embeddings"))
 
 
+def op4_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.score(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
+
+
 def op5_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_decode(read(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"), digest=True)
 
@@ -29,6 +33,10 @@ def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.best_fit(read(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op7_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pages.extract(read(spark, sf_dir, "pages"))
+
+
 def op8_products(spark: SparkSession, sf_dir: str) -> DataFrame:
     return products.largest(read(spark, sf_dir, "embeddings"))
 
@@ -41,14 +49,23 @@ def op10_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffixes.repeated_bytes(read(spark, sf_dir, "documents"), digest=True)
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict:
     return {
         "op1_simhash": op1_simhash,
         "op2_substrings": op2_substrings,
         "op3_neighbours": op3_neighbours,
+        "op4_quality": op4_quality,
         "op5_bpe": op5_bpe,
         "op6_packing": op6_packing,
+        "op7_pages": op7_pages,
         "op8_products": op8_products,
         "op9_secrets": op9_secrets,
         "op10_suffixes": op10_suffixes,
+        "pipeline": pipeline,
     }

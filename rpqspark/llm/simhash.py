@@ -162,3 +162,16 @@ def groups(docs: DataFrame) -> DataFrame:
     least = named.groupBy("root").agg(F.min("doc").alias("component_id"))
     of = stage.save(named.join(least, "root").select("fp", "component_id"), "of")
     return prints.join(of, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def one_of_each(docs: DataFrame) -> DataFrame:
+    """docs with one row of each group of near duplicates: the one whose doc_id names it.
+
+    Of rows that share this doc_id, one stays (the smallest fingerprint, then the
+    smallest text); a group without ids keeps one row likewise.
+    """
+    named = groups(docs).filter("doc_id <=> component_id").select("doc_id", "fingerprint", "component_id")
+    # One fingerprint for each component; a doc_id may stand on several rows.
+    chosen = named.groupBy("component_id").agg(F.min("fingerprint").alias("_fingerprint"))
+    rows = docs.alias("d").join(chosen.alias("c"), F.expr("d.doc_id <=> c.component_id")).select("d.*")
+    return rows.dropDuplicates(["doc_id"])

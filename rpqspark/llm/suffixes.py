@@ -17,6 +17,7 @@ import hashlib
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from . import anchors, common
 
@@ -156,3 +157,24 @@ def repeated_bytes(docs: DataFrame, digest: bool = False) -> DataFrame:
             yield common.batch(schema, b.column(0), *zip(*rows)) if rows else common.batch(schema, [], [], [], [], [])
 
     return anchors.with_spans(keyed, spans).mapInArrow(work, f"doc_id long, n_bytes long, n_removed long, n_spans long, {last[0]} {'string' if digest else 'binary'}")
+
+
+def without_repeats(docs: DataFrame) -> DataFrame:
+    """docs with the repeated bytes of ``text`` cut out; other columns stay.
+
+    Bytes that are left of a character cut in two are dropped with it. Null text
+    stays null.
+    """
+    keyed, spans = anchors.repeats(docs, RULE, "suffixes")
+    at, names = docs.columns.index("text"), docs.columns
+    common.small_batches(docs.sparkSession)
+    whole = docs.withColumn("_h", F.hash("text")).alias("d").join(spans.alias("s"), F.expr("d.doc_id <=> s.doc_id and d._h = s.h"), "left")
+    rows = whole.select(*[F.col(f"d.`{n}`") for n in names], F.col("s.spans").alias("_spans"))
+
+    def work(batches):
+        for b in batches:
+            texts = [t.as_py() if (v := s.as_py()) is None or t.as_py() is None else _kept(t.as_py().encode(), v)[0].decode("utf-8", "ignore") for t, s in zip(b.column(at), b.column(len(names)))]
+            arrays = [pa.array(texts, pa.string()) if i == at else b.column(i) for i in range(len(names))]
+            yield pa.RecordBatch.from_arrays(arrays, names=names)
+
+    return rows.mapInArrow(work, docs.schema)

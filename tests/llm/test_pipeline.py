@@ -1,0 +1,40 @@
+"""The pipeline over sf0.01, each stage held against a plain form of its rule."""
+
+import re
+
+import corpus_pipeline
+from rpqspark.llm import common
+
+
+def test_stages_and_whole_run(spark, sf_dir):
+    sf_dir = sf_dir.replace("0.001", "0.01")
+    docs = common.read(spark, sf_dir, "documents")
+    given = {r.doc_id: r for r in docs.collect()}
+    kept = []
+    for k, (_, f) in enumerate(corpus_pipeline.STAGES[:-1]):
+        out = common.Stage(spark, "test").save(f(spark, docs, sf_dir), f"s{k}")
+        assert out.columns == docs.columns
+        docs = out
+        kept.append({r.doc_id: r for r in docs.collect()})
+    labels = {r.doc_id: r for r in common.read(spark, sf_dir, "labels").collect()}
+    clean = [i for i, r in labels.items() if r.quality == 1 and r.toxic == 0]
+    assert sum(i in kept[0] for i in clean) >= 0.98 * len(clean)
+    bad = [i for i, r in labels.items() if r.quality == 0 or r.toxic == 1]
+    assert sum(i not in kept[0] for i in bad) >= 0.85 * len(bad)
+    assert all(kept[0][i] == given[i] for i in kept[0])
+    texts = [r.text for r in kept[1].values()]
+    assert len(set(texts)) == len(texts) and all(kept[0][i] == r for i, r in kept[1].items())
+    assert set(kept[2]) == set(kept[1]) == set(kept[3])
+    assert not any(re.search("AKIA[A-Z0-9]{16}", r.text or "") for r in kept[3].values())
+    pieces = corpus_pipeline.run(spark, sf_dir).collect()
+    assert {r.doc_id for r in pieces} == set(kept[3])
+
+
+def test_one_of_each_with_odd_rows(spark, docs_of):
+    from rpqspark.llm import simhash
+
+    ids = [5, 3, 3, None, 9, 2]
+    rows = docs_of(["a b c d", "a b c d", "a b c d", "zz yy xx ww vv", None, ""], ids)
+    got = simhash.one_of_each(rows).collect()
+    assert sorted(str(r.doc_id) for r in got) == ["2", "3", "None"]
+    assert got[0].asDict().keys() == rows.first().asDict().keys()
