@@ -57,7 +57,7 @@ def salted_join(spark, sf_dir, salts: int = 8):
 
 def pivot(spark, sf_dir):
     o, = _t(spark, sf_dir, "orders")
-    return o.groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O", "P"]).agg(F.count("*")).na.fill(0).select("o_orderpriority", *[F.col(k).alias(f"n_{k.lower()}") for k in "FOP"])
+    return o.groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O", "P"]).agg(F.count(F.lit(1))).na.fill(0).select("o_orderpriority", *[F.col(k).alias(f"n_{k.lower()}") for k in "FOP"])
 
 
 def stratified(spark, sf_dir):
@@ -100,16 +100,16 @@ ENTRIES: dict[str, tuple] = {
     "ops_min_by": _views("SELECT user_id, min_by(event_id, ts) AS first_event, max_by(event_id, ts) AS last_event FROM events GROUP BY user_id"),
     "ops_count_distinct": _views("SELECT l_linestatus, count(DISTINCT l_partkey) AS parts, count(DISTINCT l_suppkey) AS suppliers FROM lineitem GROUP BY l_linestatus"),
     "ops_approx_distinct": (lambda s, d: table(s, d, "lineitem").agg((F.abs(F.approx_count_distinct("l_partkey", 0.02) / F.countDistinct("l_partkey") - 1) < 0.1).alias("near")), "SELECT true AS near"),
-    "ops_count_if": (lambda s, d: table(s, d, "orders").groupBy("o_orderpriority").agg(F.count_if("o_totalprice > 100000").alias("n")), "SELECT o_orderpriority, count(*) FILTER (WHERE o_totalprice > 100000) AS n FROM orders GROUP BY o_orderpriority"),
+    "ops_count_if": (lambda s, d: table(s, d, "orders").groupBy("o_orderpriority").agg(F.count_if(F.col("o_totalprice") > 100000).alias("n")), "SELECT o_orderpriority, count(*) FILTER (WHERE o_totalprice > 100000) AS n FROM orders GROUP BY o_orderpriority"),
     "ops_percentile": (lambda s, d: table(s, d, "lineitem").groupBy("l_returnflag").agg(F.round(F.percentile("l_quantity", F.lit(0.5)), 6).alias("median")), "SELECT l_returnflag, round(quantile_cont(l_quantity, 0.5), 6) AS median FROM lineitem GROUP BY l_returnflag"),
     "ops_collect_set": (lambda s, d: table(s, d, "events").groupBy("user_id").agg(F.array_join(F.sort_array(F.collect_set("event_type")), ",").alias("kinds")), "SELECT user_id, string_agg(DISTINCT event_type, ',' ORDER BY event_type) AS kinds FROM events GROUP BY user_id"),
     "ops_rollup": (lambda s, d: table(s, d, "orders").rollup("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")), "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY ROLLUP (o_orderstatus, o_orderpriority)"),
     "ops_cube": (lambda s, d: table(s, d, "orders").cube("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")), "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)"),
     "ops_grouping_sets": _views("SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())"),
     "ops_pivot": (pivot, "SELECT o_orderpriority, count(*) FILTER (WHERE o_orderstatus = 'F') AS n_f, count(*) FILTER (WHERE o_orderstatus = 'O') AS n_o, count(*) FILTER (WHERE o_orderstatus = 'P') AS n_p FROM orders GROUP BY o_orderpriority"),
-    "ops_ranks": _views("SELECT p_partkey, row_number() OVER (PARTITION BY p_brand ORDER BY p_size, p_partkey) AS rn, rank() OVER (PARTITION BY p_brand ORDER BY p_size) AS rk, dense_rank() OVER (PARTITION BY p_brand ORDER BY p_size) AS dr, ntile(4) OVER (PARTITION BY p_brand ORDER BY p_size, p_partkey) AS quarter FROM part"),
+    "ops_ranks": _views("SELECT p_partkey, CAST(row_number() OVER (PARTITION BY p_brand ORDER BY p_size, p_partkey) AS BIGINT) AS rn, CAST(rank() OVER (PARTITION BY p_brand ORDER BY p_size) AS BIGINT) AS rk, CAST(dense_rank() OVER (PARTITION BY p_brand ORDER BY p_size) AS BIGINT) AS dr, CAST(ntile(4) OVER (PARTITION BY p_brand ORDER BY p_size, p_partkey) AS BIGINT) AS quarter, round(percent_rank() OVER (PARTITION BY p_brand ORDER BY p_size), 9) AS share FROM part"),
     "ops_lag_lead": _views("SELECT event_id, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before, lead(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS after FROM events"),
-    "ops_running": _views("SELECT conv_id, turn, sum(length(text)) OVER (PARTITION BY conv_id ORDER BY turn ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS letters, first_value(role) OVER (PARTITION BY conv_id ORDER BY turn) AS opener FROM conversations"),
+    "ops_running": _views("SELECT conv_id, turn, CAST(sum(length(text)) OVER (PARTITION BY conv_id ORDER BY turn ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS BIGINT) AS letters, first_value(role) OVER (PARTITION BY conv_id ORDER BY turn) AS opener FROM conversations"),
     "ops_range_window": _views("SELECT p_partkey, count(*) OVER (PARTITION BY p_brand ORDER BY p_size RANGE BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS near FROM part"),
     "ops_top_k": _views("SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10"),
     "ops_offset": _views("SELECT o_orderkey FROM orders ORDER BY o_orderkey LIMIT 10 OFFSET 20"),
@@ -122,7 +122,7 @@ ENTRIES: dict[str, tuple] = {
     "ops_strings": (lambda s, d: table(s, d, "part").select("p_partkey", F.lower("p_name").alias("a"), F.regexp_replace("p_type", "[AEIOU]", "_").alias("b"), F.substring_index("p_brand", "#", -1).alias("c"), F.translate("p_name", "abc", "xyz").alias("d"), F.regexp_extract("p_brand", "([0-9]+)", 1).alias("e")), "SELECT p_partkey, lower(p_name) AS a, regexp_replace(p_type, '[AEIOU]', '_', 'g') AS b, string_split(p_brand, '#')[-1] AS c, translate(p_name, 'abc', 'xyz') AS d, regexp_extract(p_brand, '([0-9]+)', 1) AS e FROM part"),
     "ops_dates": (lambda s, d: table(s, d, "events").groupBy(F.date_format(F.date_trunc("day", "ts"), "yyyy-MM-dd").alias("day")).agg(F.count("*").alias("n")), "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, count(*) AS n FROM events GROUP BY 1"),
     "ops_math": (lambda s, d: table(s, d, "part").select("p_partkey", F.ceil(F.log2(F.col("p_size") + 1)).cast("long").alias("bits"), F.pmod(F.col("p_size") - 25, F.lit(7)).cast("long").alias("m"), F.round("p_retailprice", 1).alias("r")), "SELECT p_partkey, ceil(log2(p_size + 1))::BIGINT AS bits, (((p_size - 25) % 7 + 7) % 7)::BIGINT AS m, round(p_retailprice, 1) AS r FROM part"),
-    "ops_arrays": (arrays, "SELECT page_id, array_to_string(list_reverse(a), '.') AS turned, list_sum(list_transform(a, x -> length(x)))::BIGINT AS letters, len(list_filter(a, x -> length(x) > 3))::BIGINT AS longer, list_contains(a, 'example') AS example, array_to_string(a[-2:], '.') AS tail FROM (SELECT page_id, string_split(regexp_extract(url, 'https?://([^/]+)', 1), '.') AS a FROM pages)"),
+    "ops_arrays": (arrays, "SELECT page_id, array_to_string(list_reverse(a), '.') AS turned, list_sum([length(x) for x in a])::BIGINT AS letters, len([x for x in a if length(x) > 3])::BIGINT AS longer, list_contains(a, 'example') AS example, array_to_string(a[-2:], '.') AS tail FROM (SELECT page_id, string_split(regexp_extract(url, 'https?://([^/]+)', 1), '.') AS a FROM pages)"),
     "ops_maps": (maps, "SELECT user_id, count(*) FILTER (WHERE event_type = 'click') AS clicks, count(DISTINCT event_type) AS kinds FROM events GROUP BY user_id"),
     "ops_json": (lambda s, d: table(s, d, "events").select("event_id", F.get_json_object("props", "$.k").cast("int").alias("k"), F.from_json("props", "k int")["k"].alias("j")), """SELECT event_id, CAST(regexp_extract(props, '"k": *([0-9]+)', 1) AS INT) AS k, CAST(regexp_extract(props, '"k": *([0-9]+)', 1) AS INT) AS j FROM events"""),
 }

@@ -300,13 +300,12 @@ def oracle_sql() -> dict[str, str]:
     for name, i in {"rpq_frontier_to": "w02b", "rpq_frontier_from": "w05", "rpq_frontier_pairs": "w13", "rpq_frontier_objects": "w13", "rpq_frontier_wide": "w17", "rpq_frontier_found": "w21", "rpq_frontier_meet": "w21", "rpq_no_fast_path": "w08", "rpq_no_pruning": "w01", "base_product": "w01", "base_materialised": "w05", "base_subset": "w05", "base_epsilon": "w05", "base_operators": "w13", "base_per_node": "w17", "base_recursive_sql": "w05", "stream_incremental": "w01"}.items():
         out[name] = oracle.of(i)
     parent = _pairs("web", "0 parent 1, 1 parent 1", "1")
-    lead = "SELECT DISTINCT r.origin AS s FROM reach r"
     out |= {
         "rpq_useful_sources": _pairs("web", "0 on_host 1, 1 parent 2, 2 parent 2", "2", "SELECT DISTINCT origin AS node"),
         "rpq_from_set": _pairs("web", "0 on_host 1, 1 parent 1", "1", "SELECT DISTINCT origin AS s", where="AND node IN ('host:com', 'host:org')"),
         "rpq_node_filter": f"WITH g AS ({g['web']}) SELECT DISTINCT a.s FROM g a JOIN g b ON a.o = b.s AND b.p = 'parent' JOIN g c ON b.o = c.s AND c.p = 'parent' WHERE a.p = 'on_host' AND c.o = 'host:com' AND regexp_matches(a.o, '^host:[a-m]')",
         "rpq_must_pass": "SELECT DISTINCT 'order:' || o_orderkey AS s, 'region:' || n_regionkey AS o FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey WHERE n_nationkey = 3",
-        "rpq_negated": oracle.recursion("pulse", "0 click_1 0", "0", None, "user:7", "SELECT DISTINCT g.s FROM reach r JOIN reach r2 ON true JOIN g ON g.o = r2.node WHERE false").replace("SELECT DISTINCT g.s FROM reach r JOIN reach r2 ON true JOIN g ON g.o = r2.node WHERE false", "SELECT DISTINCT a.s FROM g a JOIN g b ON a.o = b.s AND b.p = 'click_1' JOIN reach ON reach.node = b.o WHERE a.p NOT IN ('error_3', 'click_1')"),
+        "rpq_negated": oracle.recursion("pulse", "0 click_1 0", "0", None, "user:7", "SELECT DISTINCT a.s FROM g a JOIN g b ON a.o = b.s AND b.p = 'click_1' JOIN reach ON reach.node = b.o WHERE a.p NOT IN ('error_3', 'click_1')"),
         "rpq_same_variable": f"WITH g AS ({g['flow']}) SELECT DISTINCT a.s FROM g a JOIN g b ON a.o = b.s AND b.o = a.s WHERE a.p = 'error' AND b.p = 'click'",
         "rpq_rare_split": _pairs("web", "0 on_host 1, 1 parent 2, 2 parent 2", "2"),
         "rpq_next_solution": _pairs("web", "0 on_host 1, 1 parent 1", "1", "SELECT min(origin) AS value", where="AND node = 'host:com' AND origin >= 'page:5'"),
@@ -322,7 +321,7 @@ def oracle_sql() -> dict[str, str]:
         "base_semi_naive": parent,
         "base_squaring": parent,
         "base_joins": "SELECT 'customer:' || c AS s, count(*) AS paths, count(DISTINCT p) AS parts FROM (SELECT DISTINCT o_custkey AS c, o_orderkey AS k, l_partkey AS p FROM orders JOIN lineitem ON o_orderkey = l_orderkey) GROUP BY c",
-        "index_columns": f"SELECT * FROM (VALUES {rows}) t(col, pos, symbol, rank, start)",
+        "index_columns": f"SELECT col, pos::BIGINT AS pos, symbol::BIGINT AS symbol, rank::BIGINT AS rank, start::BIGINT AS start FROM (VALUES {rows}) t(col, pos, symbol, rank, start)",
         "index_triples": f"SELECT s, p, o FROM ({g['chat']})",
         "index_backward": f"SELECT o, p, count(*) AS n FROM ({g['web']}) GROUP BY o, p",
         "encode_edges": f"SELECT s, p, o FROM ({g['chat']})",
@@ -336,6 +335,5 @@ def oracle_sql() -> dict[str, str]:
         "stream_purchases": "SELECT c.user_id, c.event_id AS click, p.event_id AS purchase FROM events c JOIN events p ON c.user_id = p.user_id AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 1 HOUR WHERE c.event_type = 'click' AND p.event_type = 'purchase'",
         "stream_deduplicated": "SELECT DISTINCT event_id FROM events",
     }
-    del lead
     out |= {f"automaton_{n}": words_sql(n) for n in WORDS}
     return out | {n: e[1] for n, e in ENTRIES.items()}

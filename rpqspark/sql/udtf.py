@@ -4,12 +4,14 @@ from __future__ import annotations
 
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import udf, udtf
+from pyspark.sql.types import BooleanType, IntegerType, StringType, StructType
 
 from ..automaton import position
 from ..lang.parser import parse
 
 
-@udtf(returnType="position int, label string, inverse boolean, first boolean, last boolean")
+# Types are objects, not text: text would need a session at import.
+@udtf(returnType=StructType().add("position", IntegerType()).add("label", StringType()).add("inverse", BooleanType()).add("first", BooleanType()).add("last", BooleanType()))
 class RpqParse:
     """Positions of a path and their labels."""
 
@@ -20,7 +22,7 @@ class RpqParse:
                 yield q, name, inverse, q in n.first, q in n.last
 
 
-@udtf(returnType="state int, label string, inverse boolean, target int")
+@udtf(returnType=StructType().add("state", IntegerType()).add("label", StringType()).add("inverse", BooleanType()).add("target", IntegerType()))
 class RpqTransitions:
     """Transitions of a path's automaton; state 0 is the initial one."""
 
@@ -32,7 +34,7 @@ class RpqTransitions:
                     yield q, name, inverse, t
 
 
-@udtf(returnType="s string, o string")
+@udtf(returnType=StructType().add("s", StringType()).add("o", StringType()))
 class RpqLocal:
     """Answers on a tiny graph that a row carries, as arrays of sources, labels and targets."""
 
@@ -55,7 +57,7 @@ class RpqLocal:
                 yield x, v
 
 
-@udf("boolean", useArrow=True)
+@udf(BooleanType(), useArrow=True)
 def rpq_accepts(word, path):
     """Whether a list of forward labels spells a word of the path."""
     if word is None or path is None:
