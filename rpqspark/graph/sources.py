@@ -107,6 +107,38 @@ def docs(spark: SparkSession, sf_dir: str) -> Graph:
     ])
 
 
+#: Vectors that knn compares with one another at most; they are sent to every task.
+KNN_VECTORS = 100_000
+
+
+def knn(spark: SparkSession, sf_dir: str, k: int = 5) -> Graph:
+    """Each vector and its k nearest by cosine, ties to the smaller id. For small tables:
+    the vectors are broadcast, and more than ``KNN_VECTORS`` are refused."""
+    import numpy as np
+    import pyarrow as pa
+
+    t = table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"), "label")
+    rows = t.limit(KNN_VECTORS + 1).toArrow()
+    if rows.num_rows > KNN_VECTORS:
+        raise ValueError(f"knn takes {KNN_VECTORS} vectors at most")
+    ids, x = rows.column("vec_id").to_numpy(), np.array(rows.column("v").to_pylist(), float)
+    sent = spark.sparkContext.broadcast((ids, x / np.linalg.norm(x, axis=1, keepdims=True)))
+    schema = pa.schema([("a", pa.int64()), ("label", pa.int32()), ("b", pa.int64())])
+
+    def work(batches):
+        ids, unit = sent.value
+        for b in batches:
+            own = np.array(b.column(1).to_pylist(), float)
+            cosine = own @ unit.T / np.linalg.norm(own, axis=1, keepdims=True)
+            for i, name, row in zip(b.column(0).to_pylist(), b.column(2).to_pylist(), cosine):
+                order = np.lexsort((ids, -row))
+                best = [j for j in ids[order[: k + 1]].tolist() if j != i][:k]
+                yield pa.RecordBatch.from_arrays([pa.array([i] * len(best), pa.int64()), pa.array([name] * len(best), pa.int32()), pa.array(best, pa.int64())], schema=schema)
+
+    near = t.mapInArrow(work, "a long, label int, b long")
+    return _union([_edges(near, _node("vec", "a"), F.concat(F.lit("near_"), F.col("label").cast("string")), _node("vec", "b"))])
+
+
 # The edges of the worked example.
 METRO = [("UCh", "l1", "Baq"), ("LH", "l1", "UCh"), ("SA", "l2", "LH"), ("BA", "l5", "Baq"), ("BA", "l5", "SA"), ("SA", "bus", "UCh"), ("BA", "bus", "SA"), ("UCh", "bus", "BA")]
 
@@ -117,7 +149,7 @@ def metro(spark: SparkSession, sf_dir: str | None = None) -> Graph:
     return Graph(spark.createDataFrame(METRO + both, "s string, p string, o string"))
 
 
-GRAPHS = {"trade": trade, "flow": flow, "pulse": pulse, "web": web, "chat": chat, "succ": succ, "docs": docs, "metro": metro}
+GRAPHS = {"trade": trade, "flow": flow, "pulse": pulse, "web": web, "chat": chat, "succ": succ, "docs": docs, "knn": knn, "metro": metro}
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> Graph:

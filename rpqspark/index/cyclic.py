@@ -55,6 +55,17 @@ class CyclicIndex:
         got = met.groupBy("b", "e", "symbol").agg(F.min("rank").alias("lo"), F.max("rank").alias("hi"))
         return got.join(self.starts[col], "symbol").select("b", "e", "symbol", (F.col("start") + F.col("lo")).alias("nb"), (F.col("start") + F.col("hi")).alias("ne"))
 
+    def range_of(self, s: int, p: int | None = None) -> DataFrame:
+        """(b, e): positions in L_o of the triples with subject s, or with s and p.
+
+        With a label: the label's range in L_s by the counts, then one backward step by s.
+        """
+        nodes = self.columns["o"].sparkSession.createDataFrame([(s if p is None else p,)], "node long")
+        block = self.object_range(nodes, "s" if p is None else "p").select("b", "e")
+        if p is None:
+            return block
+        return self.backward(block.withColumn("symbol", F.lit(s).cast("long")), "s").select(F.col("nb").alias("b"), F.col("ne").alias("e"))
+
     def object_range(self, nodes: DataFrame, col: str = "o") -> DataFrame:
         """(node, b, e): the range of L_p of the triples with this object, from the counts alone."""
         s = self.starts[col]

@@ -221,7 +221,7 @@ def incremental(spark, sf_dir):
 
 
 def queries() -> dict[str, Query]:
-    out: dict[str, Query] = {f"graph_{n}": on_graph(n, lambda g: g.edges) for n in ("trade", "flow", "pulse", "web", "chat", "succ", "docs")}
+    out: dict[str, Query] = {f"graph_{n}": on_graph(n, lambda g: g.edges) for n in ("trade", "flow", "pulse", "web", "chat", "succ", "docs", "knn")}
     out |= {f"rpq_{i}": workload(i) for i in QUERIES}
     one = lambda q: {"s": q.s, "o": q.o}
     out |= {
@@ -280,6 +280,9 @@ def queries() -> dict[str, Query]:
         "stream_deduplicated": streamed(lambda e: stream.deduplicated(e, "60 days").select("event_id"), "dedup"),
         "stream_matches": streamed(lambda e: stream.matches(e, "click/purchase"), "matches"),
         "stream_incremental": incremental,
+        "stream_labelled": streamed(lambda e: stream.labelled(e, e.sparkSession.createDataFrame([("click", 1), ("purchase", 2)], "name string, id int")), "labelled"),
+        "rpq_near": on_graph("knn", lambda g: planner.evaluate(g, "near_3/near_3+")),
+        "rpq_same_text": on_graph("docs", lambda g: planner.evaluate(g, "same_text+/quality")),
     }
     out |= {f"automaton_{n}": words(n) for n in WORDS}
     return out | {n: e[0] for n, e in ENTRIES.items()}
@@ -334,6 +337,9 @@ def oracle_sql() -> dict[str, str]:
         "stream_sessions": "SELECT user_id, count(*) FILTER (WHERE fresh) AS sessions, count(*) AS events FROM (SELECT user_id, coalesce(ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) >= INTERVAL 6 HOUR, true) AS fresh FROM events) GROUP BY user_id",
         "stream_purchases": "SELECT c.user_id, c.event_id AS click, p.event_id AS purchase FROM events c JOIN events p ON c.user_id = p.user_id AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 1 HOUR WHERE c.event_type = 'click' AND p.event_type = 'purchase'",
         "stream_deduplicated": "SELECT DISTINCT event_id FROM events",
+        "stream_labelled": "SELECT event_id, user_id, CASE event_type WHEN 'click' THEN 1 ELSE 2 END AS id FROM events WHERE event_type IN ('click', 'purchase')",
+        "rpq_near": _pairs("knn", "0 near_3 1, 1 near_3 2, 2 near_3 2", "2"),
+        "rpq_same_text": _pairs("docs", "0 same_text 1, 1 same_text 1, 1 quality 2", "2"),
     }
     out |= {f"automaton_{n}": words_sql(n) for n in WORDS}
     return out | {n: e[1] for n, e in ENTRIES.items()}

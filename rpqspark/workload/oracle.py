@@ -32,6 +32,9 @@ GRAPHS = {
         UNION SELECT 'doc:' || doc_id, 'from_source', 'source:' || source FROM documents
         UNION SELECT 'doc:' || doc_id, 'same_text', 'doc:' || nxt FROM (SELECT doc_id, lead(doc_id) OVER (PARTITION BY text ORDER BY doc_id) AS nxt FROM documents) WHERE nxt IS NOT NULL
         UNION SELECT 'doc:' || doc_id, 'quality', 'quality:' || quality FROM labels""",
+    "knn": """SELECT 'vec:' || a AS s, 'near_' || label AS p, 'vec:' || b AS o FROM (
+        SELECT x.vec_id AS a, x.label, y.vec_id AS b, row_number() OVER (PARTITION BY x.vec_id ORDER BY list_cosine_similarity(x.embedding::DOUBLE[], y.embedding::DOUBLE[]) DESC, y.vec_id) AS k
+        FROM embeddings x JOIN embeddings y ON x.vec_id <> y.vec_id) WHERE k <= 5""",
 }
 
 # Transitions (state, label, state) of the workload, start state 0; then the final states.

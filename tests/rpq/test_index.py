@@ -24,6 +24,8 @@ def test_columns_steps_and_ranges(spark, tmp_path):
     got = {(r.b, r.symbol): (r.nb, r.ne) for r in index.backward(ask, "p").collect()}
     assert got == {(11, 3): (8, 9), (15, 3): (10, 10), (11, 5): (16, 16), (1, 5): (14, 14)}
     assert {r.symbol for r in index.columns["s"].filter("pos BETWEEN 8 AND 9").collect()} == {1, 5}
+    assert [tuple(r) for r in index.range_of(5).collect()] == [(15, 16)]
+    assert [tuple(r) for r in index.range_of(4, 3).collect()] == [(11, 12)]
     io.save(index, str(tmp_path / "i"))
     back = io.load(spark, str(tmp_path / "i"))
     want = {tuple(r) for r in queries.metro_numbers(spark).collect()}
