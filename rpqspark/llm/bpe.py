@@ -28,6 +28,8 @@ NONE = 1 << 60
 WORD_TABLE = 400_000
 #: Characters whose classes and lower case agree in every library used here.
 PLAIN = re.compile("[^\\t-\\r -\\xb1\\xb4-\\xb8\\xba\\xbb\\xbf-\\u012f\\u0132-\\u0148\\u014a-\\u024f\\u2010-\\u2027\\u2030-\\u205e\\u20a0-\\u20bf]")
+#: Letters among them and their lower case; their digits are 0-9.
+LETTERS = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\u02af\u2c65\u2c66"
 
 
 @functools.cache
@@ -60,9 +62,9 @@ class Bpe:
         self.lower = "Lowercase" in json.dumps(made["normalizer"])
         self.byte_level_decoder = made["decoder"] is not None
         if self.suffix:
-            self.plain = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\s\w]|_)+")
+            self.plain = re.compile(rf"[{LETTERS}]+|[0-9]|'(?:s|t|re|ve|m|ll|d)|[^\s0-9{LETTERS}]+")
         else:
-            self.plain = re.compile(r"'(?:s|t|re|ve|m|ll|d)| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+")
+            self.plain = re.compile(rf" ?[{LETTERS}]+|'(?:s|t|re|ve|m|ll|d)| ?[0-9]+| ?[^\s0-9{LETTERS}]+|\s+(?!\S)|\s+")
         self.to_char = byte_characters()
         self.translate = {b: c for b, c in enumerate(self.to_char)}
 
@@ -123,15 +125,21 @@ class Bpe:
 
 
 class Finished(dict):
-    """Finished words: the value of a word is made once and kept, up to a bound."""
+    """Finished words: the value of a word is made once and kept, up to a bound.
+
+    A full table becomes the older one; words used again move on, others are forgotten.
+    """
 
     def __init__(self, make, most: int = WORD_TABLE):
-        self.make, self.most = make, most
+        self.make, self.most, self.older = make, most, {}
 
     def __missing__(self, word: str):
         if len(self) >= self.most:
+            self.older = dict(self)
             self.clear()
-        value = self.make(word)
+        value = self.older.get(word)
+        if value is None:
+            value = self.make(word)
         if len(word) < 64:
             self[word] = value
         return value
@@ -169,7 +177,7 @@ class Joined:
             found, spelled = self.bpe.pieces(s)
             if found:
                 table = self.raw if spelled else self.own
-                a, b, c = zip(*[table[w] for w in found])
+                a, b, c = zip(*map(table.__getitem__, found))
                 n += sum(a)
                 ids.append(" ".join(b))
                 tokens.append(" ".join(c))

@@ -14,7 +14,6 @@ at least; repeated rows are packed as rows of their own.
 
 from __future__ import annotations
 
-import functools
 import zlib
 
 import numpy as np
@@ -31,13 +30,27 @@ PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
 class Encoder:
-    """Texts to little-endian unsigned 32-bit ids, as bytes."""
+    """Texts to little-endian unsigned 32-bit ids, as bytes.
+
+    In byte-level vocabularies whose merges are numbered in the order of their
+    ids, the id of a token is its rank, so words new to the table go to a compiled
+    merge loop; other vocabularies merge by :class:`bpe.Bpe`.
+    """
 
     def __init__(self, path: str):
-        self.bpe = bpe.load(path)
-        word, spelled = self.bpe.word, self.bpe.spelled
+        self.bpe = own = bpe.load(path)
         as_bytes = lambda ids: np.array(ids, "<u4").tobytes()
-        self.own, self.raw = bpe.Finished(lambda w: as_bytes(word(spelled(w)))), bpe.Finished(lambda w: as_bytes(word(w)))
+        make = own.word
+        if not own.suffix and all(new == rank + 256 for rank, new in own.merge.values()):
+            import tiktoken
+
+            back = {c: b for b, c in enumerate(own.to_char)}
+            ranks = {bytes(map(back.__getitem__, t)): i for t, i in own.vocab.items() if t not in own.special}
+            core = tiktoken.Encoding("byte level", pat_str=".", mergeable_ranks=ranks, special_tokens={})._core_bpe.encode_single_piece
+            self.own = bpe.Finished(lambda w: as_bytes(core(w.encode())))
+        else:
+            self.own = bpe.Finished(lambda w: as_bytes(make(own.spelled(w))))
+        self.raw = bpe.Finished(lambda w: as_bytes(make(w)))
 
     def __call__(self, text: str | None) -> bytes:
         out = []
@@ -47,7 +60,7 @@ class Encoder:
                 continue
             found, is_spelled = self.bpe.pieces(s)
             table = self.raw if is_spelled else self.own
-            out.append(b"".join([table[w] for w in found]))
+            out.append(b"".join(map(table.__getitem__, found)))
         return b"".join(out)
 
 
@@ -102,11 +115,6 @@ def fill(lengths: list[int], counts: dict[int, int], room: int) -> list[int]:
     return out
 
 
-@functools.lru_cache(maxsize=4)
-def _unused(capacity: int) -> list[int]:
-    return list(range(capacity, 0, -1))
-
-
 def pack(lengths: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray]:
     """Bin number and offset of each length."""
     order = np.argsort(-lengths, kind="stable")

@@ -66,3 +66,16 @@ def test_fullest_combination():
         best = max(s for m in range(1 << len(lengths)) if (s := sum(n for i, n in enumerate(lengths) if m >> i & 1)) <= room)
         chosen = packing.fill(sorted(counts, reverse=True), counts, room)
         assert sum(chosen) == best and all(chosen.count(n) <= counts[n] for n in chosen)
+
+
+def test_random_characters_of_the_plain_range():
+    import random
+
+    rnd = random.Random(1)
+    pool = [chr(i) for i in [*range(9, 14), *range(32, 0x250), *range(0x2010, 0x205F), *range(0x20A0, 0x20C0)]] + list("  ''strevmld") * 8
+    for file in ("word_bpe_49k.json", "byte_bpe_50k.json"):
+        path = public_tokenizers.path(file)
+        own, lib = bpe.Bpe(path), Tokenizer.from_file(path)
+        for _ in range(1500):
+            t = "".join(rnd.choice(pool) for _ in range(rnd.randrange(1, 30)))
+            assert own.encode(t) == lib.encode(t, add_special_tokens=False).ids, ascii(t)
