@@ -76,23 +76,23 @@ def _entropy(value: str) -> str:
 
 
 def scanned(docs: DataFrame) -> DataFrame:
-    """(doc_id, text, base, found): spans of each whole text, as arrays of
-    (start, rank of kind, end), sorted; ``found`` holds base spans and those of
-    high entropy. Texts without any have empty arrays. Other columns stay."""
+    """docs with two more columns, ``_scan_base`` and ``_scan_found``: spans of each whole text,
+    as arrays of (start, rank of kind, end), sorted; the second holds base spans and those
+    of high entropy. Texts without any have empty arrays. Other columns stay."""
     none = "cast(array() AS array<struct<start: int, kind: int, end: int>>)"
     may = "(text IS NOT NULL AND text RLIKE " + _quote(ANY) + ")"
     as_kind = lambda places, kind, keep="true": f"transform(filter({places}, x -> {keep}), x -> struct(x.start AS start, {kind} AS kind, x.end AS end))"
     value = "x.value"
     good = " AND ".join([f"x.value RLIKE '[0-9]' AND x.value RLIKE '[A-Za-z]'", *(f"NOT x.value RLIKE {_quote(a)}" for a in ALLOWED)])
     bound = f"CASE WHEN x.value RLIKE '^([0-9a-f]+|[0-9A-F]+)$' THEN {BOUNDS[0]}D WHEN x.value RLIKE '^([0-9a-z]+|[0-9A-Z]+)$' THEN {BOUNDS[1]}D ELSE {BOUNDS[2]}D END"
-    rows = docs.withColumn("_may", F.expr(may))
-    rows = rows.withColumn("base", F.expr(f"""CASE WHEN _may THEN array_sort(concat(
+    rows = docs.withColumn("_scan_may", F.expr(may))
+    rows = rows.withColumn("_scan_base", F.expr(f"""CASE WHEN _scan_may THEN array_sort(concat(
         {as_kind(_places(ASSIGN, 1), 0, "char_length(x.value) >= 6")},
         {as_kind(_places(ACCESS, 0), 1)},
         {as_kind(_places(HEX, 0), 2)})) ELSE {none} END"""))
-    held = "exists(base, b -> b.start <= x.start AND x.end <= b.end)"
+    held = "exists(_scan_base, b -> b.start <= x.start AND x.end <= b.end)"
     more = as_kind(_places(CANDIDATE, 0), 3, f"NOT {held} AND {good} AND {_entropy(value)} >= {bound}")
-    return rows.withColumn("found", F.expr(f"CASE WHEN _may THEN array_sort(concat(base, {more})) ELSE {none} END")).drop("_may")
+    return rows.withColumn("_scan_found", F.expr(f"CASE WHEN _scan_may THEN array_sort(concat(_scan_base, {more})) ELSE {none} END")).drop("_scan_may")
 
 
 def _joined(spans: str) -> str:
@@ -103,17 +103,17 @@ def _joined(spans: str) -> str:
 def scan(docs: DataFrame) -> DataFrame:
     """One row per document: doc_id, numbers of base spans by kind, SHA-256 of the
     base spans, and all spans as text."""
-    n = lambda kind: F.expr(f"cast(size(filter(base, x -> x.kind = {kind})) AS long)")
+    n = lambda kind: F.expr(f"cast(size(filter(_scan_base, x -> x.kind = {kind})) AS long)")
     rows = scanned(common.columns(docs, ["doc_id", "text"]))
-    return rows.select("doc_id", n(0).alias("n_assign"), n(1).alias("n_access"), n(2).alias("n_hex"), F.expr(f"sha2({_joined('base')}, 256)").alias("base_sha256"), F.expr(_joined("found")).alias("spans"))
+    return rows.select("doc_id", n(0).alias("n_assign"), n(1).alias("n_access"), n(2).alias("n_hex"), F.expr(f"sha2({_joined('_scan_base')}, 256)").alias("base_sha256"), F.expr(_joined("_scan_found")).alias("spans"))
 
 
 def redact(docs: DataFrame, mark: str = "[SECRET]") -> DataFrame:
     """docs with every found span of ``text`` replaced by a mark; overlapping spans by one."""
-    parts = """aggregate(found, struct(0 AS at, cast(array() AS array<string>) AS out), (acc, x) ->
+    parts = """aggregate(_scan_found, struct(0 AS at, cast(array() AS array<string>) AS out), (acc, x) ->
         CASE WHEN x.end <= acc.at THEN acc
              WHEN x.start < acc.at THEN struct(x.end AS at, acc.out AS out)
              ELSE struct(x.end AS at, concat(acc.out, array(substring(text, acc.at + 1, x.start - acc.at), MARK)) AS out) END,
         acc -> concat(array_join(acc.out, ''), substring(text, acc.at + 1)))""".replace("MARK", _quote(mark))
     names = docs.columns
-    return scanned(docs).withColumn("text", F.expr(f"CASE WHEN size(found) > 0 THEN {parts} ELSE text END")).select(*names)
+    return scanned(docs).withColumn("text", F.expr(f"CASE WHEN size(_scan_found) > 0 THEN {parts} ELSE text END")).select(*names)

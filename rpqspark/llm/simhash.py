@@ -167,11 +167,8 @@ def groups(docs: DataFrame) -> DataFrame:
 def one_of_each(docs: DataFrame) -> DataFrame:
     """docs with one row of each group of near duplicates: the one whose doc_id names it.
 
-    Of rows that share this doc_id, one stays (the smallest fingerprint, then the
-    smallest text); a group without ids keeps one row likewise.
+    Of rows that share this doc_id one stays, and one of the groups without ids.
     """
-    named = groups(docs).filter("doc_id <=> component_id").select("doc_id", "fingerprint", "component_id")
-    # One fingerprint for each component; a doc_id may stand on several rows.
-    chosen = named.groupBy("component_id").agg(F.min("fingerprint").alias("_fingerprint"))
+    chosen = groups(docs).filter("doc_id <=> component_id").select("component_id").distinct()
     rows = docs.alias("d").join(chosen.alias("c"), F.expr("d.doc_id <=> c.component_id")).select("d.*")
     return rows.dropDuplicates(["doc_id"])

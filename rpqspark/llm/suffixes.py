@@ -168,7 +168,7 @@ def without_repeats(docs: DataFrame) -> DataFrame:
     keyed, spans = anchors.repeats(docs, RULE, "suffixes")
     at, names = docs.columns.index("text"), docs.columns
     common.small_batches(docs.sparkSession)
-    whole = docs.withColumn("_h", F.hash("text")).alias("d").join(spans.alias("s"), F.expr("d.doc_id <=> s.doc_id and d._h = s.h"), "left")
+    whole = docs.withColumn("_text_hash_", F.hash("text")).alias("d").join(spans.alias("s"), F.expr("d.doc_id <=> s.doc_id and d._text_hash_ = s.h"), "left")
     rows = whole.select(*[F.col(f"d.`{n}`") for n in names], F.col("s.spans").alias("_spans"))
 
     def work(batches):

@@ -81,7 +81,8 @@ def search(table: DataFrame, vector: str, every: int, k: int, nearest: bool, non
 
     def work(batches):
         for b in batches:
-            for dim, ids, vectors, q_ids, q_vectors in zip(*(c.to_pylist() for c in b.columns)):
+            for dim, *packed in zip(*b.columns):
+                dim, (ids, vectors, q_ids, q_vectors) = dim.as_py(), (x.as_buffer() for x in packed)
                 unpack = lambda i, v: (np.frombuffer(i, np.int64), np.frombuffer(v).reshape(-1, dim))
                 yield common.batch(schema, *find(*unpack(ids, vectors), *unpack(q_ids, q_vectors)))
 
