@@ -15,7 +15,6 @@ from pyspark.sql import functions as F
 from ..automaton import bitparallel
 from ..automaton.bitparallel import Masks
 from ..graph.model import Graph
-from ..graph.stats import label_counts
 from ..lang import patterns, rewrite
 from ..lang.ast import Cat, Expr, text
 from ..lang.parser import parse
@@ -69,7 +68,7 @@ def plan(g: Graph, path: str | Expr, s: str | None = None, o: str | None = None,
     if cs is not None and co is not None and options.direction == "forward":
         start = "s"
     if cs is None and co is None and options.direction == "auto" and not fast and len(g.labels()) < 10_000:
-        start, reason = choose_direction(e, {r.p: r.n for r in label_counts(g).collect()})
+        start, reason = choose_direction(e, g.counts())
     names = sorted({n for c in rewrite.symbols(e) for n, _ in c.over(g.labels() if c.negated else [])})
     return RpqPlan(e, cs, co, same, patterns.classify(s, e, o), fast, start, options.executor, names, reason)
 

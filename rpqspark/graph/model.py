@@ -24,6 +24,8 @@ class Graph:
 
     edges: DataFrame
     _names: list[str] | None = field(default=None, repr=False)
+    _nodes: DataFrame | None = field(default=None, repr=False)
+    _counts: dict[str, int] | None = field(default=None, repr=False)
 
     @classmethod
     def of(cls, df: DataFrame) -> Graph:
@@ -34,6 +36,8 @@ class Graph:
         return self.edges.sparkSession
 
     def nodes(self) -> DataFrame:
+        if self._nodes is not None:
+            return self._nodes
         return self.edges.select(F.col("s").alias("node")).union(self.edges.select("o")).distinct()
 
     def labels(self) -> list[str]:
@@ -42,6 +46,24 @@ class Graph:
             self._names = sorted(r.p for r in self.edges.select("p").distinct().collect())
         return self._names
 
+    def counts(self) -> dict[str, int]:
+        """Edges of each label."""
+        if self._counts is None:
+            self._counts = {r.p: r.n for r in self.edges.groupBy("p").agg(F.count("*").alias("n")).collect()}
+        return self._counts
+
+    def stored(self, name: str = "graph") -> Graph:
+        """The graph written once: edges in a folder per label, so that a query's labels are
+        pruned by folder, the node table, and the label counts."""
+        from ..exec.store import Store
+
+        store = Store(self.spark, name)
+        self.edges.hint("rebalance", "p").write.partitionBy("p").parquet(store.path("edges"))
+        edges = self.spark.read.schema("s string, o string, p string").parquet(store.path("edges")).select("s", "p", "o")
+        nodes = store.save(Graph(edges).nodes(), "nodes")
+        counts = Graph(edges).counts()
+        return Graph(edges, sorted(counts), nodes, counts)
+
     def completed(self) -> DataFrame:
         """Edges and their inverses, labels of inverses written ^p."""
         back = self.edges.select(F.col("o").alias("s"), F.concat(F.lit("^"), "p").alias("p"), F.col("s").alias("o"))

@@ -152,5 +152,18 @@ def metro(spark: SparkSession, sf_dir: str | None = None) -> Graph:
 GRAPHS = {"trade": trade, "flow": flow, "pulse": pulse, "web": web, "chat": chat, "succ": succ, "docs": docs, "knn": knn, "metro": metro}
 
 
+_stored: dict[tuple, tuple[Graph, str]] = {}
+
+
 def load(spark: SparkSession, sf_dir: str, name: str) -> Graph:
-    return GRAPHS[name](spark, sf_dir)
+    """A graph of the given tables. It is built and written once per application, as an index
+    would be; later calls read what was written, as long as it is there."""
+    key = (spark.sparkContext.applicationId, sf_dir, name)
+    if key in _stored:
+        g, path = _stored[key]
+        p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        if p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(p):
+            return g
+    g = GRAPHS[name](spark, sf_dir).stored(name)
+    _stored[key] = (g, g.edges.inputFiles()[0] if g.counts() else "/")
+    return g

@@ -93,7 +93,7 @@ def index_columns(spark, sf_dir):
 
 def index_triples(spark, sf_dir):
     """All edges of a graph, taken back from the index by three steps each."""
-    e = encode.encode(sources.chat(spark, sf_dir))
+    e = encode.encode(sources.load(spark, sf_dir, "chat"))
     i = cyclic.build(e.edges)
     back = i.triple_at(i.columns["p"].select("pos"))
     names = e.labels.select(F.col("id").cast("long").alias("p"), F.col("name"))
@@ -102,7 +102,7 @@ def index_triples(spark, sf_dir):
 
 def index_backward(spark, sf_dir):
     """Edges into each object by label, by a backward step from the object's range."""
-    e = encode.encode(sources.web(spark, sf_dir))
+    e = encode.encode(sources.load(spark, sf_dir, "web"))
     i = cyclic.build(e.edges)
     ranges = i.object_range(e.nodes.select(F.col("id").alias("node")))
     asked = ranges.crossJoin(F.broadcast(e.labels.select(F.col("id").cast("long").alias("symbol"))))
@@ -121,13 +121,13 @@ def level_ranks(spark, sf_dir):
 
 
 def space_report(spark, sf_dir):
-    return space.report(encode.encode(sources.trade(spark, sf_dir))).select("component", F.round("bytes_per_edge", 6).alias("bytes_per_edge"))
+    return space.report(encode.encode(sources.load(spark, sf_dir, "trade"))).select("component", F.round("bytes_per_edge", 6).alias("bytes_per_edge"))
 
 
 # ---- measures --------------------------------------------------------------------------
 def run_counters(spark, sf_dir):
     """Work of the frontier executor on a deep path over a graph of many labels."""
-    return cost.counters(sources.pulse(spark, sf_dir), QUERIES["w02b"].path, o="user:7")[0]
+    return cost.counters(sources.load(spark, sf_dir, "pulse"), QUERIES["w02b"].path, o="user:7")[0]
 
 
 def histogram(spark, sf_dir):
@@ -137,13 +137,13 @@ def histogram(spark, sf_dir):
 
 def clean_log(spark, sf_dir):
     rows = [("?a", "parent*", "host:example.com"), ("?b", "parent *", "host:example.com"), ("?x", "parent", "?y"), ("?x", "on_host/parent*", "host:nowhere"), ("page:0", "on_host/parent*", "?z"), ("?x", "on_host|(", "?y")]
-    g = sources.web(spark, sf_dir)
+    g = sources.load(spark, sf_dir, "web")
     return log.clean(spark.createDataFrame(rows, "s string, path string, o string"), g.nodes())
 
 
 def timed_log(spark, sf_dir):
     """Methods side by side on a few queries: fastest method of each pattern, times left out."""
-    g = {"web": sources.web(spark, sf_dir)}
+    g = {"web": sources.load(spark, sf_dir, "web")}
     some = [(q.id, q.graph, q.s, q.path, q.o) for q in QUERIES.values() if q.id in ("w02", "w05")]
     runs = log.run(spark, g, some, "core").unionByName(log.run(spark, g, some, "alp"))
     return bench.winners(runs).select("pattern", (F.col("share") > 0).alias("seen"))
@@ -152,18 +152,18 @@ def timed_log(spark, sf_dir):
 def useful(spark, sf_dir):
     from .automaton import bitparallel
 
-    return pairs.useful_sources(sources.web(spark, sf_dir), bitparallel.compile(parse("on_host/parent+")), RpqOptions())
+    return pairs.useful_sources(sources.load(spark, sf_dir, "web"), bitparallel.compile(parse("on_host/parent+")), RpqOptions())
 
 
 def filtered_nodes(spark, sf_dir):
     """Paths whose hosts in the middle must begin with a letter before n."""
-    g = sources.web(spark, sf_dir)
+    g = sources.load(spark, sf_dir, "web")
     ok = g.nodes().filter(F.col("node").rlike("^host:[a-m]"))
     return planner.evaluate(g, "on_host/parent/parent", o="host:com", node_filter={1: ok})
 
 
 def from_set(spark, sf_dir):
-    g = sources.web(spark, sf_dir)
+    g = sources.load(spark, sf_dir, "web")
     return planner.evaluate(g, "on_host/parent*", o_set=spark.createDataFrame([("host:com",), ("host:org",)], "node string"))
 
 
@@ -191,7 +191,7 @@ def streamed(f, name: str) -> Query:
 
 
 def sql_call(spark, sf_dir):
-    g = sources.trade(spark, sf_dir)
+    g = sources.load(spark, sf_dir, "trade")
     g.edges.createOrReplaceTempView("trade_graph")
     return surface.sql(spark, "SELECT t.s AS customer, count(*) AS n FROM rpq(graph => 'trade_graph', path => '^placed_by/has_part/of_brand') t WHERE t.o = 'brand:Brand#17' GROUP BY t.s")
 
@@ -199,7 +199,7 @@ def sql_call(spark, sf_dir):
 def local_turns(spark, sf_dir):
     """A small graph per conversation, searched by a lateral table function."""
     functions.register(spark)
-    c = sources.chat(spark, sf_dir).edges.withColumn("c", F.regexp_extract("s", r"turn:(\d+)\.", 1))
+    c = sources.load(spark, sf_dir, "chat").edges.withColumn("c", F.regexp_extract("s", r"turn:(\d+)\.", 1))
     c.groupBy("c").agg(F.collect_list("s").alias("s"), F.collect_list("p").alias("p"), F.collect_list("o").alias("o")).createOrReplaceTempView("chat_arrays")
     return spark.sql("SELECT t.s, t.o FROM chat_arrays a, LATERAL rpq_local(a.s, a.p, a.o, 'user/assistant') t")
 
@@ -213,7 +213,7 @@ def accepted_words(spark, sf_dir):
 def incremental(spark, sf_dir):
     from .stream.incremental import Incremental
 
-    g = sources.web(spark, sf_dir)
+    g = sources.load(spark, sf_dir, "web")
     half = F.pmod(F.xxhash64("s", "o"), F.lit(2)) == 0
     i = Incremental(Graph(g.edges.filter(half)), "on_host/parent*", "host:com")
     i.add(g.edges.filter(~half))
