@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 from . import common
 from .bpe import Finished
 
-LABELLED, UNLABELLED, ROUNDS, CONFIDENT = 8000, 4000, 3, 0.98
+LABELLED, UNLABELLED, ROUNDS, CONFIDENT = 8000, 2000, 3, 0.98
 WORD_BITS, META_BITS, BEGINNING = 18, 12, 4
 #: Chi-square from which a hashed feature takes part in a fit.
 TELLING = 12.0
@@ -101,7 +101,10 @@ class Rows:
 
     def take(self, at: np.ndarray) -> Rows:
         starts = np.concatenate([[0], self.ends[:-1]])[at]
-        return Rows.of([self.slots[a:b] for a, b in zip(starts, self.ends[at])], self.dense[at])
+        sizes = self.ends[at] - starts
+        ends = np.cumsum(sizes, dtype=np.int64)
+        within = np.arange(int(sizes.sum())) - np.repeat(ends - sizes, sizes)
+        return Rows(self.slots[np.repeat(starts, sizes) + within], ends, self.dense[at])
 
     def sums(self, w: np.ndarray) -> np.ndarray:
         total = np.concatenate([[0.0], np.cumsum(w[self.slots])])
@@ -228,19 +231,40 @@ def _views(b, at: dict) -> tuple[Rows, Rows]:
 _FIELDS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
-def _sample(docs: DataFrame) -> list:
-    """Features of a bounded table of documents, at the driver."""
+class _Sample:
+    """Features of a bounded table of documents, at the driver, as flat arrays."""
 
-    def work(batches):
-        schema = pa.schema([("doc_id", pa.int64()), ("quality", pa.int32()), ("toxic", pa.int32()), ("slots", pa.list_(pa.int32())), ("measures", pa.list_(pa.float64())), ("meta", pa.list_(pa.int32()))])
-        for b in batches:
-            rows = []
-            for i, t, lang, source, n, q, x in zip(*(c.to_pylist() for c in b.columns)):
-                slots, measures = text_view(t)
-                rows.append((i, q, x, slots.tolist(), measures, meta_view(lang, source, n)))
-            yield common.batch(schema, *zip(*rows)) if rows else common.batch(schema, [], [], [], [], [], [])
+    def __init__(self, docs: DataFrame):
+        schema = pa.schema([("doc_id", pa.int64()), ("tie", pa.int64()), ("quality", pa.int32()), ("toxic", pa.int32()), ("slots", pa.list_(pa.int32())), ("measures", pa.list_(pa.float64())), ("meta", pa.list_(pa.int32()))])
+
+        def work(batches):
+            for b in batches:
+                rows = []
+                for i, t, lang, source, n, q, x, tie in zip(*(c.to_pylist() for c in b.columns)):
+                    slots, measures = text_view(t)
+                    rows.append((i, tie, q, x, slots, measures, meta_view(lang, source, n)))
+                yield common.batch(schema, *zip(*rows)) if rows else common.batch(schema, [], [], [], [], [], [], [])
+
+        rows = docs.withColumn("tie", F.xxhash64(*_FIELDS)).mapInArrow(work, "doc_id long, tie long, quality int, toxic int, slots array<int>, measures array<double>, meta array<int>").toArrow()
+        self.table = rows.sort_by([("doc_id", "ascending"), ("tie", "ascending")]).combine_chunks()
+
+    def rows(self, keep) -> tuple[Rows, Rows]:
+        """Text and metadata rows of those that are kept."""
+        t = self.table.filter(pa.array(keep)).combine_chunks()
+
+        def lists(name):
+            c = t.column(name).combine_chunks()
+            c = c if isinstance(c, pa.Array) else pa.concat_arrays(c.chunks) if c.num_chunks else pa.array([], c.type)
+            return c.flatten().to_numpy(), np.cumsum(c.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64))
+
+        slots, ends = lists("slots")
+        dense = lists("measures")[0].reshape(-1, MEASURES)
+        meta, meta_ends = lists("meta")
+        return Rows(slots.astype(np.int64), ends, dense), Rows(meta.astype(np.int64), meta_ends, np.zeros((len(meta_ends), 0)))
 
-    return sorted(docs.mapInArrow(work, "doc_id long, quality int, toxic int, slots array<int>, measures array<double>, meta array<int>").collect(), key=lambda r: (r.doc_id, r.meta, r.measures))
+    def column(self, name: str) -> np.ndarray:
+        """Values as doubles, nulls as NaN."""
+        return self.table.column(name).cast(pa.float64()).to_numpy(zero_copy_only=False) if self.table.num_rows else np.empty(0)
 
 
 def train(docs: DataFrame, labels: DataFrame, labelled: int = LABELLED, unlabelled: int = UNLABELLED) -> Model:
@@ -250,15 +274,15 @@ def train(docs: DataFrame, labels: DataFrame, labelled: int = LABELLED, unlabell
     order = F.xxhash64("doc_id")
     known = labels.filter("doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("quality").cast("int").alias("quality"), F.max("toxic").cast("int").alias("toxic"))
     chosen = known.orderBy(order, "doc_id").limit(labelled)
-    rows = _sample(docs.join(F.broadcast(chosen), "doc_id").select(*_FIELDS, "quality", "toxic"))
+    own = _Sample(docs.join(F.broadcast(chosen), "doc_id").select(*_FIELDS, "quality", "toxic"))
     others = docs.filter("doc_id IS NOT NULL").select("doc_id").orderBy(F.xxhash64("doc_id", F.lit(1)), "doc_id").limit(unlabelled).distinct()
-    taken = {r.doc_id for r in rows}
-    free = [r for r in _sample(docs.join(F.broadcast(others), "doc_id").select(*_FIELDS, F.lit(None).cast("int").alias("quality"), F.lit(None).cast("int").alias("toxic"))) if r.doc_id not in taken]
-    of = lambda rs: (Rows.of([r.slots for r in rs], [r.measures for r in rs] or np.zeros((0, MEASURES))), Rows.of([r.meta for r in rs]))
+    free = _Sample(docs.join(F.broadcast(others), "doc_id").select(*_FIELDS, F.lit(None).cast("int").alias("quality"), F.lit(None).cast("int").alias("toxic")))
+    spare = free.rows(~np.isin(free.column("doc_id"), own.column("doc_id")))
     heads = []
-    for bad in (lambda r: None if r.quality is None else float(r.quality == 0), lambda r: None if r.toxic is None else float(r.toxic == 1)):
-        have = [r for r in rows if bad(r) is not None]
-        heads.append(co_train(*of(have), np.array([bad(r) for r in have]), *of(free)))
+    for name, bad in (("quality", 0.0), ("toxic", 1.0)):
+        value = own.column(name)
+        have = ~np.isnan(value)
+        heads.append(co_train(*own.rows(have), (value[have] == bad).astype(float), *spare))
     return Model(*(list(x) for x in zip(*heads)))
 
 
