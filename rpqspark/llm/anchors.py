@@ -38,8 +38,9 @@ from . import common
 
 #: Symbols hashed at a time; long texts go through in overlapping blocks.
 BLOCK = 1 << 18
-#: Documents looked at for frequent grams, as one in so many, and sightings that make a gram frequent.
-SAMPLE_ONE_IN, SIGHTINGS = 64, 24
+#: Documents looked at for frequent grams, as one in so many; a gram is frequent from so many
+#: sightings and from this share of an average partition's anchors.
+SAMPLE_ONE_IN, SIGHTINGS, PARTITION_SHARE = 64, 24, 0.5
 #: Frequent grams kept at most (8 bytes each are sent to every task).
 FREQUENT = 20_000
 
@@ -465,7 +466,10 @@ def repeats(docs: DataFrame, rule: Rule, name: str) -> tuple[DataFrame, DataFram
             for t in b.column(1).fill_null(""):
                 yield common.batch(schema, anchors(rule.symbols(t.as_py().encode()), rule)[1].view(np.int64))
 
-    common_grams = keyed.sample(1 / SAMPLE_ONE_IN, 7).mapInArrow(seen, "g long").groupBy("g").count().filter(F.col("count") >= SIGHTINGS)
+    sighted = keyed.sample(1 / SAMPLE_ONE_IN, 7).mapInArrow(seen, "g long").groupBy("g").count()
+    sighted = stage.save(sighted, "sighted")
+    total = sighted.agg(F.sum("count")).first()[0] or 0
+    common_grams = sighted.filter(F.col("count") >= max(SIGHTINGS, PARTITION_SHARE * total / n))
     frequent = spark.sparkContext.broadcast([r.g for r in common_grams.orderBy(F.desc("count"), "g").limit(FREQUENT).collect()])
 
     dealt = keyed.mapInArrow(_first_pass(rule, frequent), ROW).repartition(n, "p").sortWithinPartitions("p", "g", "c", "doc_id")

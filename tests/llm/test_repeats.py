@@ -72,6 +72,7 @@ def test_both_equal_brute_force(spark, docs_of, monkeypatch, hot):
     if hot:  # every gram seen in a sample of half is frequent
         monkeypatch.setattr(anchors, "SAMPLE_ONE_IN", 2)
         monkeypatch.setattr(anchors, "SIGHTINGS", 1)
+        monkeypatch.setattr(anchors, "PARTITION_SHARE", 0)
     texts = corpus(4)
     ids = list(range(len(texts)))
     random.Random(1).shuffle(ids)
