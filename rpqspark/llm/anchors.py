@@ -464,7 +464,8 @@ def repeats(docs: DataFrame, rule: Rule, name: str) -> tuple[DataFrame, DataFram
         schema = pa.schema([("g", pa.int64())])
         for b in batches:
             for t in b.column(1).fill_null(""):
-                yield common.batch(schema, anchors(rule.symbols(t.as_py().encode()), rule)[1].view(np.int64))
+                # Once a document: repeats inside a document are merged before the shuffle anyway.
+                yield common.batch(schema, np.unique(anchors(rule.symbols(t.as_py().encode()), rule)[1]).view(np.int64))
 
     sighted = keyed.sample(1 / SAMPLE_ONE_IN, 7).mapInArrow(seen, "g long").groupBy("g").count()
     sighted = stage.save(sighted, "sighted")
