@@ -359,23 +359,28 @@ def _surroundings(rule: Rule):
     return work
 
 
-def shared(rule: Rule, left: list, right: list, docs: np.ndarray) -> list[tuple[int, int]]:
-    """(member, offset) of windows that a group of anchors shares.
+def shared(rule: Rule, left: list, right: list, docs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Least and greatest offset of the windows that each member of a group shares; the
+    least is over the reach where there is none.
 
     A window at offset o needs o symbols before the anchor and reach - o behind its
     gram. Two members share it if they fall in one class of the left order at depth o
     and in one class of the right order at depth reach - o. The classes change only
     at the common-prefix lengths, so only offsets that these lengths set are looked at.
+    All windows of an anchor overlap, so the outermost two bound what is covered.
     """
-    k, reach, out = len(docs), rule.reach, []
+    k, reach = len(docs), rule.reach
     order_r, lcp_r = rule.order(right)
     order_l, lcp_l = rule.order(left)
+    low, high = np.full(k, reach + 1), np.full(k, -1)
     if k == 2:
         lo, hi = max(0, reach - lcp_r[1]), min(reach, lcp_l[1])
-        if lo > hi:
-            return []
-        whom = (0, 1) if not rule.earlier else (1,) if docs[0] < docs[1] else (0,) if docs[1] < docs[0] else ()
-        return [(i, o) for i in whom if docs[i] != _NO_ID or not rule.earlier for o in {lo, hi}]
+        if lo <= hi:
+            whom = (0, 1) if not rule.earlier else (1,) if docs[0] < docs[1] else (0,) if docs[1] < docs[0] else ()
+            for i in whom:
+                if docs[i] != _NO_ID or not rule.earlier:
+                    low[i], high[i] = lo, hi
+        return low, high
     lcp_r, lcp_l = np.array(lcp_r), np.array(lcp_l)
     lcp_r[0] = lcp_l[0] = -1
     order_r, order_l = np.array(order_r), np.array(order_l)
@@ -390,22 +395,22 @@ def shared(rule: Rule, left: list, right: list, docs: np.ndarray) -> list[tuple[
             hit = (docs > least[of]) & (docs != _NO_ID)
         else:
             hit = n[of] > 1
-        out += [(i, o) for i in np.flatnonzero(hit).tolist()]
-    return out
+        low[hit & (low > reach)] = o
+        high[hit] = o
+    return low, high
 
 
 def _compared(rule: Rule):
     """Surroundings sorted by gram to the spans that different classes share."""
 
-    def found(rows) -> dict | None:
+    def found(rows) -> list:
         if len(rows) < 2:
-            return None
-        seqs = [rule.back(r[5]) for r in rows]
-        left = [s[: r[3]][::-1] for s, r in zip(seqs, rows)]
-        right = [s[r[3] + rule.prefix :] for s, r in zip(seqs, rows)]
+            return []
+        left = [rule.back(r[5])[: r[3]][::-1] for r in rows]
+        right = [rule.back(r[5])[r[3] + rule.prefix :] for r in rows]
         docs = np.array([_NO_ID if r[1] is None else r[1] for r in rows], np.int64)
-        hits = shared(rule, left, right, docs)
-        return [(docs[i], rows[i][2], p - o) for i, o in hits for p in rows[i][4]]
+        low, high = shared(rule, left, right, docs)
+        return [(docs[i], rows[i][2], p - high[i], p - low[i] + rule.size) for i in np.flatnonzero(high >= 0).tolist() for p in rows[i][4]]
 
     def work(batches):
         group, spans = [], []
@@ -413,18 +418,18 @@ def _compared(rule: Rule):
         def flush(least):
             nonlocal spans
             if len(spans) > least:
-                doc, h, start = (np.array(x, np.int64) for x in zip(*spans))
+                doc, h, start, end = (np.array(x, np.int64) for x in zip(*spans))
                 spans = []
-                yield from _rows(_spans(doc, h, start, start + rule.size))
+                yield from _rows(_spans(doc, h, start, end))
 
         for b in batches:
             for r in zip(*(b.column(i).to_pylist() for i in range(6))):
                 if group and group[0][0] != r[0]:
-                    spans += found(group) or []
+                    spans += found(group)
                     group = []
                 group.append(r)
             yield from flush(20_000)
-        spans += found(group) or []
+        spans += found(group)
         yield from flush(0)
 
     return work
