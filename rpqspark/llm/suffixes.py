@@ -50,8 +50,17 @@ def common_prefix(a: bytes, b: bytes, at: int = 0) -> int:
     return lo
 
 
+class _Branch:
+    """An inner node: the depth of the byte that tells its children apart (-1: the end)."""
+
+    __slots__ = ("depth", "children")
+
+    def __init__(self, depth: int, children: dict):
+        self.depth, self.children = depth, children
+
+
 class BlindTrie:
-    """Strings kept by branching bytes only. A node is [depth, {byte or -1: child}]; a leaf is a list index."""
+    """Strings kept by branching bytes only; a leaf is a list of indices of equal strings."""
 
     def __init__(self, strings: list[bytes]):
         self.strings, self.root = strings, None
@@ -61,29 +70,25 @@ class BlindTrie:
         if self.root is None:
             self.root = [i]
             return
+        at = lambda text, depth: text[depth] if depth < len(text) else -1
         path, node = [], self.root
-        while len(node) == 2:
+        while isinstance(node, _Branch):
             path.append(node)
-            byte = s[node[0]] if node[0] < len(s) else -1
-            node = node[1].get(byte) or next(iter(node[1].values()))
+            node = node.children.get(at(s, node.depth)) or next(iter(node.children.values()))
         other = self.strings[node[0]]
         depth = common_prefix(s, other)
         if depth == len(s) == len(other):
-            node.insert(0, i)
-            while len(node) == 2 and not isinstance(node[1], dict):
-                node.append(-1)  # three or more entries: never taken for a branch
+            node.append(i)
             return
         # The highest node at or below the depth is where the strings part.
-        k = next((k for k, x in enumerate(path) if x[0] >= depth), len(path))
+        k = next((k for k, x in enumerate(path) if x.depth >= depth), len(path))
         below = path[k] if k < len(path) else node
-        byte = s[depth] if depth < len(s) else -1
-        if len(below) == 2 and below[0] == depth:
-            below[1][byte] = [i]
+        if isinstance(below, _Branch) and below.depth == depth:
+            below.children[at(s, depth)] = [i]
             return
-        branch = [depth, {other[depth] if depth < len(other) else -1: below, byte: [i]}]
+        branch = _Branch(depth, {at(other, depth): below, at(s, depth): [i]})
         if k:
-            up = path[k - 1]
-            up[1][s[up[0]] if up[0] < len(s) else -1] = branch
+            path[k - 1].children[at(s, path[k - 1].depth)] = branch
         else:
             self.root = branch
 
@@ -91,10 +96,10 @@ class BlindTrie:
         out, stack = [], [self.root]
         while stack:
             node = stack.pop()
-            if len(node) == 2:
-                stack += [node[1][b] for b in sorted(node[1], reverse=True)]
+            if isinstance(node, _Branch):
+                stack += [node.children[b] for b in sorted(node.children, reverse=True)]
             else:
-                out += [i for i in node if i >= 0]
+                out += node
         return out
 
 
@@ -118,9 +123,7 @@ def deep_shallow(strings: list[bytes]) -> tuple[list[int], list[int]]:
             if more:
                 todo.append((more, depth))
             if pivot == -1:
-                todo.append((equal[:1], depth))
-                order_rest = equal[1:]
-                order += order_rest
+                order += equal  # strings that end here: nothing is smaller, all are equal
             elif equal:
                 todo.append((equal, depth + 1))
             if less:
