@@ -25,7 +25,7 @@ from . import common
 #: Rank of a pair that no merge joins.
 NONE = 1 << 60
 #: Finished words that a worker holds before it forgets them all.
-WORD_TABLE = 400_000
+WORD_TABLE = 150_000
 #: Characters whose classes and lower case agree in every library used here.
 PLAIN = re.compile("[^\\t-\\r -\\xb1\\xb4-\\xb8\\xba\\xbb\\xbf-\\u012f\\u0132-\\u0148\\u014a-\\u024f\\u2010-\\u2027\\u2030-\\u205e\\u20a0-\\u20bf]")
 #: Letters among them and their lower case; their digits are 0-9.

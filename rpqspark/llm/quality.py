@@ -49,7 +49,8 @@ def _word_slots(word: str) -> tuple[int, int]:
     return _slot("w" + bare, WORD_BITS), _slot("b" + bare[:BEGINNING], WORD_BITS)
 
 
-_slots = Finished(_word_slots)
+#: Bounded tightly: a reused worker keeps this table beside those of later stages.
+_slots = Finished(_word_slots, most=60_000)
 
 
 def text_view(text: str | None) -> tuple[np.ndarray, list[float]]:

@@ -25,7 +25,7 @@ from . import anchors, common
 from .bpe import Finished
 
 SIZE, PREFIX = 13, 5
-_hashes = Finished(lambda w: xxhash.xxh64_intdigest(w, 1), most=500_000)
+_hashes = Finished(lambda w: xxhash.xxh64_intdigest(w, 1), most=100_000)
 
 
 def word_hashes(text: bytes) -> np.ndarray:
