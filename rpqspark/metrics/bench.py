@@ -26,6 +26,6 @@ def winners(runs: DataFrame) -> DataFrame:
 
 def table(runs: DataFrame) -> DataFrame:
     """(measure, one column per method): average, median and timeouts side by side."""
-    s = runs.groupBy("method").agg(F.avg("seconds").alias("average"), F.percentile("seconds", F.lit(0.5)).alias("median"), F.count_if("seconds >= 60").cast("double").alias("timeouts"))
+    s = runs.groupBy("method").agg(F.avg("seconds").alias("average"), F.percentile("seconds", F.lit(0.5)).alias("median"), F.count_if(F.col("seconds") >= 60).cast("double").alias("timeouts"))
     long = s.unpivot(["method"], ["average", "median", "timeouts"], "measure", "value")
     return long.groupBy("measure").pivot("method").agg(F.first("value"))
