@@ -9,8 +9,12 @@ from them too. Each view's log-odds are calibrated on labelled rows kept out of
 fit, and the views are combined by adding calibrated log-odds over the base rate. A
 document is rejected if either head finds it more likely bad than not.
 
-The fit uses bounded samples, chosen by a hash of doc_id: ``LABELLED`` labelled rows
-and ``UNLABELLED`` others; only their hashed features reach the driver. Every document is
+Labelled rows of the fit are a sample, chosen by a hash of doc_id: ``LABELLED`` at most, and
+only their hashed features reach the driver. Every other document is unlabelled and takes
+part in each round: features are stored once, executors label what a view is confident of
+and add up what the other view's fit needs (sums per feature, then loss and gradient of the
+regression at ``PASSES`` points). Where lent rows outnumber labelled ones, all of them
+together weigh as much as the labelled rows. Every document is
 scored over its whole text. Null text is scored like empty text; unknown languages and
 sources count as seen in no fit; labels that are null are left out for
 their head; a head whose labels are all alike rejects nothing. Repeated rows are scored alike.
@@ -25,13 +29,14 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import common
 from .bpe import Finished
 
-LABELLED, UNLABELLED, ROUNDS, CONFIDENT = 8000, 2000, 3, 0.98
+LABELLED, ROUNDS, CONFIDENT, PASSES = 8000, 3, 0.98, 8
 WORD_BITS, META_BITS, BEGINNING = 18, 12, 4
 #: Chi-square from which a hashed feature takes part in a fit.
 TELLING = 12.0
@@ -157,6 +162,11 @@ class Head:
         self.weights[names] = weights
         return self
 
+    def moved(self, names: np.ndarray, centre: np.ndarray, scale: np.ndarray) -> np.ndarray:
+        """Weights of ``names``, dense weights and bias as one vector, for another centre and scale."""
+        bias = self.bias + float((self.dense * (centre - self.centre) / self.scale).sum())
+        return np.concatenate([self.weights[names], self.dense * scale / self.scale, [bias]])
+
     def odds(self, rows: Rows) -> np.ndarray:
         return self.bias + rows.sums(self.weights) + ((rows.dense - self.centre) / self.scale) @ self.dense
 
@@ -194,97 +204,302 @@ class Model:
         return np.array(out)
 
 
-def co_train(text: Rows, meta: Rows, y: np.ndarray, free_text: Rows, free_meta: Rows, rounds: int = ROUNDS, confident: float = CONFIDENT):
-    """(text head, metadata head, base log-odds), or None where all labels are alike."""
-    if len(y) < 10 or y.min() == y.max():
-        return None, None, 0.0
-    held = np.arange(len(y)) % 4 == 3
-    fit, check = np.flatnonzero(~held), np.flatnonzero(held)
-    if y[check].min() == y[check].max() or y[fit].min() == y[fit].max():
-        fit = check = np.arange(len(y))
-    views = {"text": (text, free_text, Head(WORD_BITS)), "meta": (meta, free_meta, Head(META_BITS))}
-    lent: dict = {"text": {}, "meta": {}}
-    n_free = len(free_text.ends)
-    for turn in range(rounds):
-        for name, (rows, free, head) in views.items():
-            at = np.array(sorted(lent[name]), np.int64)
-            more = np.array([lent[name][i] for i in at.tolist()], float)
-            part, extra = rows.take(fit), free.take(at)
-            joined = Rows(np.concatenate([part.slots, extra.slots]), np.concatenate([part.ends, extra.ends + (part.ends[-1] if len(part.ends) else 0)]), np.concatenate([part.dense, extra.dense]))
-            head.fit(joined, np.concatenate([y[fit], more]))
-            head.calibrate(rows.take(check), y[check])
-        if turn + 1 == rounds or not n_free:
-            break
-        for name, other in (("text", "meta"), ("meta", "text")):
-            p = 1 / (1 + np.exp(-views[name][2].calibrated(views[name][1])))
-            for i in np.flatnonzero((p >= confident) | (p <= 1 - confident)).tolist():
-                lent[other].setdefault(i, float(p[i] >= 0.5))
-    return views["text"][2], views["meta"][2], math.log((y[check].sum() + 0.5) / (len(check) - y[check].sum() + 0.5))
+VIEWS = ("text", "meta")
+_BITS = (WORD_BITS, META_BITS)
+_CHUNK = 4096
+_SUMS = pa.schema([("k", pa.int32()), ("chunk", pa.int32()), ("part", pa.binary())])
+#: A gap that only adds to the next one.
+_FAR = 65535
 
 
-def _views(b, at: dict) -> tuple[Rows, Rows]:
-    text = [text_view(t.as_py()) for t in b.column(at["text"])]
-    get = lambda k: b.column(at[k]).to_pylist() if k in at else [None] * b.num_rows
-    meta = [meta_view(*x) for x in zip(get("lang"), get("source"), get("n_chars"))]
-    return Rows.of([t[0] for t in text], [t[1] for t in text] or np.zeros((0, MEASURES))), Rows.of(meta)
+def _packed(slots: np.ndarray) -> bytes:
+    """Gaps between sorted slots, two bytes each."""
+    gaps = np.diff(np.sort(slots), prepend=0)
+    if len(gaps) and gaps.max() >= _FAR:
+        gaps = np.array([x for g in gaps.tolist() for x in [_FAR] * (g // _FAR) + [g % _FAR]])
+    return gaps.astype("<u2").tobytes()
 
 
-_FIELDS = ("doc_id", "text", "lang", "source", "n_chars")
+def _unpacked(slots: pa.Array, measures: pa.Array, meta: pa.Array) -> tuple[Rows, Rows]:
+    n = len(slots)
+    gaps = np.frombuffer(b"".join(slots.to_pylist()), "<u2").astype(np.int64)
+    sizes = pc.binary_length(slots).to_numpy(zero_copy_only=False).astype(np.int64) // 2
+    ends, total, real = np.cumsum(sizes, dtype=np.int64), np.concatenate([[0], np.cumsum(gaps)]), gaps != _FAR
+    found = (total[1:] - np.repeat(total[ends - sizes], sizes))[real]
+    dense = np.frombuffer(b"".join(measures.to_pylist())).reshape(n, MEASURES)
+    named = np.frombuffer(b"".join(meta.to_pylist()), "<u2").astype(np.int64)
+    per = len(named) // n if n else 0
+    return Rows(found, np.concatenate([[0], np.cumsum(real)])[ends], dense), Rows(named, np.arange(1, n + 1) * per, np.zeros((n, 0)))
 
 
-class _Sample:
-    """Features of a bounded table of documents, at the driver, as flat arrays."""
+def _lent(past: list, rows: tuple[Rows, Rows], confident: float) -> np.ndarray:
+    """Labels that heads lend to views, a row for each head and view; NaN where none.
 
-    def __init__(self, docs: DataFrame):
-        schema = pa.schema([("doc_id", pa.int64()), ("tie", pa.int64()), ("quality", pa.int32()), ("toxic", pa.int32()), ("slots", pa.list_(pa.int32())), ("measures", pa.list_(pa.float64())), ("meta", pa.list_(pa.int32()))])
+    ``past`` holds each head's pairs of fitted views, one a round; the first confident one counts.
+    """
+    out = np.full((2 * len(past), len(rows[0].ends)), np.nan)
+    for h, pairs in enumerate(past):
+        for pair in pairs:
+            for v in range(2):
+                p = 1 / (1 + np.exp(-pair[1 - v].calibrated(rows[1 - v])))
+                own = out[2 * h + v]
+                sure = np.isnan(own) & ((p >= confident) | (p <= 1 - confident))
+                own[sure] = p[sure] >= 0.5
+    return out
 
-        def work(batches):
-            for b in batches:
-                rows = []
-                for i, t, lang, source, n, q, x, tie in zip(*(c.to_pylist() for c in b.columns)):
-                    slots, measures = text_view(t)
-                    rows.append((i, tie, q, x, slots, measures, meta_view(lang, source, n)))
-                yield common.batch(schema, *zip(*rows)) if rows else common.batch(schema, [], [], [], [], [], [], [])
 
-        rows = docs.withColumn("tie", F.xxhash64(*_FIELDS)).mapInArrow(work, "doc_id long, tie long, quality int, toxic int, slots array<int>, measures array<double>, meta array<int>").toArrow()
-        self.table = rows.sort_by([("doc_id", "ascending"), ("tie", "ascending")]).combine_chunks()
+def _counts(rows: Rows, y: np.ndarray, m: int) -> np.ndarray:
+    """Rows and bad rows of each slot, sums and squares of the dense measures, rows and bad rows."""
+    row = np.repeat(np.arange(len(y)), np.diff(np.concatenate([[0], rows.ends])))
+    seen = np.bincount(rows.slots, minlength=m)
+    bad = np.bincount(rows.slots, weights=y[row], minlength=m)
+    return np.concatenate([seen, bad, rows.dense.sum(axis=0), (rows.dense**2).sum(axis=0), [len(y), y.sum()]])
 
-    def rows(self, keep) -> tuple[Rows, Rows]:
-        """Text and metadata rows of those that are kept."""
-        t = self.table.filter(pa.array(keep)).combine_chunks()
 
-        def lists(name):
-            c = t.column(name).combine_chunks()
-            c = c if isinstance(c, pa.Array) else pa.concat_arrays(c.chunks) if c.num_chunks else pa.array([], c.type)
-            return c.flatten().to_numpy(), np.cumsum(c.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64))
+@dataclass
+class Point:
+    """Weights at which loss and gradient are taken: of ``names``, of the dense measures, and the bias."""
 
-        slots, ends = lists("slots")
-        dense = lists("measures")[0].reshape(-1, MEASURES)
-        meta, meta_ends = lists("meta")
-        return Rows(slots.astype(np.int64), ends, dense), Rows(meta.astype(np.int64), meta_ends, np.zeros((len(meta_ends), 0)))
+    bits: int
+    names: np.ndarray
+    centre: np.ndarray
+    scale: np.ndarray
+    at: np.ndarray
+
+    def slope(self, rows: Rows, y: np.ndarray) -> np.ndarray:
+        """Gradient and loss, both summed over rows."""
+        n, m = len(y), len(self.names)
+        place = np.full(1 << self.bits, -1, np.int32)
+        place[self.names] = np.arange(m)
+        slots = place[rows.slots]
+        own = slots >= 0
+        row, slots = np.repeat(np.arange(n), np.diff(np.concatenate([[0], rows.ends])))[own], slots[own]
+        x = (rows.dense - self.centre) / self.scale
+        z = np.clip(self.at[-1] + np.bincount(row, weights=self.at[slots], minlength=n) + x @ self.at[m:-1], -30, 30)
+        e = 1 / (1 + np.exp(-z)) - y
+        return np.concatenate([np.bincount(slots, weights=e[row], minlength=m), x.T @ e, [e.sum(), (np.logaddexp(0, z) - y * z).sum()]])
 
-    def column(self, name: str) -> np.ndarray:
-        """Values as doubles, nulls as NaN."""
-        return self.table.column(name).cast(pa.float64()).to_numpy(zero_copy_only=False) if self.table.num_rows else np.empty(0)
 
+def _summed(rows: DataFrame, widths: dict, made) -> dict:
+    """The sums of the vectors that ``made(batch)`` gives as {k: vector}, added up on the executors."""
+    spark = rows.sparkSession
 
-def train(docs: DataFrame, labels: DataFrame, labelled: int = LABELLED, unlabelled: int = UNLABELLED) -> Model:
-    """Fits both views on bounded samples of docs."""
+    def part(batches):
+        total = {k: np.zeros(n) for k, n in widths.items()}
+        for b in batches:
+            if b.num_rows:
+                for k, v in made(b).items():
+                    total[k] += v
+        for k, v in total.items():
+            at = [i for i in range(0, len(v), _CHUNK) if v[i : i + _CHUNK].any()]
+            if at:
+                yield common.batch(_SUMS, [k] * len(at), [i // _CHUNK for i in at], [v[i : i + _CHUNK].tobytes() for i in at])
+
+    def whole(batches):
+        total: dict = {}
+        for b in batches:
+            for k, chunk, v in zip(*(c.to_pylist() for c in b.columns)):
+                total[k, chunk] = total.get((k, chunk), 0.0) + np.frombuffer(v)
+        if total:
+            yield common.batch(_SUMS, [k for k, _ in total], [c for _, c in total], [v.tobytes() for v in total.values()])
+
+    kind = "k int, chunk int, part binary"
+    parts = rows.coalesce(2 * spark.sparkContext.defaultParallelism).mapInArrow(part, kind)
+    out = {k: np.zeros(n) for k, n in widths.items()}
+    for k, chunk, v in zip(*(c.to_pylist() for c in parts.repartition(common.partitions(spark), "k", "chunk").mapInArrow(whole, kind).toArrow().columns)):
+        out[k][chunk * _CHUNK : (chunk + 1) * _CHUNK] = np.frombuffer(v)
+    return out
+
+
+class _Descent:
+    """Minimum of a smooth loss by limited-memory quasi-Newton steps, a value and gradient at a time."""
+
+    def __init__(self, start: np.ndarray, curve: np.ndarray):
+        self.best = self.next = start
+        self.curve, self.pairs, self.loss, self.step = curve, [], math.inf, 1.0
+
+    def told(self, loss: float, g: np.ndarray) -> None:
+        """What the loss and gradient are at ``next``; chooses another ``next``."""
+        if not loss <= self.loss:
+            self.step /= 4
+        else:
+            if self.loss < math.inf and (s := self.next - self.best) @ (d := g - self.gradient) > 1e-12:
+                self.pairs = [*self.pairs[-6:], (s, d)]
+            self.best, self.loss, self.gradient, self.step = self.next, loss, g, 1.0
+            q, used = g.copy(), []
+            for s, d in reversed(self.pairs):
+                used.append((s @ q) / (s @ d))
+                q -= used[-1] * d
+            q /= self.curve
+            for (s, d), a in zip(self.pairs, reversed(used)):
+                q += (a - (d @ q) / (s @ d)) * s
+            self.way = -q
+        self.next = self.best + self.step * self.way
+
+
+class _Labelled:
+    """One head's labelled rows: those it is fitted on, and those kept out for calibration."""
+
+    def __init__(self, views: tuple[Rows, Rows], y: np.ndarray):
+        held = np.arange(len(y)) % 4 == 3
+        fit, check = np.flatnonzero(~held), np.flatnonzero(held)
+        if y[check].min() == y[check].max() or y[fit].min() == y[fit].max():
+            fit = check = np.arange(len(y))
+        self.fit, self.y = [v.take(fit) for v in views], y[fit]
+        self.check, self.known = [v.take(check) for v in views], y[check]
+        self.prior = math.log((self.known.sum() + 0.5) / (len(check) - self.known.sum() + 0.5))
+
+    def first(self) -> tuple[Head, Head]:
+        return tuple(self.calibrated(v, Head(_BITS[v]).fit(self.fit[v], self.y)) for v in range(2))
+
+    def calibrated(self, v: int, head: Head) -> Head:
+        head.calibrate(self.check[v], self.known)
+        return head
+
+
+def _round(store: DataFrame, stage: common.Stage, own: list, past: list, turn: int, confident: float, keep: float = 2e-5) -> list | None:
+    """Each head's pair of views, fitted on labelled rows and on all that the other view lends; None if nothing is lent."""
+    spark = store.sparkSession
+    sent = spark.sparkContext.broadcast(past)
+    ks = [(2 * h + v, h, v) for h in range(len(own)) for v in range(2)]
+    free = store.filter("NOT own").select("slots", "measures", "meta")
+
+    def counted(b):
+        rows = _unpacked(*b.columns[:3])
+        lent = _lent(sent.value, rows, confident)
+        return {k: _counts(rows[v].take(at), lent[k][at], 1 << _BITS[v]) for k, _, v in ks if len(at := np.flatnonzero(~np.isnan(lent[k])))}
+
+    widths = {k: 2 * (1 << _BITS[v]) + 2 * own[h].fit[v].dense.shape[1] + 2 for k, h, v in ks}
+    sums = _summed(free, widths, counted)
+    if not any(s[-2] for s in sums.values()):
+        return None
+    points, weight, ways = {}, {}, {}
+    for k, h, v in ks:
+        rows, y, m = own[h].fit[v], own[h].y, 1 << _BITS[v]
+        weight[k] = min(1.0, len(y) / max(1.0, sums[k][-2]))
+        all_of = _counts(rows, y, m) + weight[k] * sums[k]
+        n, d = all_of[-2], rows.dense.shape[1]
+        seen, bad, share = all_of[:m], all_of[m : 2 * m], all_of[-1] / n
+        telling = ((bad - seen * share) ** 2 / (seen * share * (1 - share) + 1e-9) >= TELLING) & (seen >= 3)
+        names = np.flatnonzero(telling)
+        centre = all_of[2 * m : 2 * m + d] / n
+        scale = np.sqrt(np.maximum(0, all_of[2 * m + d : 2 * m + 2 * d] / n - centre**2)) + 1e-6
+        points[k] = Point(_BITS[v], names, centre, scale, past[h][-1][v].moved(names, centre, scale))
+        curve = np.concatenate([seen[names] / n, np.ones(d + 1)]) / 4
+        ways[k] = _Descent(points[k].at, curve + 1e-4), n
+
+    wanted = np.zeros(1 << WORD_BITS, bool)
+    for k, _, v in ks:
+        if not v:
+            wanted[points[k].names] = True
+    chosen = spark.sparkContext.broadcast(np.packbits(wanted))
+
+    def labelled(batches):
+        """Rows that are lent to any view, with the words that take part."""
+        schema = pa.schema([(c, pa.binary()) for c in ("slots", "measures", "meta", "lent")])
+        for b in batches:
+            if b.num_rows:
+                rows = _unpacked(*b.columns)
+                lent = _lent(sent.value, rows, confident)
+                some = np.flatnonzero(~np.isnan(lent).all(axis=0))
+                if len(some):
+                    text = rows[0].take(some)
+                    keep_slot = np.unpackbits(chosen.value)[text.slots] == 1
+                    cuts = np.concatenate([[0], np.cumsum(keep_slot)])[np.concatenate([[0], text.ends])]
+                    words = np.split(text.slots[keep_slot], cuts[1:-1])
+                    yield common.batch(schema, [_packed(w) for w in words], b.column(1).take(pa.array(some)), b.column(2).take(pa.array(some)), [x.tobytes() for x in lent[:, some].T.astype(np.float32)])
+
+    lent = stage.save(free.mapInArrow(labelled, "slots binary, measures binary, meta binary, lent binary"), f"lent{turn}")
+    for _ in range(PASSES):
+        for k in points:
+            points[k].at = ways[k][0].next
+        now = spark.sparkContext.broadcast(points)
+
+        def sloped(b, now=now):
+            rows = _unpacked(*b.columns[:3])
+            labels = np.frombuffer(b"".join(b.column(3).to_pylist()), np.float32).reshape(b.num_rows, -1)
+            return {k: now.value[k].slope(rows[v].take(at), labels[at, k].astype(float)) for k, _, v in ks if len(at := np.flatnonzero(~np.isnan(labels[:, k])))}
+
+        got = _summed(lent, {k: len(p.at) + 1 for k, p in points.items()}, sloped)
+        for k, h, v in ks:
+            way, n = ways[k]
+            g = (points[k].slope(own[h].fit[v], own[h].y) + weight[k] * got[k]) / n
+            w = np.concatenate([points[k].at[:-1], [0.0]])
+            way.told(g[-1] + keep / 2 * (w @ w), g[:-1] + keep * w)
+        now.destroy()
+    stage.drop(f"lent{turn}")
+    out = [[None, None] for _ in own]
+    for k, h, v in ks:
+        p, w = points[k], ways[k][0].best
+        weights = np.zeros(1 << p.bits)
+        weights[p.names] = w[: len(p.names)]
+        out[h][v] = own[h].calibrated(v, Head(p.bits, weights, w[len(p.names) : -1], float(w[-1]), p.centre, p.scale))
+    return out
+
+
+def co_train(store: DataFrame, stage: common.Stage, own: list, rounds: int = ROUNDS, confident: float = CONFIDENT) -> list:
+    """Each head's pair of fitted views."""
+    past = [[o.first()] for o in own]
+    for turn in range(1, rounds):
+        if not own or (more := _round(store, stage, own, past, turn, confident)) is None:
+            break
+        for pairs, pair in zip(past, more):
+            pairs.append(pair)
+    return [pairs[-1] for pairs in past]
+
+
+def _views(b, at: dict) -> tuple[Rows, Rows]:
+    text = [text_view(t.as_py()) for t in b.column(at["text"])]
+    get = lambda k: b.column(at[k]).to_pylist() if k in at else [None] * b.num_rows
+    meta = [meta_view(*x) for x in zip(get("lang"), get("source"), get("n_chars"))]
+    return Rows.of([t[0] for t in text], [t[1] for t in text] or np.zeros((0, MEASURES))), Rows.of(meta)
+
+
+_FIELDS = ("doc_id", "text", "lang", "source", "n_chars")
+
+
+def features(docs: DataFrame, chosen: DataFrame) -> DataFrame:
+    """Packed features of every document; ``own`` marks those of the labelled sample, which carry their labels."""
+    schema = pa.schema([("doc_id", pa.int64()), ("own", pa.bool_()), ("tie", pa.int64()), ("quality", pa.int32()), ("toxic", pa.int32()), ("slots", pa.binary()), ("measures", pa.binary()), ("meta", pa.binary())])
+
+    def work(batches):
+        for b in batches:
+            slots, measures, meta = [], [], []
+            for t, lang, source, n in zip(*(c.to_pylist() for c in b.columns[1:5])):
+                words, sizes = text_view(t)
+                slots.append(_packed(words))
+                measures.append(np.array(sizes).tobytes())
+                meta.append(np.array(meta_view(lang, source, n), "<u2").tobytes())
+            yield common.batch(schema, b.column(0), *b.columns[5:], slots, measures, meta)
+
+    rows = docs.join(F.broadcast(chosen.withColumn("own", F.lit(True))), "doc_id", "left")
+    tie = F.when(F.col("own"), F.xxhash64(*_FIELDS))
+    rows = rows.select(*_FIELDS, F.coalesce("own", F.lit(False)).alias("own"), tie.alias("tie"), "quality", "toxic")
+    return rows.mapInArrow(work, "doc_id long, own boolean, tie long, quality int, toxic int, slots binary, measures binary, meta binary")
+
+
+def train(docs: DataFrame, labels: DataFrame, labelled: int = LABELLED) -> tuple[Model, DataFrame]:
+    """Both views fitted on a sample of labelled rows and on all other rows of docs; the features of docs."""
     common.small_batches(docs.sparkSession)
     docs = common.columns(docs, list(_FIELDS))
-    order = F.xxhash64("doc_id")
+    stage = common.Stage(docs.sparkSession, "quality")
     known = labels.filter("doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("quality").cast("int").alias("quality"), F.max("toxic").cast("int").alias("toxic"))
-    chosen = known.orderBy(order, "doc_id").limit(labelled)
-    own = _Sample(docs.join(F.broadcast(chosen), "doc_id").select(*_FIELDS, "quality", "toxic"))
-    others = docs.filter("doc_id IS NOT NULL").select("doc_id").orderBy(F.xxhash64("doc_id", F.lit(1)), "doc_id").limit(unlabelled).distinct()
-    free = _Sample(docs.join(F.broadcast(others), "doc_id").select(*_FIELDS, F.lit(None).cast("int").alias("quality"), F.lit(None).cast("int").alias("toxic")))
-    spare = free.rows(~np.isin(free.column("doc_id"), own.column("doc_id")))
-    heads = []
-    for name, bad in (("quality", 0.0), ("toxic", 1.0)):
-        value = own.column(name)
-        have = ~np.isnan(value)
-        heads.append(co_train(*own.rows(have), (value[have] == bad).astype(float), *spare))
-    return Model(*(list(x) for x in zip(*heads)))
+    chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(labelled)
+    store = stage.save(features(docs, chosen), "features")
+    t = store.filter("own").toArrow().sort_by([("doc_id", "ascending"), ("tie", "ascending")]).combine_chunks()
+    views = _unpacked(*(t.column(c).combine_chunks() for c in ("slots", "measures", "meta"))) if t.num_rows else None
+    own, at = [], []
+    for h, (name, bad) in enumerate((("quality", 0.0), ("toxic", 1.0))):
+        value = t.column(name).cast(pa.float64()).to_numpy(zero_copy_only=False) if t.num_rows else np.empty(0)
+        have = np.flatnonzero(~np.isnan(value))
+        y = (value[have] == bad).astype(float)
+        if len(y) >= 10 and y.min() != y.max():
+            own.append(_Labelled(tuple(v.take(have) for v in views), y))
+            at.append(h)
+    heads = [(None, None, 0.0)] * len(HEADS)
+    for h, o, pair in zip(at, own, co_train(store, stage, own)):
+        heads[h] = (*pair, o.prior)
+    return Model(*(list(x) for x in zip(*heads))), store
 
 
 def _light(head: Head | None) -> Head | None:
@@ -295,16 +510,17 @@ def _light(head: Head | None) -> Head | None:
 
 def score(docs: DataFrame, labels: DataFrame, bound: float = 0.5) -> DataFrame:
     """One row per document: doc_id, probability of low quality and of toxic text, and whether it stays."""
-    model = docs.sparkSession.sparkContext.broadcast(_ready(train(docs, labels)))
+    fitted, store = train(docs, labels)
+    model = docs.sparkSession.sparkContext.broadcast(_ready(fitted))
 
     def work(batches):
         schema = pa.schema([("doc_id", pa.int64()), ("low_quality", pa.float64()), ("toxic", pa.float64()), ("keep", pa.bool_())])
         for b in batches:
             if b.num_rows:
-                p = model.value.bad(*_views(b, {k: i for i, k in enumerate(_FIELDS)}))
+                p = model.value.bad(*_unpacked(*b.columns[1:]))
                 yield common.batch(schema, b.column(0), p[0], p[1], (p < bound).all(axis=0))
 
-    return common.columns(docs, list(_FIELDS)).mapInArrow(work, "doc_id long, low_quality double, toxic double, keep boolean")
+    return store.select("doc_id", "slots", "measures", "meta").mapInArrow(work, "doc_id long, low_quality double, toxic double, keep boolean")
 
 
 def _ready(model: Model) -> Model:
@@ -313,7 +529,7 @@ def _ready(model: Model) -> Model:
 
 def kept(docs: DataFrame, labels: DataFrame, bound: float = 0.5) -> DataFrame:
     """The documents that stay, with all their columns."""
-    model = docs.sparkSession.sparkContext.broadcast(_ready(train(docs, labels)))
+    model = docs.sparkSession.sparkContext.broadcast(_ready(train(docs, labels)[0]))
     at = {k: docs.columns.index(k) for k in _FIELDS}
 
     def work(batches):

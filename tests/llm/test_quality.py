@@ -43,3 +43,32 @@ def test_no_labels_rejects_nothing(spark):
     empty = spark.createDataFrame([], "doc_id long, quality int, toxic int")
     assert [r.keep for r in quality.score(docs, empty).collect()] == [True]
     assert quality.score(docs.filter("false"), empty).collect() == []
+
+
+def test_every_unlabelled_document_reaches_the_other_view(spark, monkeypatch):
+    """Rows counted as lent, against all rows of which the metadata view of the labelled fit is sure."""
+    rows, labels = corpus(n=6000, seed=2)
+    rows = [(*r[:3], "bad" if q == 0 else r[3], r[4]) for r, (_, q, _) in zip(rows, labels)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    known = spark.createDataFrame([(i, q, None) for i, q, _ in labels[:600]], "doc_id long, quality int, toxic int")
+    seen = []
+    summed = quality._summed
+
+    def spy(free, widths, made):
+        out = summed(free, widths, made)
+        seen.append({k: v[-2] for k, v in out.items()})
+        return out
+
+    monkeypatch.setattr(quality, "_summed", spy)
+    quality.train(docs, known)
+    assert seen[0][0] > 5000
+
+
+def test_features_pack_and_unpack():
+    import pyarrow as pa
+
+    sets = [[], [0], [65535], [5, 131070, 262143], [1, 2, 3], [200000]]
+    packed = pa.array([quality._packed(np.array(s, np.int64)) for s in sets], pa.binary())
+    measures = pa.array([np.arange(quality.MEASURES, dtype=float).tobytes()] * len(sets), pa.binary())
+    text, _ = quality._unpacked(packed, measures, pa.array([np.array([1, 2, 3, 4], "<u2").tobytes()] * len(sets), pa.binary()))
+    assert [x.tolist() for x in np.split(text.slots, text.ends[:-1])] == sets
