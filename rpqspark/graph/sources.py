@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -107,35 +109,100 @@ def docs(spark: SparkSession, sf_dir: str) -> Graph:
     ])
 
 
-#: Vectors that knn compares with one another at most; they are sent to every task.
-KNN_VECTORS = 100_000
+#: Vectors of a packed block, and rows of one that are ranked at once.
+KNN_BLOCK, KNN_ROWS = 1024, 64
+#: Stands for a null label, whose vector is still near others.
+NO_LABEL = -(1 << 63)
 
 
-def knn(spark: SparkSession, sf_dir: str, k: int = 5) -> Graph:
-    """Each vector and its k nearest by cosine, ties to the smaller id. For small tables:
-    the vectors are broadcast, and more than ``KNN_VECTORS`` are refused."""
+def _vector_blocks(rows: DataFrame) -> DataFrame:
+    """(dim, first, ids, labels, vectors): packed unit vectors of one length, up to ``KNN_BLOCK`` in a block."""
     import numpy as np
     import pyarrow as pa
 
-    t = table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"), "label")
-    rows = t.limit(KNN_VECTORS + 1).toArrow()
-    if rows.num_rows > KNN_VECTORS:
-        raise ValueError(f"knn takes {KNN_VECTORS} vectors at most")
-    ids, x = rows.column("vec_id").to_numpy(), np.array(rows.column("v").to_pylist(), float)
-    sent = spark.sparkContext.broadcast((ids, x / np.linalg.norm(x, axis=1, keepdims=True)))
-    schema = pa.schema([("a", pa.int64()), ("label", pa.int32()), ("b", pa.int64())])
+    schema = pa.schema([("dim", pa.int32()), ("first", pa.int64()), ("ids", pa.binary()), ("labels", pa.binary()), ("vectors", pa.binary())])
+
+    def packed(have):
+        x = np.array([v for _, _, v in have], float)
+        x /= np.linalg.norm(x, axis=1, keepdims=True)
+        ids, labels = (np.array(c, np.int64).tobytes() for c in zip(*[(i, label) for i, label, _ in have]))
+        return pa.RecordBatch.from_pylist([{"dim": x.shape[1], "first": have[0][0], "ids": ids, "labels": labels, "vectors": x.tobytes()}], schema=schema)
 
     def work(batches):
-        ids, unit = sent.value
+        have: dict[int, list] = {}
         for b in batches:
-            own = np.array(b.column(1).to_pylist(), float)
-            cosine = own @ unit.T / np.linalg.norm(own, axis=1, keepdims=True)
-            for i, name, row in zip(b.column(0).to_pylist(), b.column(2).to_pylist(), cosine):
-                order = np.lexsort((ids, -row))
-                best = [j for j in ids[order[: k + 1]].tolist() if j != i][:k]
-                yield pa.RecordBatch.from_arrays([pa.array([i] * len(best), pa.int64()), pa.array([name] * len(best), pa.int32()), pa.array(best, pa.int64())], schema=schema)
-
-    near = t.mapInArrow(work, "a long, label int, b long")
+            for i, v, label in zip(*(c.to_pylist() for c in b.columns)):
+                part = have.setdefault(len(v), [])
+                part.append((i, label, v))
+                if len(part) == KNN_BLOCK:
+                    yield packed(have.pop(len(v)))
+        for part in have.values():
+            yield packed(part)
+
+    return rows.mapInArrow(work, "dim int, first long, ids binary, labels binary, vectors binary")
+
+
+def _best(found, k: int):
+    """Of arrays (a, label, b, cosine), the k rows of each a with the largest cosine, ties to the smaller b."""
+    import numpy as np
+
+    a, label, b, cosine = found
+    order = np.lexsort((label, b, -cosine, a))
+    starts = np.flatnonzero(np.diff(a[order], prepend=a[order][:1] - 1))
+    rank = np.arange(len(a)) - np.repeat(starts, np.diff(np.append(starts, len(a))))
+    return [x[order[rank < k]] for x in found]
+
+
+def nearest(table: DataFrame, k: int) -> DataFrame:
+    """(a, label, b): the k nearest of each vector by cosine, ties to the smaller id.
+
+    Blocks of vectors meet in a square of groups, so that each is copied once for a row or
+    column of it; a task keeps k rows a vector. Vectors without a cosine take no part.
+    """
+    import numpy as np
+    import pyarrow as pa
+
+    spark = table.sparkSession
+    side = math.isqrt(int(spark.conf.get("spark.sql.shuffle.partitions")) - 1) + 1
+    rows = table.select("vec_id", F.col("embedding").cast("array<double>").alias("v"), F.coalesce(F.col("label").cast("long"), F.lit(NO_LABEL)).alias("label")).dropna()
+    rows = rows.filter(F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists("v", lambda x: x != 0))
+    blocks = _vector_blocks(rows)
+    group = F.pmod(F.xxhash64("first", "dim"), F.lit(side))
+    every = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(side - 1).cast("long")))
+    asked = blocks.select("dim", group.alias("i"), every.alias("j"), F.col("ids").alias("q_ids"), F.col("labels").alias("q_labels"), F.col("vectors").alias("q_vectors"))
+    met = blocks.select("dim", group.alias("j"), every.alias("i"), "ids", "vectors").join(asked, ["dim", "i", "j"]).select("dim", "ids", "vectors", "q_ids", "q_labels", "q_vectors")
+    schema = pa.schema([("a", pa.int64()), ("label", pa.int64()), ("b", pa.int64()), ("cosine", pa.float64())])
+
+    def work(batches):
+        found, n = [], 0
+        for batch in batches:
+            for dim, *packed in zip(*batch.columns):
+                ids, x, q_ids, q_labels, q = (np.frombuffer(c.as_buffer(), float if i in (1, 4) else np.int64) for i, c in enumerate(packed))
+                x, q = x.reshape(-1, dim.as_py()), q.reshape(-1, dim.as_py())
+                for at in range(0, len(q), KNN_ROWS):
+                    own, part = q_ids[at : at + KNN_ROWS], q[at : at + KNN_ROWS]
+                    cosine = part @ x.T
+                    cosine[own[:, None] == ids] = -np.inf
+                    # Products of blocks may round equal vectors differently: what is near the k-th is taken again.
+                    least = np.partition(cosine, max(0, len(ids) - k), axis=1)[:, max(0, len(ids) - k)]
+                    r, c = np.nonzero((cosine >= least[:, None] - 1e-9) & (cosine > -np.inf))
+                    found.append(_best([own[r], q_labels[at : at + KNN_ROWS][r], ids[c], (part[r] * x[c]).sum(axis=1)], k))
+                    n += len(found[-1][0])
+                if n > 1_000_000:
+                    found = [_best([np.concatenate(f) for f in zip(*found)], k)]
+                    n = 0
+        if found:
+            best = _best([np.concatenate(f) for f in zip(*found)], k)
+            for at in range(0, len(best[0]), 10_000):
+                yield pa.RecordBatch.from_arrays([pa.array(x[at : at + 10_000]) for x in best], schema=schema)
+
+    ranked = met.mapInArrow(work, "a long, label long, b long, cosine double").withColumn("k", F.row_number().over(Window.partitionBy("a").orderBy(F.desc("cosine"), "b")))
+    return ranked.filter(F.col("k") <= k).select("a", F.nullif("label", F.lit(NO_LABEL)).alias("label"), "b")
+
+
+def knn(spark: SparkSession, sf_dir: str, k: int = 5) -> Graph:
+    """Each vector and its k nearest by cosine, ties to the smaller id."""
+    near = nearest(table(spark, sf_dir, "embeddings"), k)
     return _union([_edges(near, _node("vec", "a"), F.concat(F.lit("near_"), F.col("label").cast("string")), _node("vec", "b"))])
 
 

@@ -107,3 +107,25 @@ def test_builders_equal_a_global_order(spark, sf_dir):
     e = sources.table(spark, sf_dir, "events")
     want = e.withColumn("next", F.lead("user_id").over(Window.orderBy("ts", "event_id"))).select("event_id", "next")
     assert rows(sources.followed(e).select("event_id", "next")) == rows(want)
+
+
+def test_nearest_vectors_over_many_blocks(spark, monkeypatch):
+    import numpy as np
+
+    monkeypatch.setattr(sources, "KNN_BLOCK", 16)
+    assert not hasattr(sources, "KNN_VECTORS")
+    rnd = np.random.default_rng(4)
+    x = rnd.normal(size=(150, 6))
+    x[20:60] = x[3]
+    given = [(i, v.tolist(), i % 4) for i, v in enumerate(x)]
+    odd = [(900, None, 1), (901, [0.0] * 6, 1), (902, [float("nan")] * 6, 1)]
+    got = {}
+    for a, label, b in sources.nearest(spark.createDataFrame(given + odd, "vec_id long, embedding array<double>, label int"), 5).collect():
+        assert label == a % 4
+        got.setdefault(a, set()).add(b)
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    want = {}
+    for i, v in enumerate(unit):
+        cosine = (unit * v).sum(axis=1)
+        want[i] = set([j for j in np.lexsort((np.arange(150), -cosine)).tolist() if j != i][:5])
+    assert got == want
