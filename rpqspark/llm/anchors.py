@@ -17,11 +17,16 @@ are anchors: a sparse set of suffixes that misses no repeat.
    follows which windows two classes share.
 3. Covered spans are merged per document and cut out of the text.
 
+A rule may ask for a second, ``shorter`` length. Anchors are then those of the shorter
+windows, surroundings reach as far as the longer ones, and the same orders and classes give
+the spans of both lengths.
+
 A gram that is frequent (a passage in a third of all rows) gets longer
 prefixes: where a sample shows it, its anchors are dealt by surroundings instead of
 by gram, and its windows are compared whole, as grams of full length, with equal
-ones merged before the shuffle. The sample only moves work; every anchor is decided
-either way, by the same rule.
+ones merged before the shuffle. So are those of every gram that an exact count finds to
+have over ``GROUP`` classes, so that the groups of step 2 are bounded. Both only move work;
+every anchor is decided either way, by the same rule.
 """
 
 from __future__ import annotations
@@ -41,12 +46,14 @@ BLOCK = 1 << 18
 #: Documents looked at for frequent grams, as one in so many; a gram is frequent from so many
 #: sightings and from this share of an average partition's anchors.
 SAMPLE_ONE_IN, SIGHTINGS, PARTITION_SHARE = 64, 24, 0.5
-#: Frequent grams kept at most (8 bytes each are sent to every task).
+#: Frequent grams of the sample that are sent to every task at most (8 bytes each).
 FREQUENT = 20_000
+#: Classes of one gram that are compared in one task; a gram with more goes by its windows.
+GROUP = 20_000
 
-ANCHOR, SPAN, REPRESENTATIVE, FREQUENT_ONE = 0, 1, 2, 3
-_ROW = pa.schema([("p", pa.int64()), ("g", pa.int64()), ("c", pa.int64()), ("doc_id", pa.int64()), ("h", pa.int32()), ("pos", pa.int64()), ("n", pa.int64()), ("kind", pa.int8()), ("seen", pa.bool_())])
-ROW = "p long, g long, c long, doc_id long, h int, pos long, n long, kind byte, seen boolean"
+ANCHOR, SPAN, REPRESENTATIVE, FREQUENT_ONE, SHORT_SPAN = 0, 1, 2, 3, 4
+_ROW = pa.schema([("p", pa.int64()), ("g", pa.int64()), ("c", pa.int64()), ("doc_id", pa.int64()), ("h", pa.int64()), ("pos", pa.int64()), ("n", pa.int64()), ("kind", pa.int8()), ("seen", pa.bool_())])
+ROW = "p long, g long, c long, doc_id long, h long, pos long, n long, kind byte, seen boolean"
 _U = np.uint64
 
 
@@ -107,23 +114,38 @@ class Rule:
     #: (split text, start, end) -> bytes of the symbols, and back into sortable symbols.
     cut: Callable[[object, int, int], bytes]
     back: Callable[[bytes], object]
-    #: sequences -> (order, common prefix length of each with the one before).
-    order: Callable[[list], tuple[list[int], list[int]]]
+    #: sequences -> their order, with ``depths`` (common-prefix lengths at which their classes may
+    #: change) and ``classes(depth)`` (a number for each; equal ones share ``depth`` symbols).
+    order: Callable[[list], object]
+    #: Length of the longest common prefix of two sequences.
+    prefix_of: Callable[[object, object], int]
     #: Only a smaller doc_id counts as an earlier occurrence; else any other place does.
     earlier: bool = field(default=False)
+    #: A second, shorter length whose spans are reported beside; 0: none.
+    shorter: int = field(default=0)
 
     @property
     def reach(self) -> int:
         return self.size - self.prefix
 
+    @property
+    def least(self) -> int:
+        """Length of the windows whose anchors are taken."""
+        return self.shorter or self.size
+
+    @property
+    def kinds(self) -> list[tuple[int, int]]:
+        """(length, kind of its spans) of every length asked for."""
+        return [(self.size, SPAN)] + ([(self.shorter, SHORT_SPAN)] if self.shorter else [])
+
 
 def anchors(symbols: np.ndarray, rule: Rule) -> tuple[np.ndarray, ...]:
     """Position, gram hash, hash of the surroundings, and their reach to the left
     and to the right, of every anchor of a document."""
-    n, w = len(symbols), rule.reach + 1
+    n, w = len(symbols), rule.least - rule.prefix + 1
     found: list = [[np.empty(0, t)] for t in (np.int64, _U, _U, np.int64, np.int64)]
     at = 0
-    while n - at >= rule.size or (at and at < n):
+    while n - at >= rule.least or (at and at < n):
         # The windows around the anchors in [at, at + BLOCK) reach so far.
         lo, hi = max(0, at - rule.size), min(n, at + BLOCK + 2 * rule.size)
         part, last = symbols[lo:hi], at + BLOCK >= n
@@ -145,21 +167,35 @@ def anchors(symbols: np.ndarray, rule: Rule) -> tuple[np.ndarray, ...]:
     return tuple(np.concatenate(x) for x in found)
 
 
-def windows(symbols: np.ndarray, rule: Rule, pos: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(start, hash, second hash) of every window that holds an anchor at one of pos."""
+def windows(symbols: np.ndarray, rule: Rule, pos: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(start, hash, second hash) of every window of ``size`` that holds an anchor at one of pos."""
     n = len(symbols)
-    starts = np.unique((pos[:, None] - np.arange(rule.reach + 1)[None, :]).ravel()) if len(pos) else np.empty(0, np.int64)
-    starts = starts[(starts >= 0) & (starts + rule.size <= n)]
+    starts = np.unique((pos[:, None] - np.arange(size - rule.prefix + 1)[None, :]).ravel()) if len(pos) else np.empty(0, np.int64)
+    starts = starts[(starts >= 0) & (starts + size <= n)]
     out: list = [[], []]
     for lo in range(0, n, BLOCK):
         own = starts[(starts >= lo) & (starts < lo + BLOCK)] - lo
         if len(own):
-            part = symbols[lo : lo + BLOCK + rule.size]
+            part = symbols[lo : lo + BLOCK + size]
             for i in (0, 1):
-                out[i].append(hashed(sums(part, i), i, own, own + rule.size))
+                out[i].append(hashed(sums(part, i), i, own, own + size))
     return starts, *(np.concatenate(x) if x else np.empty(0, _U) for x in out)
 
 
+class Sorted:
+    """Sequences in order, and the common prefix of each with the one before."""
+
+    def __init__(self, order: list[int], lcp: list[int]):
+        self.order, self.lcp = np.array(order, np.int64), np.array(lcp, np.int64)
+        self.lcp[:1] = -1
+        self.depths = np.unique(self.lcp[1:])
+
+    def classes(self, depth: int) -> np.ndarray:
+        out = np.empty(len(self.order), np.int64)
+        out[self.order] = np.cumsum(self.lcp < depth)
+        return out
+
+
 def merged(starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Union of spans, as disjoint spans in order."""
     if not len(starts):
@@ -171,6 +207,8 @@ def merged(starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray
 
 
 _NO_ID = (1 << 63) - 1
+#: Added to the kind of its spans, the kind of a whole window.
+_WHOLE = 8
 _COLUMNS = ("p", "g", "c", "doc", "h", "pos", "n", "kind", "seen")
 
 
@@ -200,7 +238,7 @@ def _rows(t: dict):
     for i in range(0, len(t["g"]), 50_000):
         x = _take(t, slice(i, i + 50_000))
         ids = pa.array(x["doc"], pa.int64(), mask=x["doc"] == _NO_ID)
-        yield common.batch(_ROW, x["p"].view(np.int64), x["g"].view(np.int64), x["c"].view(np.int64), ids, x["h"].astype(np.int32), x["pos"], x["n"], x["kind"].astype(np.int8), x["seen"].astype(bool))
+        yield common.batch(_ROW, x["p"].view(np.int64), x["g"].view(np.int64), x["c"].view(np.int64), ids, x["h"].astype(np.int64), x["pos"], x["n"], x["kind"].astype(np.int8), x["seen"].astype(bool))
 
 
 def _table(b) -> dict:
@@ -210,7 +248,7 @@ def _table(b) -> dict:
     return x
 
 
-def _spans(doc, h, starts, ends) -> dict:
+def _spans(doc, h, starts, ends, kind: int = SPAN) -> dict:
     """Rows of covered spans, merged per document."""
     order = np.lexsort((ends, starts, h, doc))
     doc, h, starts, ends = (x[order] for x in (doc, h, starts, ends))
@@ -224,12 +262,17 @@ def _spans(doc, h, starts, ends) -> dict:
     stop = (top - lift)[np.concatenate([at[1:] - 1, [len(doc) - 1]])] if len(at) else top
     z = np.zeros(len(at), _U)
     p = mix(starts[at].astype(_U) ^ mix(doc[at].astype(_U)))
-    return {"p": p, "g": z, "c": z, "doc": doc[at], "h": h[at], "pos": starts[at], "n": stop - starts[at], "kind": np.full(len(at), SPAN), "seen": z.astype(bool)}
+    return {"p": p, "g": z, "c": z, "doc": doc[at], "h": h[at], "pos": starts[at], "n": stop - starts[at], "kind": np.full(len(at), kind), "seen": z.astype(bool)}
 
 
-def _own_spans(t: dict, at: np.ndarray) -> dict:
+def _own_spans(t: dict, at: np.ndarray, rule: Rule):
+    """Rows of the spans around covered anchors, for each length."""
     x = _take(t, at)
-    return _spans(x["doc"], x["h"].astype(np.int64), x["pos"] - (x["n"] >> 32), x["pos"] + (x["n"] & 0xFFFFFFFF))
+    left, right = x["n"] >> 32, x["n"] & 0xFFFFFFFF
+    for size, kind in rule.kinds:
+        a, b = np.minimum(left, size - rule.prefix), np.minimum(right, size)
+        fits = a + b >= size
+        yield from _rows(_spans(x["doc"][fits], x["h"][fits].astype(np.int64), (x["pos"] - a)[fits], (x["pos"] + b)[fits], kind))
 
 
 def _sorted(t: dict) -> dict:
@@ -254,7 +297,7 @@ def _first_pass(rule: Rule, frequent):
                 is_hot = np.isin(g, hot)
                 t = _sorted({"p": np.where(is_hot, mix(g ^ c), g), "g": g, "c": c, "doc": ids[row], "h": hashes[row], "pos": pos, "n": left << 32 | right, "kind": np.where(is_hot, FREQUENT_ONE, ANCHOR), "seen": np.zeros(len(g), bool)})
                 covered, kept = decided(t, rule)
-                yield from _rows(_own_spans(t, covered))
+                yield from _own_spans(t, covered, rule)
                 yield from _rows(_take(t, kept))
 
     return work
@@ -282,9 +325,9 @@ def _sorted_groups(batches, most: int = 200_000, shrink=None):
     rest = None
     for b in batches:
         t = _table(b)
-        passed = t["kind"] == SPAN
+        passed = (t["kind"] == SPAN) | (t["kind"] == SHORT_SPAN)
         if passed.any():
-            yield None, _take(t, passed)
+            yield None, _rows(_take(t, passed))
             t = _take(t, ~passed)
         if not len(t["g"]):
             continue
@@ -295,31 +338,39 @@ def _sorted_groups(batches, most: int = 200_000, shrink=None):
         if last:
             yield _take(t, slice(0, last)), None
         if len(rest["g"]) > most:
-            rest = _sorted(rest)
-            spans, rest = shrink(rest)
+            spans, rest = shrink(_sorted(rest))
             yield None, spans
     if rest is not None:
         yield rest, None
 
 
+def _whole_spans(t: dict, at: np.ndarray, rule: Rule):
+    """Rows of covered whole windows; the kind of a window tells its length."""
+    x = _take(t, at)
+    for _, kind in rule.kinds:
+        own = x["kind"] == kind + _WHOLE
+        yield from _rows(_spans(x["doc"][own], x["h"][own].astype(np.int64), x["pos"][own], x["pos"][own] + x["n"][own], kind))
+
+
 def _classes(rule: Rule, whole: bool):
     """Sorted anchors to spans of covered ones and representatives of grams with several classes.
 
     ``whole``: the rows are whole windows, so a class decides them and nothing else is left.
     """
+    spans_of = _whole_spans if whole else _own_spans
 
     def shrink(t):
         covered, kept = decided(t, rule)
-        return _own_spans(t, covered), _take(t, kept)
+        return list(spans_of(t, covered, rule)), _take(t, kept)
 
     def work(batches):
         for t, passed in _sorted_groups(batches, shrink=shrink):
             if passed is not None:
-                yield from _rows(passed)
+                yield from passed
                 continue
             t = _sorted(t)
             covered, kept = decided(t, rule)
-            yield from _rows(_own_spans(t, covered))
+            yield from spans_of(t, covered, rule)
             if whole:
                 continue
             g, c = t["g"], t["c"]
@@ -334,8 +385,8 @@ def _classes(rule: Rule, whole: bool):
     return work
 
 
-_TEXT = pa.schema([("g", pa.int64()), ("doc_id", pa.int64()), ("h", pa.int32()), ("left", pa.int32()), ("pos", pa.list_(pa.int64())), ("around", pa.binary())])
-TEXT = "g long, doc_id long, h int, left int, pos array<long>, around binary"
+_TEXT = pa.schema([("g", pa.int64()), ("doc_id", pa.int64()), ("h", pa.int64()), ("left", pa.int32()), ("pos", pa.list_(pa.int64())), ("around", pa.binary())])
+TEXT = "g long, doc_id long, h long, left int, pos array<long>, around binary"
 
 
 def _surroundings(rule: Rule):
@@ -359,36 +410,14 @@ def _surroundings(rule: Rule):
     return work
 
 
-def shared(rule: Rule, left: list, right: list, docs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Least and greatest offset of the windows that each member of a group shares; the
-    least is over the reach where there is none.
-
-    A window at offset o needs o symbols before the anchor and reach - o behind its
-    gram. Two members share it if they fall in one class of the left order at depth o
-    and in one class of the right order at depth reach - o. The classes change only
-    at the common-prefix lengths, so only offsets that these lengths set are looked at.
-    All windows of an anchor overlap, so the outermost two bound what is covered.
-    """
-    k, reach = len(docs), rule.reach
-    order_r, lcp_r = rule.order(right)
-    order_l, lcp_l = rule.order(left)
+def _outermost(rule: Rule, reach: int, docs: np.ndarray, right, left) -> tuple[np.ndarray, np.ndarray]:
+    """Least and greatest offset of the windows of ``reach`` beyond the gram that each member
+    shares, from the orders of both sides."""
+    k = len(docs)
     low, high = np.full(k, reach + 1), np.full(k, -1)
-    if k == 2:
-        lo, hi = max(0, reach - lcp_r[1]), min(reach, lcp_l[1])
-        if lo <= hi:
-            whom = (0, 1) if not rule.earlier else (1,) if docs[0] < docs[1] else (0,) if docs[1] < docs[0] else ()
-            for i in whom:
-                if docs[i] != _NO_ID or not rule.earlier:
-                    low[i], high[i] = lo, hi
-        return low, high
-    lcp_r, lcp_l = np.array(lcp_r), np.array(lcp_l)
-    lcp_r[0] = lcp_l[0] = -1
-    order_r, order_l = np.array(order_r), np.array(order_l)
-    offsets = np.unique(np.concatenate([np.minimum(lcp_l[1:], reach), np.maximum(reach - lcp_r[1:], 0)]))
-    of_r, of_l = np.empty(k, np.int64), np.empty(k, np.int64)
+    offsets = np.unique(np.concatenate([np.minimum(left.depths, reach), np.maximum(reach - right.depths, 0)]))
     for o in offsets[(offsets >= 0) & (offsets <= reach)].tolist():
-        of_r[order_r], of_l[order_l] = np.cumsum(lcp_r < reach - o), np.cumsum(lcp_l < o)
-        _, of, n = np.unique(of_r * (k + 1) + of_l, return_inverse=True, return_counts=True)
+        _, of, n = np.unique(right.classes(reach - o) * (k + 1) + left.classes(o), return_inverse=True, return_counts=True)
         if rule.earlier:
             least = np.full(len(n), _NO_ID)
             np.minimum.at(least, of, docs)
@@ -400,36 +429,63 @@ def shared(rule: Rule, left: list, right: list, docs: np.ndarray) -> tuple[np.nd
     return low, high
 
 
+def shared(rule: Rule, left: list, right: list, docs: np.ndarray):
+    """For each length (in the order of ``rule.kinds``): least and greatest offset of the windows
+    that each member of a group shares; the least is over the reach where there is none.
+
+    A window at offset o needs o symbols before the anchor and reach - o behind its
+    gram. Two members share it if they fall in one class of the left order at depth o
+    and in one class of the right order at depth reach - o. The classes change only
+    at the common-prefix lengths, so only offsets that these lengths set are looked at.
+    All windows of an anchor overlap, so the outermost two bound what is covered.
+    """
+    k, out = len(docs), []
+    if k == 2:
+        ahead, behind = rule.prefix_of(*right), rule.prefix_of(*left)
+        whom = (0, 1) if not rule.earlier else (1,) if docs[0] < docs[1] else (0,) if docs[1] < docs[0] else ()
+        for size, _ in rule.kinds:
+            reach = size - rule.prefix
+            low, high = np.full(k, reach + 1), np.full(k, -1)
+            lo, hi = max(0, reach - ahead), min(reach, behind)
+            for i in whom if lo <= hi else ():
+                if docs[i] != _NO_ID or not rule.earlier:
+                    low[i], high[i] = lo, hi
+            out.append((low, high))
+        return out
+    ahead, behind = rule.order(right), rule.order(left)
+    return [_outermost(rule, size - rule.prefix, docs, ahead, behind) for size, _ in rule.kinds]
+
+
 def _compared(rule: Rule):
     """Surroundings sorted by gram to the spans that different classes share."""
 
-    def found(rows) -> list:
+    def found(rows) -> None:
         if len(rows) < 2:
-            return []
+            return
         left = [rule.back(r[5])[: r[3]][::-1] for r in rows]
         right = [rule.back(r[5])[r[3] + rule.prefix :] for r in rows]
         docs = np.array([_NO_ID if r[1] is None else r[1] for r in rows], np.int64)
-        low, high = shared(rule, left, right, docs)
-        return [(docs[i], rows[i][2], p - high[i], p - low[i] + rule.size) for i in np.flatnonzero(high >= 0).tolist() for p in rows[i][4]]
+        for (size, kind), (low, high) in zip(rule.kinds, shared(rule, left, right, docs)):
+            spans.setdefault(kind, []).extend((docs[i], rows[i][2], p - high[i], p - low[i] + size) for i in np.flatnonzero(high >= 0).tolist() for p in rows[i][4])
 
-    def work(batches):
-        group, spans = [], []
+    spans: dict[int, list] = {}
 
-        def flush(least):
-            nonlocal spans
-            if len(spans) > least:
-                doc, h, start, end = (np.array(x, np.int64) for x in zip(*spans))
-                spans = []
-                yield from _rows(_spans(doc, h, start, end))
+    def flush(least):
+        for kind, have in spans.items():
+            if len(have) > least:
+                yield from _rows(_spans(*(np.array(x, np.int64) for x in zip(*have)), kind))
+                have.clear()
 
+    def work(batches):
+        group: list = []
         for b in batches:
             for r in zip(*(b.column(i).to_pylist() for i in range(6))):
                 if group and group[0][0] != r[0]:
-                    spans += found(group)
+                    found(group)
                     group = []
                 group.append(r)
             yield from flush(20_000)
-        spans += found(group)
+        found(group)
         yield from flush(0)
 
     return work
@@ -442,14 +498,16 @@ def _whole_windows(rule: Rule):
         for b in batches:
             for doc, text, h, have in zip(*(b.column(i) for i in range(4))):
                 pos = np.array([a["pos"] for a in have.as_py()], np.int64)
-                start, g, c = windows(rule.symbols((text.as_py() or "").encode()), rule, pos)
-                k = len(start)
-                z = np.zeros(k, np.int64)
-                doc_id = _NO_ID if doc.as_py() is None else doc.as_py()
-                t = _sorted({"p": g, "g": g, "c": c, "doc": z + doc_id, "h": z + h.as_py(), "pos": start, "n": z + rule.size, "kind": z + ANCHOR, "seen": z.astype(bool)})
-                covered, kept = decided(t, rule)
-                yield from _rows(_own_spans(t, covered))
-                yield from _rows(_take(t, kept))
+                doc_id, symbols = _NO_ID if doc.as_py() is None else doc.as_py(), rule.symbols((text.as_py() or "").encode())
+                for size, kind in rule.kinds:
+                    start, g, c = windows(symbols, rule, pos, size)
+                    if not len(start):
+                        continue
+                    z = np.zeros(len(start), np.int64)
+                    t = _sorted({"p": g, "g": g, "c": c, "doc": z + doc_id, "h": z + h.as_py(), "pos": start, "n": z + size, "kind": z + kind + _WHOLE, "seen": z.astype(bool)})
+                    covered, kept = decided(t, rule)
+                    yield from _whole_spans(t, covered, rule)
+                    yield from _rows(_take(t, kept))
 
     return work
 
@@ -457,13 +515,13 @@ def _whole_windows(rule: Rule):
 def repeats(docs: DataFrame, rule: Rule, name: str) -> tuple[DataFrame, DataFrame]:
     """(documents with the hash of their text, covered spans) of a table of documents.
 
-    Documents: doc_id, text, h. Spans: doc_id, h, spans (array of pos and n, which
+    Documents: doc_id, text, h. Spans: doc_id, h, spans (array of pos, n and kind, which
     may overlap), one row per document with any.
     """
     spark = docs.sparkSession
     stage, n = common.Stage(spark, name), common.partitions(spark)
     common.small_batches(spark)
-    keyed = common.columns(docs, ["doc_id", "text"]).withColumn("h", F.hash("text"))
+    keyed = common.columns(docs, ["doc_id", "text"]).withColumn("h", F.xxhash64("text"))
 
     def seen(batches):
         schema = pa.schema([("g", pa.int64())])
@@ -484,20 +542,27 @@ def repeats(docs: DataFrame, rule: Rule, name: str) -> tuple[DataFrame, DataFram
     common.small_batches(spark)
     stage.release()
 
-    def with_text(kind: int) -> DataFrame:
-        of = first.filter(F.col("kind") == kind).groupBy("doc_id", "h").agg(F.collect_list(F.struct("g", "pos", "n")).alias("have"))
+    stand = first.filter(F.col("kind") == REPRESENTATIVE)
+    heavy = stage.save(stand.groupBy("g").count().filter(F.col("count") > GROUP).select("g"), "heavy")
+    whole_ones, some_heavy = first.filter(F.col("kind") == FREQUENT_ONE), bool(heavy.limit(1).count())
+    if some_heavy:
+        stand, whole_ones = stand.join(heavy, "g", "left_anti"), whole_ones.unionByName(stand.join(heavy, "g", "left_semi").select(*first.columns))
+
+    def with_text(rows: DataFrame) -> DataFrame:
+        of = rows.groupBy("doc_id", "h").agg(F.collect_list(F.struct("g", "pos", "n")).alias("have"))
         return keyed.alias("d").join(of.alias("o"), F.expr("d.doc_id <=> o.doc_id and d.h = o.h")).select("d.doc_id", "d.text", "d.h", "o.have")
 
-    around = with_text(REPRESENTATIVE).mapInArrow(_surroundings(rule), TEXT)
+    around = with_text(stand).mapInArrow(_surroundings(rule), TEXT)
     second = stage.save(around.repartition(n, "g").sortWithinPartitions("g").mapInArrow(_compared(rule), ROW), "second")
     stage.release()
-    spans = first.filter(F.col("kind") == SPAN).select("doc_id", "h", "pos", "n").unionByName(second.select("doc_id", "h", "pos", "n"))
-    if frequent.value:
-        whole = with_text(FREQUENT_ONE).mapInArrow(_whole_windows(rule), ROW).repartition(n, "p").sortWithinPartitions("p", "g", "c", "doc_id")
+    columns = ["doc_id", "h", "pos", "n", "kind"]
+    spans = first.filter(F.col("kind").isin(SPAN, SHORT_SPAN)).select(*columns).unionByName(second.select(*columns))
+    if frequent.value or some_heavy:
+        whole = with_text(whole_ones).mapInArrow(_whole_windows(rule), ROW).repartition(n, "p").sortWithinPartitions("p", "g", "c", "doc_id")
         third = stage.save(whole.mapInArrow(_classes(rule, True), ROW), "third")
         stage.release()
-        spans = spans.unionByName(third.select("doc_id", "h", "pos", "n"))
-    return keyed, spans.groupBy("doc_id", "h").agg(F.collect_list(F.struct("pos", "n")).alias("spans"))
+        spans = spans.unionByName(third.select(*columns))
+    return keyed, spans.groupBy("doc_id", "h").agg(F.collect_list(F.struct("pos", "n", "kind")).alias("spans"))
 
 
 def with_spans(docs: DataFrame, spans: DataFrame) -> DataFrame:
@@ -506,7 +571,8 @@ def with_spans(docs: DataFrame, spans: DataFrame) -> DataFrame:
     return docs.alias("d").join(spans.alias("s"), F.expr("d.doc_id <=> s.doc_id and d.h = s.h"), "left").select("d.doc_id", "d.text", "s.spans")
 
 
-def union(spans: list | None) -> tuple[np.ndarray, np.ndarray]:
-    """Starts and ends of the disjoint, maximal runs that spans cover."""
-    starts = np.array([s["pos"] for s in spans or ()], np.int64)
-    return merged(starts, starts + np.array([s["n"] for s in spans or ()], np.int64))
+def union(spans: list | None, kind: int = SPAN) -> tuple[np.ndarray, np.ndarray]:
+    """Starts and ends of the disjoint, maximal runs that spans of a kind cover."""
+    own = [s for s in spans or () if s["kind"] == kind]
+    starts = np.array([s["pos"] for s in own], np.int64)
+    return merged(starts, starts + np.array([s["n"] for s in own], np.int64))

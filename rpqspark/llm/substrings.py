@@ -1,15 +1,16 @@
 """Substring deduplication over words, by prefix-partitioned suffix trees.
 
 Suffixes are grouped by a prefix of ``prefix`` words; frequent prefixes are
-lengthened, so that every group fits in memory (see ``anchors``). In a group the
-suffixes form a subtree: sorted suffixes with the common-prefix lengths of
-neighbours, whose internal nodes are the maximal repeats. Nodes deep enough,
-together with the text before the prefix, give the repeated windows.
+lengthened, so that every group fits in memory (see ``anchors``). The suffixes of a group
+are put into a tree of their own (:class:`Subtree`): edges carry words, a node's depth
+is the number of words down to it, and every inner node is a maximal repeat of the
+suffixes below it. Inner nodes deep enough, together with those of the tree of the
+text before the prefix, give the repeated windows.
 
 A word is removed if a window of ``size`` words of this document covers it whose
 word sequence also starts in a document with a smaller doc_id. Documents without
 an id neither cover others nor lose words; null text has no words; rows with one
-doc_id are one document's and do not cover each other.
+doc_id are one document's and do not cover each other; an empty table gives an empty one.
 """
 
 from __future__ import annotations
@@ -33,19 +34,84 @@ def word_hashes(text: bytes) -> np.ndarray:
     return np.fromiter(map(_hashes.__getitem__, words), np.uint64, len(words))
 
 
-def subtree(suffixes: list[list[bytes]]) -> tuple[list[int], list[int]]:
-    """Leaves of the suffix tree of a group in order, and the depth of the node
-    that joins each leaf with the one before."""
-    order = sorted(range(len(suffixes)), key=suffixes.__getitem__)
-    depth = [0]
-    for i, j in zip(order, order[1:]):
-        a, b = suffixes[i], suffixes[j]
-        n = min(len(a), len(b))
-        depth.append(next((k for k in range(n) if a[k] != b[k]), n))
-    return order, depth
-
-
-RULE = anchors.Rule(SIZE, PREFIX, word_hashes, bytes.split, lambda w, s, e: b" ".join(w[s:e]), lambda x: x.split(b" "), subtree, earlier=True)
+class Node:
+    """A node of a suffix tree: its depth in words, children by the next word, suffixes that end here."""
+
+    __slots__ = ("depth", "children", "ends")
+
+    def __init__(self, depth: int):
+        self.depth, self.children, self.ends = depth, {}, []
+
+
+class Subtree:
+    """The suffix tree of the suffixes of one prefix group.
+
+    An edge is named by its first word and holds (node below, suffix that spells it); the
+    words between two depths are read from that suffix. ``repeats`` lists the inner nodes:
+    depth and suffixes below, two or more.
+    """
+
+    def __init__(self, suffixes: list[list[bytes]]):
+        self.suffixes, self.root = suffixes, Node(0)
+        for i, s in enumerate(suffixes):
+            self._add(i, s)
+        self.repeats = [(node.depth, below) for node, below in self._below() if len(below) > 1]
+        self.depths = np.array(sorted({d for d, _ in self.repeats} | {0}), np.int64)
+
+    def _add(self, i: int, s: list[bytes]) -> None:
+        node, at = self.root, 0
+        while at < len(s):
+            edge = node.children.get(s[at])
+            if edge is None:
+                leaf = Node(len(s))
+                node.children[s[at]] = (leaf, i)
+                node, at = leaf, len(s)
+                break
+            below, speller = edge
+            spelled, end = self.suffixes[speller], min(below.depth, len(s))
+            while at < end and spelled[at] == s[at]:
+                at += 1
+            if at < below.depth:
+                # The edge is split where the suffix leaves it.
+                middle = Node(at)
+                middle.children[spelled[at]] = (below, speller)
+                node.children[spelled[node.depth]] = (middle, speller)
+                below = middle
+            node = below
+        node.ends.append(i)
+
+    def _below(self) -> list[tuple[Node, list[int]]]:
+        """Every node with all suffixes that pass it, children before parents."""
+        out, found, stack = [], {}, [(self.root, False)]
+        while stack:
+            node, done = stack.pop()
+            if not done:
+                stack.append((node, True))
+                stack += [(child, False) for child, _ in node.children.values()]
+                continue
+            below = list(node.ends)
+            for child, _ in node.children.values():
+                below += found.pop(id(child))
+            found[id(node)] = below
+            out.append((node, below))
+        return out
+
+    def classes(self, depth: int) -> np.ndarray:
+        """A number for each suffix: equal where a node of this depth or deeper holds both."""
+        out = np.arange(len(self.suffixes), dtype=np.int64)
+        # Deepest first: a shallower node that still counts joins what lies below it.
+        for d, below in self.repeats:
+            if d >= depth:
+                out[below] = below[0]
+        return out
+
+
+def _same_words(a: list[bytes], b: list[bytes]) -> int:
+    n = min(len(a), len(b))
+    return next((k for k in range(n) if a[k] != b[k]), n)
+
+
+RULE = anchors.Rule(SIZE, PREFIX, word_hashes, bytes.split, lambda w, s, e: b" ".join(w[s:e]), lambda x: x.split(b" "), Subtree, _same_words, earlier=True)
 
 
 def repeated_words(docs: DataFrame, digest: bool = False) -> DataFrame:

@@ -21,7 +21,9 @@ from pyspark.sql import functions as F
 
 from . import anchors, common
 
-SIZE, PREFIX = 400, 64
+#: Bytes of a repeat, and of a passage: shorter repeats that are reported beside, and that
+#: ``without_repeats`` cuts out (about fifty words, which are over 250 bytes).
+SIZE, PASSAGE, PREFIX = 400, 250, 64
 #: Depth in bytes at which quicksort hands over to blind tries.
 SHALLOW = 24
 _symbols = anchors.mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
@@ -34,6 +36,8 @@ def byte_hashes(text: bytes) -> np.ndarray:
 def common_prefix(a: bytes, b: bytes, at: int = 0) -> int:
     """Length of the longest common prefix, known to be ``at`` or more."""
     n = min(len(a), len(b))
+    if at < n and a[at] != b[at]:
+        return at
     if a[at:n] == b[at:n]:
         return n
     step = 16
@@ -131,7 +135,8 @@ def deep_shallow(strings: list[bytes]) -> tuple[list[int], list[int]]:
     return order, [0] + [common_prefix(strings[i], strings[j]) for i, j in zip(order, order[1:])]
 
 
-RULE = anchors.Rule(SIZE, PREFIX, byte_hashes, bytes, lambda t, s, e: t[s:e], bytes, deep_shallow, earlier=False)
+def rule(size: int, shorter: int = 0) -> anchors.Rule:
+    return anchors.Rule(size, PREFIX, byte_hashes, bytes, lambda t, s, e: t[s:e], bytes, lambda x: anchors.Sorted(*deep_shallow(x)), common_prefix, earlier=False, shorter=shorter)
 
 
 def _kept(text: bytes, spans) -> tuple[bytes, int]:
@@ -143,35 +148,39 @@ def _kept(text: bytes, spans) -> tuple[bytes, int]:
     return b"".join([*kept, text[at:]]), len(starts)
 
 
-def repeated_bytes(docs: DataFrame, digest: bool = False) -> DataFrame:
-    """One row per document: doc_id, n_bytes, n_removed, n_spans, and the kept bytes
-    or, with ``digest``, their SHA-256."""
-    keyed, spans = anchors.repeats(docs, RULE, "suffixes")
+def repeated_bytes(docs: DataFrame, digest: bool = False, size: int = SIZE, passage: int = PASSAGE) -> DataFrame:
+    """One row per document: doc_id, n_bytes, n_removed, n_spans, the kept bytes
+    or, with ``digest``, their SHA-256, and n_passage: the bytes covered by repeats of
+    ``passage`` bytes (0: not looked for, and null)."""
+    keyed, spans = anchors.repeats(docs, rule(size, passage), "suffixes")
     last = ("kept_sha256", pa.string()) if digest else ("kept", pa.binary())
-    schema = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), last])
+    schema = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), last, ("n_passage", pa.int64())])
 
     def work(batches):
         for b in batches:
             rows = []
             for text, spans in zip(b.column(1), b.column(2)):
-                raw = (text.as_py() or "").encode()
-                kept, n = _kept(raw, spans.as_py())
-                rows.append((len(raw), len(raw) - len(kept), n, hashlib.sha256(kept).hexdigest() if digest else kept))
-            yield common.batch(schema, b.column(0), *zip(*rows)) if rows else common.batch(schema, [], [], [], [], [])
+                raw, spans = (text.as_py() or "").encode(), spans.as_py()
+                kept, n = _kept(raw, spans)
+                starts, ends = anchors.union(spans, anchors.SHORT_SPAN)
+                rows.append((len(raw), len(raw) - len(kept), n, hashlib.sha256(kept).hexdigest() if digest else kept, int((ends - starts).sum()) if passage else None))
+            yield common.batch(schema, b.column(0), *zip(*rows)) if rows else common.batch(schema, *[[]] * 6)
 
-    return anchors.with_spans(keyed, spans).mapInArrow(work, f"doc_id long, n_bytes long, n_removed long, n_spans long, {last[0]} {'string' if digest else 'binary'}")
+    return anchors.with_spans(keyed, spans).mapInArrow(work, f"doc_id long, n_bytes long, n_removed long, n_spans long, {last[0]} {'string' if digest else 'binary'}, n_passage long")
 
 
-def without_repeats(docs: DataFrame) -> DataFrame:
-    """docs with the repeated bytes of ``text`` cut out; other columns stay.
+def without_repeats(docs: DataFrame, size: int = PASSAGE) -> DataFrame:
+    """docs with the bytes of ``text`` that a repeat of ``size`` bytes covers cut out; other
+    columns stay, whatever their names.
 
     Bytes that are left of a character cut in two are dropped with it. Null text
-    stays null.
+    stays null; repeated rows are places of their own, so a text that occurs twice and
+    is long enough is cut out of both; an empty table gives an empty one.
     """
-    keyed, spans = anchors.repeats(docs, RULE, "suffixes")
+    keyed, spans = anchors.repeats(docs, rule(size), "suffixes")
     at, names = docs.columns.index("text"), docs.columns
     common.small_batches(docs.sparkSession)
-    whole = docs.withColumn("_text_hash_", F.hash("text")).alias("d").join(spans.alias("s"), F.expr("d.doc_id <=> s.doc_id and d._text_hash_ = s.h"), "left")
+    whole = docs.withColumn("_text_hash_", F.xxhash64("text")).alias("d").join(spans.alias("s"), F.expr("d.doc_id <=> s.doc_id and d._text_hash_ = s.h"), "left")
     rows = whole.select(*[F.col(f"d.`{n}`") for n in names], F.col("s.spans").alias("_spans"))
 
     def work(batches):
