@@ -7,15 +7,20 @@ from dataclasses import dataclass, field
 
 @dataclass(frozen=True)
 class RpqOptions:
-    #: auto, kernel (one job over a broadcast edge table of checked size), frontier (one job a round), joins.
+    #: auto, kernel (one job over a broadcast edge table of checked size), frontier (one job a round), joins,
+    #: ring (one job over a broadcast shard of the cyclic index, of checked size).
     executor: str = "auto"
     #: States in one word of a mask, and bits of a chunk of the transition tables.
     mask_bits: int = 63
     chunk_bits: int = 8
-    #: Edges that the kernel takes at most; they are sent to every task.
+    #: Edges that the kernel, or a shard of the index, takes at most; they are sent to every task.
     kernel_edges: int = 2_000_000
-    #: Origins that a frontier round carries together.
-    origin_chunks: int = 1
+    #: Parts into which the origins of two open ends are dealt, each with frontier rounds of its
+    #: own; 0: as many as keep origins x nodes of a part under ``most_state``.
+    origin_chunks: int = 0
+    most_state: int = 20_000_000_000
+    #: Rows of a frontier that are sent to the edges at most; a larger one is shuffled with them.
+    broadcast_rows: int = 100_000
     limit: int | None = None
     timeout_s: float | None = None
     #: auto, forward (from s), backward (from o).

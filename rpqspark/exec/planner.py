@@ -18,7 +18,7 @@ from ..graph.model import Graph
 from ..lang import patterns, rewrite
 from ..lang.ast import Cat, Expr, text
 from ..lang.parser import parse
-from . import backward, fastpaths, kernel, pairs
+from . import backward, fastpaths, kernel, pairs, ring
 from .options import RpqOptions, RunStats
 
 
@@ -67,9 +67,13 @@ def plan(g: Graph, path: str | Expr, s: str | None = None, o: str | None = None,
     start, reason = "o" if co is not None else "s" if cs is not None else options.order, ""
     if cs is not None and co is not None and options.direction == "forward":
         start = "s"
-    if cs is None and co is None and options.direction == "auto" and not fast and len(g.labels()) < 10_000:
-        start, reason = choose_direction(e, g.counts())
     names = sorted({n for c in rewrite.symbols(e) for n, _ in c.over(g.labels() if c.negated else [])})
+    if options.direction == "auto" and not fast:
+        if cs is None and co is None:
+            start, reason = choose_direction(e, g.counts(names))
+        elif cs is not None and co is not None:
+            side, reason = choose_direction(e, g.counts(names))
+            start = "s" if side == "subjects" else "o"
     return RpqPlan(e, cs, co, same, patterns.classify(s, e, o), fast, start, options.executor, names, reason)
 
 
@@ -77,7 +81,8 @@ def evaluate(g: Graph, path: str | Expr, s: str | None = None, o: str | None = N
     """Answers of a path query.
 
     ``s_set``, ``o_set``: (node), several start or end nodes in place of a constant; the answers
-    are the other ends that reach, or are reached from, some of them. ``node_filter``:
+    are the other ends that reach, or are reached from, some of them, and a constant or a set at
+    that other end keeps only its own members (with two sets: the starts). ``node_filter``:
     by position of the expression (from 1), the nodes at which it may be entered.
     """
     stats = stats if stats is not None else RunStats()
@@ -88,12 +93,30 @@ def evaluate(g: Graph, path: str | Expr, s: str | None = None, o: str | None = N
         out = _from_set(g, p, tables, s_set, o_set, options, stats, node_filter)
     elif p.fast_path and not node_filter:
         stats.fast_path = p.fast_path
-        out = _joined(g, p)
+        out = _shape(fastpaths.evaluate(g, p.expr), p, g)
     else:
         out = _traversed(g, p, tables, options, stats, node_filter)
+    if tables.nfa.nullable and options.zero_length_unknown == "self":
+        out = _with_unknown(g, p, out, s_set, o_set)
     return out.limit(options.limit) if options.limit is not None else out
 
 
+def _with_unknown(g: Graph, p: RpqPlan, out: DataFrame, s_set, o_set) -> DataFrame:
+    """Answers and the empty paths of constants, or members of sets, that are no nodes of the graph."""
+    if s_set is not None or o_set is not None:
+        (own, other), column = ((o_set, s_set), "s") if o_set is not None else ((s_set, None), "o")
+        const = p.s if column == "s" else p.o
+        own = own.select("node") if const is None else own.select("node").filter(F.col("node") == const)
+        own = own if other is None else own.join(other.select("node"), "node", "left_semi")
+        return out.union(own.select(F.col("node").alias(column))).distinct()
+    if p.s is not None and p.o is not None:
+        return out.select((F.col("found") | F.lit(p.s == p.o)).alias("found"))
+    if p.s is None and p.o is None:
+        return out
+    column, const = ("s", p.o) if p.o is not None else ("o", p.s)
+    return out.union(g.spark.createDataFrame([(const,)], f"{column} string")).distinct()
+
+
 def _shape(pairs_: DataFrame, p: RpqPlan, g: Graph) -> DataFrame:
     """Pairs (s, o) to the columns of the query's variables."""
     if p.s is not None:
@@ -107,14 +130,6 @@ def _shape(pairs_: DataFrame, p: RpqPlan, g: Graph) -> DataFrame:
     return pairs_.select(*[c for c, v in (("s", p.s), ("o", p.o)) if v is None]).distinct()
 
 
-def _joined(g: Graph, p: RpqPlan) -> DataFrame:
-    out = fastpaths.evaluate(g, p.expr)
-    nullable = bitparallel.compile(p.expr).nfa.nullable
-    if not nullable:
-        return _shape(out, p, g)
-    return _shape(out, p, g)
-
-
 def _arrive(tables) -> dict[int, str]:
     return {tables.nfa.bit(q): n for q, n in tables.nfa.arrive.items()}
 
@@ -131,6 +146,8 @@ def _edges(g: Graph, p: RpqPlan, tables, options: RpqOptions, node_filter):
 
 def _traversed(g: Graph, p: RpqPlan, tables, options: RpqOptions, stats: RunStats, node_filter) -> DataFrame:
     spark, nullable = g.spark, tables.nfa.nullable
+    if options.executor == "ring" and not (tables.wide or node_filter or tables.nfa.arrive and p.o is None):
+        return ring.evaluate(g, p, tables, options, stats)
     rows = _edges(g, p, tables, options, node_filter)
     back = p.o is not None and p.start == "o"
     one = lambda name: spark.createDataFrame([(name,)], "node string")
@@ -144,7 +161,8 @@ def _traversed(g: Graph, p: RpqPlan, tables, options: RpqOptions, stats: RunStat
             return out.filter("s = o").select("s") if p.same else out
         order = p.start if not p.expr or not _arrive(tables) else "subjects"
         reversed_tables = bitparallel.compile(rewrite.reverse(p.expr), options.chunk_bits, options.mask_bits) if order == "objects" else tables
-        out = pairs.evaluate(g, tables, reversed_tables, dataclasses.replace(options, order=order), stats, _arrive(tables))
+        marks = _premarks(g, tables, node_filter)
+        out = pairs.evaluate(g, tables, reversed_tables, dataclasses.replace(options, order="subjects" if marks is not None else order), stats, _arrive(tables), marks)
         return out.filter("s = o").select("s") if p.same else out
     if p.s is not None and p.o is not None:
         if rows is not None:
@@ -180,48 +198,47 @@ def _premarks(g: Graph, tables, node_filter):
     return out.groupBy("node").agg(masks.either("mask").alias("mask"))
 
 
-def _barred_seeds(seeds: DataFrame, marks, masks: Masks) -> DataFrame:
-    if marks is None:
-        return seeds
-    m = marks.select("node", F.col("mask").alias("_m"))
-    return seeds.join(m, "node", "left").withColumn("mask", F.when(F.col("_m").isNull(), F.col("mask")).otherwise(masks.without(F.col("mask"), F.col("_m")))).filter(masks.some(F.col("mask"))).drop("_m")
-
-
 def _frontier(g: Graph, tables, target: DataFrame, options, stats, node_filter) -> DataFrame:
-    marks = _premarks(g, tables, node_filter)
+    """(node): subjects from which some node of the target is reached."""
     masks = Masks(tables)
     known = target.select("node").join(g.nodes(), "node", "left_semi")
-    seeds = _barred_seeds(backward.seeds_of(g, masks, known, tables.nfa.mask(tables.nfa.last)), marks, masks)
-    arrive = _arrive(tables)
-    seen = backward.traverse(g, tables, seeds, [], True, options, stats, arrive=arrive, premarked=marks)
+    seeds = backward.seeds_of(g, masks, known, tables.nfa.mask(tables.nfa.last))
+    seen = backward.traverse(g, tables, seeds, [], True, options, stats, arrive=_arrive(tables), premarked=_premarks(g, tables, node_filter), report=tables.initial)
     found = seen.filter(masks.some(masks.both(F.col("mask"), masks.lit(tables.initial)))).select("node")
     return found.union(known).distinct() if tables.nfa.nullable else found
 
 
 def _forward(g: Graph, tables, source: DataFrame, options, stats, node_filter) -> DataFrame:
-    masks = Masks(tables)
+    """(node): objects that are reached from some node of the source."""
+    masks, last = Masks(tables), tables.nfa.mask(tables.nfa.last)
     known = source.select("node").join(g.nodes(), "node", "left_semi")
-    seen = backward.traverse(g, tables, backward.seeds_of(g, masks, known, tables.initial), [], False, options, stats, arrive=_arrive(tables), premarked=_premarks(g, tables, node_filter))
-    found = seen.filter(masks.some(masks.both(F.col("mask"), masks.lit(tables.nfa.mask(tables.nfa.last))))).select("node")
+    seen = backward.traverse(g, tables, backward.seeds_of(g, masks, known, tables.initial), [], False, options, stats, arrive=_arrive(tables), premarked=_premarks(g, tables, node_filter), report=last)
+    found = seen.filter(masks.some(masks.both(F.col("mask"), masks.lit(last)))).select("node")
     return found.union(known).distinct() if tables.nfa.nullable else found
 
 
 def _from_set(g: Graph, p: RpqPlan, tables, s_set, o_set, options, stats, node_filter) -> DataFrame:
+    # What the other end keeps is looked at last, so a limit must not end the search before.
+    rest = dataclasses.replace(options, limit=None)
     if o_set is not None:
-        return _frontier(g, tables, o_set, options, stats, node_filter).select(F.col("node").alias("s"))
-    return _forward(g, tables, s_set, options, stats, node_filter).select(F.col("node").alias("o"))
+        out, const, other = _frontier(g, tables, o_set, rest, stats, node_filter).select(F.col("node").alias("s")), p.s, s_set
+    else:
+        out, const, other = _forward(g, tables, s_set, rest, stats, node_filter).select(F.col("node").alias("o")), p.o, None
+    if const is not None:
+        out = out.filter(F.col(out.columns[0]) == const)
+    return out if other is None else out.join(other.select(F.col("node").alias("s")).distinct(), "s", "left_semi")
 
 
 def _both_constant(g: Graph, p: RpqPlan, tables, options, stats, back, node_filter) -> DataFrame:
     spark, masks = g.spark, Masks(tables)
     yes = lambda x: spark.createDataFrame([(bool(x),)], "found boolean")
     known = {r.node for r in g.nodes().filter(F.col("node").isin(p.s, p.o)).collect()}
-    if tables.nfa.nullable and p.s == p.o and (p.s in known or options.zero_length_unknown == "self"):
+    if tables.nfa.nullable and p.s == p.o and p.s in known:
         return yes(True)
     if not {p.s, p.o} <= known:
         return yes(False)
     if options.bidirectional:
-        return yes(meet(g, p, tables, options, stats))
+        return yes(meet(g, p, tables, options, stats, _premarks(g, tables, node_filter)))
     goal, bit = (p.s, tables.initial) if back else (p.o, tables.nfa.mask(tables.nfa.last))
     hit = lambda new: bool(new.filter((F.col("node") == goal) & masks.some(masks.both(F.col("mask"), masks.lit(bit)))).limit(1).count())
     start, first = (p.o, tables.nfa.mask(tables.nfa.last)) if back else (p.s, tables.initial)
@@ -238,20 +255,27 @@ def _both_constant(g: Graph, p: RpqPlan, tables, options, stats, back, node_filt
     return yes(found)
 
 
-def meet(g: Graph, p: RpqPlan, tables, options: RpqOptions, stats: RunStats) -> bool:
-    """Both constants: searches from both ends that take turns until they share a state of a node."""
+def meet(g: Graph, p: RpqPlan, tables, options: RpqOptions, stats: RunStats, marks: DataFrame | None = None) -> bool:
+    """Both constants: searches from both ends that take turns until they share a state of a node.
+
+    Node conditions hold on both sides: must-pass nodes in the steps, ``marks`` in what is entered.
+    """
     from . import state
     from .store import Store
 
     masks, store = Masks(tables), Store(g.spark, "meet")
     sides = []
     for back, node, mask in ((False, p.s, tables.initial), (True, p.o, tables.nfa.mask(tables.nfa.last))):
-        seeds = g.spark.createDataFrame([(node, masks.value(mask))], f"node string, mask {masks.type}")
+        seeds = backward.barred(g.spark.createDataFrame([(node, masks.value(mask))], f"node string, mask {masks.type}"), marks, masks).select("node", "mask")
         name = "back" if back else "ahead"
-        sides.append({"back": back, "name": name, "k": 0, "front": store.save(seeds, f"{name}/0"), "edges": store.save(state.moves(g, masks, back), f"edges_{name}")})
+        edges = backward.steps(g, masks, back, options, _arrive(tables))
+        front = store.save(seeds, f"{name}/0")
+        seen = backward.Visited(store, masks, [])
+        seen.add(front)
+        sides.append({"back": back, "name": name, "k": 0, "front": front, "seen": seen, "edges": edges if g.is_stored else store.save(edges, f"edges_{name}")})
     while True:
-        seen = [store.rounds(s["front"].schema, s["name"]) for s in sides]
-        met = seen[0].withColumnRenamed("mask", "a").join(seen[1].withColumnRenamed("mask", "b"), "node").filter(masks.some(masks.both(F.col("a"), F.col("b"))))
+        ahead, behind = (s["seen"].all() for s in sides)
+        met = ahead.withColumnRenamed("mask", "a").join(behind.withColumnRenamed("mask", "b"), "node").filter(masks.some(masks.both(F.col("a"), F.col("b"))))
         if met.limit(1).count():
             return True
         sizes = [s["front"].count() for s in sides]
@@ -261,8 +285,11 @@ def meet(g: Graph, p: RpqPlan, tables, options: RpqOptions, stats: RunStats) ->
         stats.rounds += 1
         stats.frontier_rows += min(sizes)
         side["k"] += 1
-        new = state.fresh(state.step(side["front"], side["edges"], masks, [], side["back"]), store.rounds(side["front"].schema, side["name"]), masks, [])
+        sent = F.broadcast(side["front"]) if min(sizes) <= options.broadcast_rows else side["front"]
+        candidates = state.step(sent, side["edges"], masks, [], side["back"])
+        new = state.fresh(backward.barred(candidates, marks, masks).select("node", "mask"), side["seen"].all(), masks, [])
         side["front"] = store.save(new, f"{side['name']}/{side['k']}")
+        side["seen"].add(side["front"])
 
 
 class Fluent:

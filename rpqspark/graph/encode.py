@@ -26,6 +26,16 @@ def numbered(df: DataFrame, order: list[str], name: str, store: Store, table: st
     return parts.withColumn("_rank", rank).join(F.broadcast(before), "_part").withColumn(name, (F.col("_rank") + F.coalesce("_before", F.lit(0)) + (start - 1)).cast("long")).drop("_part", "_rank", "_before")
 
 
+def running(df: DataFrame, order: list[str], value: str, name: str, store: Store, table: str) -> DataFrame:
+    """df with the sum of a column over all rows before, in the order of the given columns."""
+    n = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    parts = store.save(df.repartitionByRange(n, *order).withColumn("_part", F.spark_partition_id()), table)
+    before = Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+    base = parts.groupBy("_part").agg(F.sum(value).alias("_t")).select("_part", F.coalesce(F.sum("_t").over(before), F.lit(0)).alias("_base"))
+    inside = F.coalesce(F.sum(value).over(Window.partitionBy("_part").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    return parts.withColumn("_inside", inside).join(F.broadcast(base), "_part").withColumn(name, (F.col("_base") + F.col("_inside")).cast("long")).drop("_part", "_inside", "_base")
+
+
 @dataclass
 class Encoded:
     """Edges (s, p, o) as numbers, and both dictionaries (id, name)."""

@@ -26,6 +26,10 @@ class Graph:
     _names: list[str] | None = field(default=None, repr=False)
     _nodes: DataFrame | None = field(default=None, repr=False)
     _counts: dict[str, int] | None = field(default=None, repr=False)
+    #: The edges lie in a folder per label, so reading those of a few labels is cheap.
+    is_stored: bool = False
+    #: The graph as one shard of the index, once it was asked for.
+    _shard: object = field(default=None, repr=False)
 
     @classmethod
     def of(cls, df: DataFrame) -> Graph:
@@ -46,11 +50,15 @@ class Graph:
             self._names = sorted(r.p for r in self.edges.select("p").distinct().collect())
         return self._names
 
-    def counts(self) -> dict[str, int]:
-        """Edges of each label."""
-        if self._counts is None:
-            self._counts = {r.p: r.n for r in self.edges.groupBy("p").agg(F.count("*").alias("n")).collect()}
-        return self._counts
+    def counts(self, names=None) -> dict[str, int]:
+        """Edges of each label, or of the named ones only."""
+        if self._counts is not None:
+            return self._counts
+        edges = self.edges if names is None else self.edges.filter(F.col("p").isin(list(names)))
+        found = {r.p: r.n for r in edges.groupBy("p").agg(F.count("*").alias("n")).collect()}
+        if names is None:
+            self._counts = found
+        return found
 
     def stored(self, name: str = "graph") -> Graph:
         """The graph written once: edges in a folder per label, so that a query's labels are
@@ -62,7 +70,7 @@ class Graph:
         edges = self.spark.read.schema("s string, o string, p string").parquet(store.path("edges")).select("s", "p", "o")
         nodes = store.save(Graph(edges).nodes(), "nodes")
         counts = Graph(edges).counts()
-        return Graph(edges, sorted(counts), nodes, counts)
+        return Graph(edges, sorted(counts), nodes, counts, True)
 
     def completed(self) -> DataFrame:
         """Edges and their inverses, labels of inverses written ^p."""

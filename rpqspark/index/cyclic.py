@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..exec.store import Store
-from ..graph.encode import numbered
+from ..graph.encode import numbered, running
 
 #: Column -> its order, and the column that a step from it leads to.
 ORDERS = {"o": ["s", "p", "o"], "s": ["p", "o", "s"], "p": ["o", "s", "p"]}
@@ -25,12 +25,16 @@ NEXT = {"p": "s", "s": "o", "o": "p"}
 @dataclass
 class CyclicIndex:
     """``columns[c]``: (pos, symbol, rank), the rank of the symbol up to this position;
-    ``starts[c]``: (symbol, start), the number of smaller symbols of that kind."""
+    ``starts[c]``: (symbol, start, upto), the numbers of smaller symbols of that kind, and of
+    those and equal ones."""
 
     columns: dict[str, DataFrame]
     starts: dict[str, DataFrame]
     n: int
 
+    #: Positions of a symbol that are looked through together.
+    BUCKET = 1 << 16
+
     def lf(self, positions: DataFrame, col: str) -> DataFrame:
         """(pos, symbol, next): from positions of a column to positions of the column before it
         in the cycle, where triples are sorted by this symbol first."""
@@ -46,14 +50,49 @@ class CyclicIndex:
             col = NEXT[col]
         return rows.select(F.col("at").alias("pos"), "s", "p", "o")
 
+    def rank(self, asked: DataFrame, col: str) -> DataFrame:
+        """(symbol, pos, rank): how often a symbol stands in a column up to a position.
+
+        An as-of lookup: positions that are asked and positions where the symbol stands are
+        sorted together by (symbol, bucket of positions); the last rank before a position holds
+        in its bucket, and the last of earlier buckets where its own has none.
+        """
+        bucket = F.floor(F.col("pos") / self.BUCKET)
+        asked = asked.select("symbol", "pos").distinct()
+        there = self.columns[col].join(asked.select("symbol").distinct(), "symbol", "left_semi").select("symbol", "pos", F.col("rank").alias("r"))
+        both = there.withColumn("ask", F.lit(False)).unionByName(asked.withColumn("r", F.lit(None).cast("long")).withColumn("ask", F.lit(True))).withColumn("bucket", bucket)
+        # Of equal positions the symbol's own comes first; a rank only grows, so the largest before is the last.
+        inside = Window.partitionBy("symbol", "bucket").orderBy("pos", "ask").rowsBetween(Window.unboundedPreceding, 0)
+        found = both.withColumn("own", F.max("r").over(inside)).filter("ask").select("symbol", "pos", "bucket", "own")
+        last = both.groupBy("symbol", "bucket").agg(F.max("r").alias("top"))
+        earlier = last.withColumn("before", F.max("top").over(Window.partitionBy("symbol").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1))).select("symbol", "bucket", "before")
+        return found.join(earlier, ["symbol", "bucket"]).select("symbol", "pos", F.coalesce("own", "before", F.lit(0)).cast("long").alias("rank"))
+
     def backward(self, ranges: DataFrame, col: str) -> DataFrame:
         """(b, e, symbol) with inclusive ranges of a column to the ranges (nb, ne) of the triples
-        that have this symbol before them; empty ones are dropped."""
-        occurs = self.columns[col].select("symbol", "pos", "rank")
-        met = ranges.join(occurs, "symbol")
-        met = met.filter((F.col("pos") >= F.col("b")) & (F.col("pos") <= F.col("e")))
-        got = met.groupBy("b", "e", "symbol").agg(F.min("rank").alias("lo"), F.max("rank").alias("hi"))
-        return got.join(self.starts[col], "symbol").select("b", "e", "symbol", (F.col("start") + F.col("lo")).alias("nb"), (F.col("start") + F.col("hi")).alias("ne"))
+        that have this symbol before them; empty ones are dropped.
+
+        Two ranks a range, at its end and before its start, whatever its length.
+        """
+        asked = ranges.select("symbol", (F.col("b") - 1).alias("pos")).unionByName(ranges.select("symbol", F.col("e").alias("pos")))
+        got = self.rank(asked, col)
+        low = got.select("symbol", (F.col("pos") + 1).alias("b"), F.col("rank").alias("lo"))
+        high = got.select("symbol", F.col("pos").alias("e"), F.col("rank").alias("hi"))
+        met = ranges.select("b", "e", "symbol").join(low, ["symbol", "b"]).join(high, ["symbol", "e"]).filter("hi > lo")
+        return met.join(self.starts[col], "symbol").select("b", "e", "symbol", (F.col("start") + F.col("lo") + 1).alias("nb"), (F.col("start") + F.col("hi")).alias("ne"))
+
+    def symbols_of(self, ranges: DataFrame, col: str) -> DataFrame:
+        """(b, e, symbol): the distinct symbols of disjoint ranges of a column. Ranges become their
+        positions, bucket by bucket, which meet the column by an equi-join."""
+        size = F.lit(self.BUCKET).cast("long")
+        parts = ranges.select("b", "e").distinct().select("b", "e", F.explode(F.sequence(F.floor(F.col("b") / size), F.floor(F.col("e") / size))).alias("k"))
+        places = parts.select("b", "e", F.explode(F.sequence(F.greatest("b", F.col("k") * size), F.least(F.col("e"), (F.col("k") + 1) * size - 1))).alias("pos"))
+        return places.join(self.columns[col].select("pos", "symbol"), "pos").select("b", "e", "symbol").distinct()
+
+    def interval(self, lo: int, hi: int, col: str) -> DataFrame:
+        """(b, e): the range of all triples whose first part, in the order that ``col`` counts, lies in [lo, hi]."""
+        own = self.starts[col].filter((F.col("symbol") >= lo) & (F.col("symbol") <= hi))
+        return own.agg((F.min("start") + 1).alias("b"), F.max("upto").alias("e")).filter("b <= e")
 
     def range_of(self, s: int, p: int | None = None) -> DataFrame:
         """(b, e): positions in L_o of the triples with subject s, or with s and p.
@@ -69,18 +108,13 @@ class CyclicIndex:
     def object_range(self, nodes: DataFrame, col: str = "o") -> DataFrame:
         """(node, b, e): the range of L_p of the triples with this object, from the counts alone."""
         s = self.starts[col]
-        after = s.withColumn("upto", F.coalesce(F.lead("start").over(Window.orderBy("symbol")), F.lit(self.n)))
-        return nodes.join(after, nodes["node"] == after["symbol"]).select("node", (F.col("start") + 1).alias("b"), F.col("upto").alias("e")).filter("b <= e")
+        return nodes.join(s, nodes["node"] == s["symbol"]).select("node", (F.col("start") + 1).alias("b"), F.col("upto").alias("e")).filter("b <= e")
 
 
 def starts(column: DataFrame, store: Store, name: str) -> DataFrame:
-    """(symbol, start): how many symbols are smaller."""
+    """(symbol, start, upto): how many symbols are smaller, and how many not larger."""
     counts = column.groupBy("symbol").agg(F.count("*").alias("k"))
-    n = int(column.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    parts = store.save(counts.repartitionByRange(n, "symbol").withColumn("_part", F.spark_partition_id()), f"starts_{name}")
-    before = parts.groupBy("_part").agg(F.sum("k").alias("t")).select("_part", F.coalesce(F.sum("t").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
-    inside = F.coalesce(F.sum("k").over(Window.partitionBy("_part").orderBy("symbol").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    return parts.withColumn("inside", inside).join(F.broadcast(before), "_part").select("symbol", (F.col("base") + F.col("inside")).cast("long").alias("start"))
+    return running(counts, ["symbol"], "k", "start", store, f"starts_{name}").select("symbol", "start", (F.col("start") + F.col("k")).alias("upto"))
 
 
 def build(edges: DataFrame, orders: tuple[str, ...] = ("p", "s", "o")) -> CyclicIndex:

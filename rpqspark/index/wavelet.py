@@ -4,9 +4,11 @@ same levels as a DataFrame. Positions are half-open and count from 0; symbols ar
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..exec.store import Store
+from ..graph.encode import numbered, running
 from .bits import Bits
 
 
@@ -137,11 +139,21 @@ def mark(seen: list[list[int]], c: int, d: int, height: int) -> None:
         seen[level][c] = seen[level + 1][2 * c] & seen[level + 1][2 * c + 1]
 
 
-def level_table(spark: SparkSession, seq, sigma: int | None = None) -> DataFrame:
-    """(level, block, word, ones_before) of the bit vectors."""
-    w = Wavelet(seq, sigma)
-    rows = [(k, b, int(x.words.view(np.int64)[b]), int(x.before[b])) for k, x in enumerate(w.levels) for b in range(len(x.words))]
-    return spark.createDataFrame(rows, "level int, block int, word long, ones_before long")
+def level_table(column: DataFrame, height: int, store: Store) -> DataFrame:
+    """(level, block, word, ones_before) of the bit vectors of a column (pos from 1, symbol from 0).
+
+    All levels are numbered by one range sort of (level, prefix, pos); words and the ones before
+    them are sums, with offsets per partition.
+    """
+    levels = column.select("pos", "symbol", F.explode(F.sequence(F.lit(0), F.lit(height - 1))).alias("level"))
+    bits = levels.select("level", "pos", F.expr(f"shiftright(symbol, {height} - level)").alias("prefix"), F.expr(f"shiftright(symbol, {height} - level - 1) & 1").cast("int").alias("bit"))
+    placed = numbered(bits, ["level", "prefix", "pos"], "n", store, "level_rows", start=0)
+    n = column.agg(F.count("*").alias("n")).first().n
+    at = F.col("n") - F.col("level") * F.lit(n)
+    words = placed.withColumn("at", at).groupBy("level", F.floor(F.col("at") / 64).cast("int").alias("block")).agg(F.bit_or(F.expr("shiftleft(cast(bit AS bigint), cast(at % 64 AS int))")).alias("word"), F.sum("bit").alias("ones"))
+    before = running(words, ["level", "block"], "ones", "before", store, "level_words")
+    first = F.broadcast(before.filter("block = 0").select("level", F.col("before").alias("base")))
+    return before.join(first, "level").select("level", "block", "word", (F.col("before") - F.col("base")).alias("ones_before"))
 
 
 def ranks(levels: DataFrame, asked: DataFrame) -> DataFrame:

@@ -43,7 +43,7 @@ def classify(s: str | None, e: Expr | str, o: str | None) -> str:
 
 def pattern_histogram(queries: DataFrame) -> DataFrame:
     """(pattern, n) of a table of queries (s, path, o)."""
-    label = F.udf(lambda s, p, o: classify(s, p, o))
+    label = F.udf(lambda s, p, o: classify(s, p, o), useArrow=True)
     return queries.select(label("s", "path", "o").alias("pattern")).groupBy("pattern").agg(F.count("*").alias("n"))
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import dataclasses
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -105,19 +106,34 @@ def index_backward(spark, sf_dir):
     e = encode.encode(sources.load(spark, sf_dir, "web"))
     i = cyclic.build(e.edges)
     ranges = i.object_range(e.nodes.select(F.col("id").alias("node")))
-    asked = ranges.crossJoin(F.broadcast(e.labels.select(F.col("id").cast("long").alias("symbol"))))
-    got = i.backward(asked.select("b", "e", "symbol"), "p")
+    got = i.backward(i.symbols_of(ranges, "p"), "p")
     out = got.join(ranges, ["b", "e"]).select(F.col("node").alias("o"), F.col("symbol").alias("p"), (F.col("ne") - F.col("nb") + 1).alias("n"))
     names = e.labels.select(F.col("id").cast("long").alias("p"), F.col("name"))
     return e.decode(out, "o").join(F.broadcast(names), "p").select("o", F.col("name").alias("p"), "n")
 
 
+def index_interval(spark, sf_dir):
+    """Edges of an interval of objects, and of one of labels, from the counts alone."""
+    e = encode.encode(sources.load(spark, sf_dir, "web"))
+    i = cyclic.build(e.edges)
+    parts = []
+    for what, names, col, lo, hi in (("objects", e.nodes, "o", "host:a", "host:n"), ("labels", e.labels, "p", "in_lang", "on_host")):
+        ids = names.filter((F.col("name") >= lo) & (F.col("name") <= hi)).agg(F.min("id").alias("lo"), F.max("id").alias("hi")).first()
+        parts.append(i.interval(ids.lo, ids.hi, col).select(F.lit(what).alias("what"), (F.col("e") - F.col("b") + 1).alias("n")))
+    return parts[0].unionByName(parts[1])
+
+
 def level_ranks(spark, sf_dir):
-    """Rank by words on the level table of a column, all positions of the worked example."""
-    seq = [r.symbol - 1 for r in cyclic.build(metro_numbers(spark), ("p",)).columns["p"].orderBy("pos").collect()]
-    t = wavelet.level_table(spark, seq, 5)
-    asked = spark.range(0, len(seq) + 1).select(F.col("id").alias("i")).crossJoin(t.select("level").distinct())
-    return wavelet.ranks(t, asked.select("level", "i"))
+    """Rank by words on the level table of the subjects' column of a completed graph, at every fifth position."""
+    from .exec.store import Store
+
+    e = encode.encode(sources.load(spark, sf_dir, "chat"))
+    column = cyclic.build(encode.complete(e.edges, e.n_labels()), ("s",)).columns["s"].select("pos", (F.col("symbol") - 1).alias("symbol"))
+    height = max(1, (e.nodes.count() - 1).bit_length())
+    t = wavelet.level_table(column, height, Store(spark, "levels"))
+    n = column.count()
+    asked = spark.range(0, n, 5).select(F.col("id").alias("i"), F.explode(F.sequence(F.lit(0), F.lit(height - 1))).alias("level"))
+    return wavelet.ranks(t, asked)
 
 
 def space_report(spark, sf_dir):
@@ -126,12 +142,25 @@ def space_report(spark, sf_dir):
 
 # ---- measures --------------------------------------------------------------------------
 def run_counters(spark, sf_dir):
-    """Work of the frontier executor on a deep path over a graph of many labels."""
-    return cost.counters(sources.load(spark, sf_dir, "pulse"), QUERIES["w02b"].path, o="user:7")[0]
+    """Work of the frontier executor on a closure over the tree of hosts."""
+    return cost.counters(sources.load(spark, sf_dir, "web"), QUERIES["w01"].path, o="host:com")[0]
+
+
+def ring_counters(spark, sf_dir):
+    """Work of the index executor on the same: search steps, ranges of labels met, subjects entered."""
+    from .automaton import bitparallel
+    from .exec import ring
+
+    shard = ring.shard_of(sources.load(spark, sf_dir, "web"), RpqOptions().kernel_edges)
+    search = ring.Search(shard, bitparallel.compile(parse(QUERIES["w01"].path)))
+    at = list(shard.names).index("host:com")
+    n = len(search.run(at, at + 1))
+    return spark.createDataFrame([(search.counts["subjects"], n)], "subjects long, answers long")
 
 
 def histogram(spark, sf_dir):
-    rows = [(q.s, q.path, q.o) for q in QUERIES.values()]
+    """Patterns of the synthetic log."""
+    rows = [(q.s, q.path, q.o) for _, _, q, n in log.models() for _ in range(n)]
     return patterns.pattern_histogram(spark.createDataFrame(rows, "s string, path string, o string"))
 
 
@@ -141,12 +170,25 @@ def clean_log(spark, sf_dir):
     return log.clean(spark.createDataFrame(rows, "s string, path string, o string"), g.nodes())
 
 
+def log_graphs(spark, sf_dir) -> dict[str, Graph]:
+    return {n: sources.load(spark, sf_dir, n) for n in sorted({q.graph for _, _, q, _ in log.models()})}
+
+
+def log_answers(spark, sf_dir, method: str = "core"):
+    """All queries of the synthetic log, keyed by their constants, with the number of answers of each."""
+    return log.answers(log_graphs(spark, sf_dir), method=method)
+
+
 def timed_log(spark, sf_dir):
-    """Methods side by side on a few queries: fastest method of each pattern, times left out."""
-    g = {"web": sources.load(spark, sf_dir, "web")}
-    some = [(q.id, q.graph, q.s, q.path, q.o) for q in QUERIES.values() if q.id in ("w02", "w05")]
-    runs = log.run(spark, g, some, "core").unionByName(log.run(spark, g, some, "alp"))
-    return bench.winners(runs).select("pattern", (F.col("share") > 0).alias("seen"))
+    """A query of every pattern by two methods, timed, and what the summaries say, times left out."""
+    graphs = log_graphs(spark, sf_dir)
+    some = [x for x in log.generate(graphs, 20) if x[0].endswith(".0")]
+    some = [x for i, x in enumerate(some) if QUERIES[x[0].split(".")[0]].pattern not in {QUERIES[y[0].split(".")[0]].pattern for y in some[:i]}]
+    runs = log.run(spark, graphs, some, "core").unionByName(log.run(spark, graphs, some, "ring"))
+    best = bench.winners(runs).groupBy().agg(F.count("*").alias("patterns"), F.round(F.sum("share"), 6).alias("share"))
+    done = runs.groupBy().agg(F.countDistinct("query").alias("queries"), F.countDistinct("method").alias("methods"), F.count_if(F.col("answers").isNull()).alias("timeouts"))
+    same = runs.groupBy("query").agg(F.countDistinct("answers").alias("n")).groupBy().agg(F.max("n").alias("answers_a_query"))
+    return best.crossJoin(done).crossJoin(same)
 
 
 def useful(spark, sf_dir):
@@ -156,23 +198,69 @@ def useful(spark, sf_dir):
 
 
 def filtered_nodes(spark, sf_dir):
-    """Paths whose hosts in the middle must begin with a letter before n."""
+    """Paths whose first host must have a name of some kind."""
     g = sources.load(spark, sf_dir, "web")
-    ok = g.nodes().filter(F.col("node").rlike("^host:[a-m]"))
+    ok = g.nodes().filter(F.col("node").rlike(_HOSTS))
     return planner.evaluate(g, "on_host/parent/parent", o="host:com", node_filter={1: ok})
 
 
+_HOSTS = "^host:(the|thth)"
+
+
+def filtered_pairs(spark, sf_dir):
+    g = sources.load(spark, sf_dir, "web")
+    ok = g.nodes().filter(F.col("node").rlike(_HOSTS))
+    return planner.evaluate(g, "on_host/parent+", node_filter={1: ok})
+
+
+def meet_must_pass(spark, sf_dir):
+    """For some nations, whether an order's customer lives there: both ends constant, searched from both."""
+    g = sources.load(spark, sf_dir, "trade")
+    out = None
+    for nation, region in ((2, 0), (3, 1), (19, 3)):
+        found = planner.evaluate(g, f"^lives_in/lives_in/@nation:{nation}/in_region", f"nation:{nation}", f"region:{region}", dataclasses.replace(FRONTIER, bidirectional=True))
+        part = found.select(F.lit(nation).alias("nation"), "found")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def set_to_constant(spark, sf_dir):
+    g = sources.load(spark, sf_dir, "web")
+    return planner.evaluate(g, "on_host/parent*", s="page:5", o_set=spark.createDataFrame([("host:com",), ("host:org",), ("host:net",)], "node string"))
+
+
+def sql_subquery(spark, sf_dir):
+    """An equality in a subquery over another table binds nothing of the call."""
+    sources.load(spark, sf_dir, "trade").edges.createOrReplaceTempView("trade_graph")
+    return surface.sql(spark, "SELECT t.s, t.o FROM rpq(graph => 'trade_graph', path => 'lives_in/in_region') t JOIN (SELECT o AS k FROM trade_graph WHERE s = 'nation:3' AND p = 'in_region') q ON t.o = q.k")
+
+
 def from_set(spark, sf_dir):
     g = sources.load(spark, sf_dir, "web")
     return planner.evaluate(g, "on_host/parent*", o_set=spark.createDataFrame([("host:com",), ("host:org",)], "node string"))
 
 
-def stream_batch(f) -> Query:
-    return lambda spark, sf_dir: f(stream.timed(sources.table(spark, sf_dir, "events")))
+def completed(f, name: str, last=lambda df: df) -> Query:
+    """An aggregate over a file stream of events, run to its end; its whole state is written after each batch."""
+
+    def run(spark, sf_dir):
+        import uuid
+
+        from .exec.store import Store
+
+        static = sources.table(spark, sf_dir, "events")
+        store, table = Store(spark, "stream"), f"{name}_{uuid.uuid4().hex}"
+        static.repartition(4).write.parquet(store.path("in"))
+        out = f(stream.source(spark, store.path("in"), static.schema, 2))
+        write = lambda df, _: df.write.mode("overwrite").parquet(store.path("out"))
+        out.writeStream.foreachBatch(write).option("checkpointLocation", store.path("state")).outputMode("complete").queryName(table).trigger(availableNow=True).start().awaitTermination()
+        return last(spark.read.schema(out.schema).parquet(store.path("out")))
+
+    return run
 
 
 def streamed(f, name: str) -> Query:
-    """The same operator over a file stream of events, run to its end."""
+    """An operator over a file stream of events, run to its end."""
 
     def run(spark, sf_dir):
         import uuid
@@ -220,6 +308,10 @@ def incremental(spark, sf_dir):
     return i.answers()
 
 
+#: Queries of the workload that are asked on the index too.
+RING = ("w01", "w02b", "w05", "w07", "w12", "w13", "w14", "w21", "w22")
+
+
 def queries() -> dict[str, Query]:
     out: dict[str, Query] = {f"graph_{n}": on_graph(n, lambda g: g.edges) for n in ("trade", "flow", "pulse", "web", "chat", "succ", "docs", "knn")}
     out |= {f"rpq_{i}": workload(i) for i in QUERIES}
@@ -237,6 +329,17 @@ def queries() -> dict[str, Query]:
         "rpq_useful_sources": useful,
         "rpq_from_set": from_set,
         "rpq_node_filter": filtered_nodes,
+        "rpq_node_filter_pairs": filtered_pairs,
+        "rpq_meet_must_pass": meet_must_pass,
+        "rpq_set_to_constant": set_to_constant,
+        "rpq_sql_subquery": sql_subquery,
+        "rpq_pattern_same_variable": on_graph("flow", lambda g: bgp.evaluate(g, [("?x", "error/click", "?x"), ("?x", "view", "?y")])),
+        "rpq_unknown_self": on_graph("web", lambda g: planner.evaluate(g, "parent*", s="host:nowhere", options=RpqOptions(zero_length_unknown="self"))),
+        "rpq_limited": on_graph("web", lambda g: planner.evaluate(g, "on_host/parent*", options=dataclasses.replace(FRONTIER, limit=25)).agg(F.count("*").alias("n"))),
+        "rpq_no_visited": workload("w17", executor="frontier", visited_pruning=False),
+        "rpq_no_range_start": workload("w13", executor="frontier", range_start=False),
+        "rpq_forward": workload("w21", executor="frontier", fast_paths=False, direction="forward"),
+        "rpq_next_by_ranges": on_graph("web", lambda g: seek.next_solution(g, "on_host/parent*", "s", "page:5", o="host:com", options=RpqOptions(executor="ring"))),
         "rpq_must_pass": on_graph("trade", lambda g: planner.evaluate(g, "placed_by/lives_in/@nation:3/in_region")),
         "rpq_negated": on_graph("pulse", lambda g: planner.evaluate(g, "!(error_3|click_1)/click_1+", o="user:7")),
         "rpq_same_variable": on_graph("flow", lambda g: planner.evaluate(g, "error/click", s="?x", o="?x")),
@@ -258,7 +361,7 @@ def queries() -> dict[str, Query]:
         "base_semi_naive": on_graph("web", lambda g: closure.semi_naive(fastpaths.single(g, parse("parent")))),
         "base_squaring": on_graph("web", lambda g: closure.squaring(fastpaths.single(g, parse("parent")))),
         "base_joins": on_graph("trade", lambda g: joins.evaluate(g, "^placed_by/has_part").groupBy("s").agg(F.count("*").alias("paths"), F.countDistinct("o").alias("parts"))),
-        "base_recursive_sql": on("w05", lambda g, q: rcte.evaluate(g, q.path, q.s, 6)),
+        "base_recursive_sql": on("w05", lambda g, q: rcte.evaluate(g, q.path, q.s)),
         "index_columns": index_columns,
         "index_triples": index_triples,
         "index_backward": index_backward,
@@ -268,15 +371,21 @@ def queries() -> dict[str, Query]:
         "graph_stats": on_graph("trade", stats.stats),
         "graph_label_counts": on_graph("trade", stats.label_counts),
         "graph_selectivity": on_graph("trade", stats.distinct_in_range),
+        "graph_labels_into": on_graph("web", lambda g: stats.labels_into(g, "host:a", "host:n")),
+        "graph_sources_of": on_graph("web", lambda g: stats.sources_of(g, ["parent", "on_host"])),
         "measure_product": on_graph("pulse", lambda g: cost.product_size(g, "error_3+", o="user:7").select("product_nodes")),
         "measure_counters": run_counters,
         "measure_space": space_report,
         "measure_winners": timed_log,
+        "measure_ring": ring_counters,
+        "log_answers": log_answers,
+        "log_answers_product": lambda spark, sf_dir: log_answers(spark, sf_dir, "product"),
+        "index_interval": index_interval,
         "log_patterns": histogram,
         "log_clean": clean_log,
-        "stream_windows": stream_batch(lambda e: stream.windowed(e).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "event_type", "n")),
-        "stream_sessions": stream_batch(lambda e: stream.sessions(e).groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n").alias("events"))),
-        "stream_purchases": stream_batch(stream.purchases_after_clicks),
+        "stream_windows": completed(stream.windowed, "windows", lambda d: d.select(F.date_format("start", "yyyy-MM-dd").alias("day"), "event_type", "n")),
+        "stream_sessions": completed(lambda e: stream.sessions(e, late="60 days"), "sessions", lambda d: d.groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n").alias("events"))),
+        "stream_purchases": streamed(stream.purchases_after_clicks, "purchases"),
         "stream_deduplicated": streamed(lambda e: stream.deduplicated(e, "60 days").select("event_id"), "dedup"),
         "stream_matches": streamed(lambda e: stream.matches(e, "click/purchase"), "matches"),
         "stream_incremental": incremental,
@@ -284,10 +393,18 @@ def queries() -> dict[str, Query]:
         "rpq_near": on_graph("knn", lambda g: planner.evaluate(g, "near_3/near_3+")),
         "rpq_same_text": on_graph("docs", lambda g: planner.evaluate(g, "same_text+/quality")),
     }
+    out |= {f"ring_{i}": workload(i, executor="ring", fast_paths=False) for i in RING}
     out |= {f"automaton_{n}": words(n) for n in WORDS}
     return out | {n: e[0] for n, e in ENTRIES.items()}
 
 
+def _scaled() -> dict[str, int]:
+    out: dict[str, int] = {}
+    for pattern, _, _, n in log.models():
+        out[pattern] = out.get(pattern, 0) + n
+    return out
+
+
 def _pairs(graph: str, transitions: str, finals: str, last: str = "SELECT DISTINCT origin AS s, node AS o", s=None, o=None, where: str = "") -> str:
     return oracle.recursion(graph, transitions, finals, s, o, f"{last} FROM reach WHERE q IN ({finals}) {where}")
 
@@ -300,13 +417,24 @@ def oracle_sql() -> dict[str, str]:
     rows = ", ".join(f"('{c}', {i + 1}, {x}, {seq[: i + 1].count(x)}, {starts[c][x - 1]})" for c, seq in columns.items() for i, x in enumerate(seq))
     out = {f"graph_{n}": f"SELECT s, p, o FROM ({sql})" for n, sql in g.items()}
     out |= {f"rpq_{i}": oracle.of(i) for i in QUERIES}
-    for name, i in {"rpq_frontier_to": "w02b", "rpq_frontier_from": "w05", "rpq_frontier_pairs": "w13", "rpq_frontier_objects": "w13", "rpq_frontier_wide": "w17", "rpq_frontier_found": "w21", "rpq_frontier_meet": "w21", "rpq_no_fast_path": "w08", "rpq_no_pruning": "w01", "base_product": "w01", "base_materialised": "w05", "base_subset": "w05", "base_epsilon": "w05", "base_operators": "w13", "base_per_node": "w17", "base_recursive_sql": "w05", "stream_incremental": "w01"}.items():
+    out |= {f"ring_{i}": oracle.of(i) for i in RING}
+    for name, i in {"rpq_frontier_to": "w02b", "rpq_frontier_from": "w05", "rpq_frontier_pairs": "w13", "rpq_frontier_objects": "w13", "rpq_frontier_wide": "w17", "rpq_frontier_found": "w21", "rpq_frontier_meet": "w21", "rpq_no_fast_path": "w08", "rpq_no_pruning": "w01", "base_product": "w01", "base_materialised": "w05", "base_subset": "w05", "base_epsilon": "w05", "base_operators": "w13", "base_per_node": "w17", "base_recursive_sql": "w05", "stream_incremental": "w01", "rpq_no_visited": "w17", "rpq_no_range_start": "w13", "rpq_forward": "w21"}.items():
         out[name] = oracle.of(i)
     parent = _pairs("web", "0 parent 1, 1 parent 1", "1")
     out |= {
         "rpq_useful_sources": _pairs("web", "0 on_host 1, 1 parent 2, 2 parent 2", "2", "SELECT DISTINCT origin AS node"),
         "rpq_from_set": _pairs("web", "0 on_host 1, 1 parent 1", "1", "SELECT DISTINCT origin AS s", where="AND node IN ('host:com', 'host:org')"),
-        "rpq_node_filter": f"WITH g AS ({g['web']}) SELECT DISTINCT a.s FROM g a JOIN g b ON a.o = b.s AND b.p = 'parent' JOIN g c ON b.o = c.s AND c.p = 'parent' WHERE a.p = 'on_host' AND c.o = 'host:com' AND regexp_matches(a.o, '^host:[a-m]')",
+        "rpq_node_filter": f"WITH g AS ({g['web']}) SELECT DISTINCT a.s FROM g a JOIN g b ON a.o = b.s AND b.p = 'parent' JOIN g c ON b.o = c.s AND c.p = 'parent' WHERE a.p = 'on_host' AND c.o = 'host:com' AND regexp_matches(a.o, '{_HOSTS}')",
+        "rpq_node_filter_pairs": _pairs("web", "0 parent 1, 1 parent 1", "1", f"SELECT DISTINCT e.s, reach.node AS o FROM g e JOIN reach ON reach.origin = e.o AND reach.q = 1 WHERE e.p = 'on_host' AND regexp_matches(e.o, '{_HOSTS}') --"),
+        "rpq_meet_must_pass": "SELECT n::INTEGER AS nation, EXISTS (SELECT 1 FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE n_nationkey = n AND n_regionkey = r) AS found FROM (VALUES (2, 0), (3, 1), (19, 3)) t(n, r)",
+        "rpq_set_to_constant": _pairs("web", "0 on_host 1, 1 parent 1", "1", "SELECT DISTINCT origin AS s", s="page:5", where="AND node IN ('host:com', 'host:org', 'host:net')"),
+        "rpq_sql_subquery": "SELECT DISTINCT 'customer:' || c_custkey AS s, 'region:' || n_regionkey AS o FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE n_regionkey = (SELECT n_regionkey FROM nation WHERE n_nationkey = 3)",
+        "rpq_pattern_same_variable": f"WITH g AS ({g['flow']}) SELECT DISTINCT a.s AS x, v.o AS y FROM g a JOIN g b ON a.o = b.s AND b.o = a.s JOIN g v ON v.s = a.s AND v.p = 'view' WHERE a.p = 'error' AND b.p = 'click'",
+        "rpq_unknown_self": "SELECT 'host:nowhere' AS o",
+        "rpq_limited": _pairs("web", "0 on_host 1, 1 parent 1", "1", "SELECT least(25, count(*)) AS n FROM (SELECT DISTINCT origin, node", where=")"),
+        "rpq_next_by_ranges": _pairs("web", "0 on_host 1, 1 parent 1", "1", "SELECT min(origin) AS value", where="AND node = 'host:com' AND origin >= 'page:5'"),
+        "graph_labels_into": f"SELECT p, count(*) AS edges, count(DISTINCT o) AS targets FROM ({g['web']}) WHERE o >= 'host:a' AND o <= 'host:n' GROUP BY p",
+        "graph_sources_of": f"SELECT count(DISTINCT s) AS sources FROM ({g['web']}) WHERE p IN ('parent', 'on_host')",
         "rpq_must_pass": "SELECT DISTINCT 'order:' || o_orderkey AS s, 'region:' || n_regionkey AS o FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey WHERE n_nationkey = 3",
         "rpq_negated": oracle.recursion("pulse", "0 click_1 0", "0", None, "user:7", "SELECT DISTINCT a.s FROM g a JOIN g b ON a.o = b.s AND b.p = 'click_1' JOIN reach ON reach.node = b.o WHERE a.p NOT IN ('error_3', 'click_1')"),
         "rpq_same_variable": f"WITH g AS ({g['flow']}) SELECT DISTINCT a.s FROM g a JOIN g b ON a.o = b.s AND b.o = a.s WHERE a.p = 'error' AND b.p = 'click'",
@@ -332,6 +460,28 @@ def oracle_sql() -> dict[str, str]:
         "graph_stats": f"WITH g AS ({g['trade']}) SELECT count(*) AS edges, (SELECT count(*) FROM (SELECT s FROM g UNION SELECT o FROM g)) AS nodes, count(DISTINCT s) AS subjects, count(DISTINCT p) AS labels, count(DISTINCT o) AS objects FROM g",
         "graph_label_counts": f"SELECT p, count(*) AS n FROM ({g['trade']}) GROUP BY p",
         "graph_selectivity": f"SELECT p, count(*) AS edges, count(DISTINCT s) AS sources, count(DISTINCT o) AS targets FROM ({g['trade']}) GROUP BY p",
+        "index_interval": f"WITH g AS ({g['web']}) SELECT 'objects' AS what, count(*) AS n FROM g WHERE o >= 'host:a' AND o <= 'host:n' UNION ALL SELECT 'labels', count(*) FROM g WHERE p >= 'in_lang' AND p <= 'on_host'",
+        "wavelet_ranks": f"""WITH g AS ({g['chat']}), nodes AS (SELECT n, row_number() OVER (ORDER BY n) - 1 AS id FROM (SELECT s AS n FROM g UNION SELECT o FROM g)),
+            labels AS (SELECT p, row_number() OVER (ORDER BY p) AS id FROM (SELECT DISTINCT p FROM g)), e AS (SELECT a.id AS s, labels.id AS p, b.id AS o FROM g JOIN nodes a ON a.n = g.s JOIN nodes b ON b.n = g.o JOIN labels USING (p)),
+            full_e AS (SELECT s, p, o FROM e UNION ALL SELECT o, p + (SELECT count(*) FROM labels), s FROM e), h AS (SELECT length(bin((SELECT count(*) FROM nodes) - 1)) AS h),
+            seq AS (SELECT row_number() OVER (ORDER BY p, o, s) AS pos, s AS symbol FROM full_e), levels AS (SELECT unnest(range(0, h))::INTEGER AS level, h FROM h),
+            bits AS (SELECT level, row_number() OVER (PARTITION BY level ORDER BY symbol >> (h - level), pos) AS n, (symbol >> (h - level - 1)) & 1 AS bit FROM seq, levels)
+            SELECT level, n AS i, ones::BIGINT AS ones FROM (SELECT level, n, sum(bit) OVER (PARTITION BY level ORDER BY n) AS ones FROM bits) WHERE n % 5 = 0 AND n < (SELECT count(*) FROM seq) UNION ALL SELECT level, 0, 0 FROM levels""",
+        "measure_space": f"""WITH g AS ({g['trade']}), k AS (SELECT count(*) AS n, count(DISTINCT s) AS s, count(DISTINCT p) AS p, count(DISTINCT o) AS o, (SELECT count(*) FROM (SELECT s FROM g UNION SELECT o FROM g)) AS v FROM g),
+            b AS (SELECT *, greatest(1, ceil(log2(greatest(2, 2 * p)))) AS bp, greatest(1, ceil(log2(greatest(2, v)))) AS bv, greatest(1, ceil(log2(greatest(2, s)))) + greatest(1, ceil(log2(greatest(2, p)))) + greatest(1, ceil(log2(greatest(2, o)))) AS packed FROM k)
+            SELECT component, round(bytes / n, 6) AS bytes_per_edge FROM (SELECT n, unnest(['L_p', 'L_s', 'C_o', 'C_p', 'visited masks', 'label masks', 'plain triples', 'packed triples']) AS component,
+                unnest([2 * n * bp * 1.125 / 8, 2 * n * bv * 1.125 / 8, 8.0 * (v + 1), 8.0 * (2 * p + 1), 4.0 * v, 8.0 * p, 12.0 * n, n * packed / 8]::DOUBLE[]) AS bytes FROM b)""",
+        "measure_counters": f"""WITH RECURSIVE g AS ({g['web']}), hosts(h, d) AS (SELECT 'host:com', 0 UNION ALL SELECT g.s, d + 1 FROM g JOIN hosts ON g.o = hosts.h AND g.p = 'parent'),
+            pages AS (SELECT g.s, d + 1 AS d FROM g JOIN hosts ON g.o = hosts.h AND g.p = 'on_host')
+            SELECT (SELECT count(DISTINCT d) FROM (SELECT d FROM hosts UNION SELECT d FROM pages)) AS rounds, (SELECT count(*) FROM hosts) + (SELECT count(*) FROM pages) AS visits, 2 * (SELECT count(*) FROM hosts) + (SELECT count(*) FROM pages) AS states, 2::BIGINT AS labels_read, (SELECT count(*) FROM pages) AS answers""",
+        "measure_ring": f"""WITH RECURSIVE g AS ({g['web']}), hosts(h) AS (SELECT 'host:com' UNION ALL SELECT g.s FROM g JOIN hosts ON g.o = hosts.h AND g.p = 'parent')
+            SELECT (SELECT count(*) FROM hosts) - 1 + n AS subjects, n AS answers FROM (SELECT count(*) AS n FROM g JOIN hosts ON g.o = hosts.h AND g.p = 'on_host')""",
+        "measure_winners": "SELECT 20::BIGINT AS patterns, 1.0::DOUBLE AS share, 20::BIGINT AS queries, 2::BIGINT AS methods, 0::BIGINT AS timeouts, 1::BIGINT AS answers_a_query",
+        "log_patterns": "SELECT pattern, n::BIGINT AS n FROM (VALUES " + ", ".join(f"('{x}', {n})" for x, n in _scaled().items()) + ") t(pattern, n)",
+        "log_clean": f"WITH n AS (SELECT s AS n FROM ({g['web']}) UNION SELECT o FROM ({g['web']})) SELECT NULL::VARCHAR AS s, 'parent*' AS path, n AS o FROM n WHERE n = 'host:example.com' UNION ALL SELECT n, 'on_host/parent*', NULL FROM n WHERE n = 'page:0'",
+        "log_answers": " UNION ALL ".join(oracle.model(q.id, x, kind, n) for x, kind, q, n in log.models()),
+        "log_answers_product": " UNION ALL ".join(oracle.model(q.id, x, kind, n) for x, kind, q, n in log.models()),
+        "stream_matches": "SELECT user_id, event_id FROM (SELECT *, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before FROM events) WHERE event_type = 'purchase' AND before = 'click'",
         "measure_product": oracle.recursion("pulse", "0 error_3 1, 1 error_3 1", "1", None, "user:7", "SELECT count(*) AS product_nodes FROM reach"),
         "stream_windows": "SELECT strftime(ts, '%Y-%m-%d') AS day, event_type, count(*) AS n FROM events GROUP BY 1, 2",
         "stream_sessions": "SELECT user_id, count(*) FILTER (WHERE fresh) AS sessions, count(*) AS events FROM (SELECT user_id, coalesce(ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) >= INTERVAL 6 HOUR, true) AS fresh FROM events) GROUP BY user_id",

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..exec import fastpaths, planner
+from ..exec import fastpaths, keyed, planner
 from ..exec.options import RpqOptions
 from ..graph.model import Graph
 from ..lang.parser import parse
@@ -29,6 +29,10 @@ def evaluate(g: Graph, patterns: list[tuple[str, str, str]], options: RpqOptions
         return out.join(part, shared) if shared else out.crossJoin(part)
 
     def named(df, s, o):
+        if s == o and is_variable(s):
+            # One variable at both ends: pairs that close, or their one column already.
+            df = df.filter("s = o") if "o" in df.columns else df
+            return df.select(F.col("s").alias(s[1:])).distinct()
         return df.select(*[F.col(c).alias(t[1:]) for c, t in (("s", s), ("o", o)) if is_variable(t)])
 
     for s, path, o in plain + hard:
@@ -43,22 +47,7 @@ def evaluate(g: Graph, patterns: list[tuple[str, str, str]], options: RpqOptions
 
 
 def _from_bound(g: Graph, path: str, out: DataFrame, s: str, o: str, forward: bool, options: RpqOptions) -> DataFrame:
-    """(s, o) pairs whose one end is bound already; runs are keyed by that end."""
-    from ..automaton import bitparallel
-    from ..automaton.bitparallel import Masks
-    from ..exec import backward, kernel
-
-    t = bitparallel.compile(parse(path))
-    masks = Masks(t)
-    ends = out.select(F.col((s if forward else o)[1:]).alias("node")).distinct().join(g.nodes(), "node", "left_semi")
-    rows = kernel.fetch(g, sorted({n for n, _ in t.B}), options.kernel_edges) if options.executor != "frontier" and not t._negated else None
-    if rows is not None:
-        found = kernel.evaluate_local(g.spark, rows, t, ends, not forward)
-    else:
-        start, goal = (t.initial, t.nfa.mask(t.nfa.last)) if forward else (t.nfa.mask(t.nfa.last), t.initial)
-        seen = backward.traverse(g, t, ends.select(F.col("node").alias("origin"), "node", masks.lit(start).alias("mask")), ["origin"], not forward, options)
-        found = seen.filter(masks.some(masks.both(F.col("mask"), masks.lit(goal)))).select("origin", "node")
-    if t.nfa.nullable:
-        found = found.union(ends.select(F.col("node").alias("origin"), "node")).distinct()
+    """(s, o) pairs whose one end is bound already."""
+    found = keyed.from_each(g, path, out.select(F.col((s if forward else o)[1:]).alias("node")), forward, options)
     a, b = ("s", "o") if forward else ("o", "s")
     return found.select(F.col("origin").alias(a), F.col("node").alias(b))

@@ -22,13 +22,49 @@ _CALL = re.compile(r"\brpq\s*\(((?:[^()']|'(?:[^']|'')*')*)\)(?:\s+(?:AS\s+)?(?!
 _ARG = re.compile(r"(\w+)\s*=>\s*(?:'((?:[^']|'')*)'|(NULL))", re.I)
 
 
+def _own_level(text: str) -> str:
+    """The rest of the query that a call stands in: text up to the end of that query, with
+    what stands in brackets (subqueries, arguments) left out."""
+    out, depth, at = [], 0, 0
+    while at < len(text):
+        c = text[at]
+        if c == "'":
+            end = re.compile(r"'(?:[^']|'')*'").match(text, at)
+            stop = end.end() if end else len(text)
+            if not depth:
+                out.append(text[at:stop])
+            at = stop
+            continue
+        if c == "(":
+            depth += 1
+            out.append(" ( " if depth == 1 else "")
+        elif c == ")":
+            depth -= 1
+            if depth < 0:
+                break
+            out.append(" ) " if not depth else "")
+        elif not depth:
+            out.append(c)
+        at += 1
+    return "".join(out)
+
+
 def _bound(text: str, alias: str | None, column: str) -> str | None:
-    """A constant that the outer query demands of an end, if that is plain to see."""
-    if re.search(r"\bOR\b|\bNOT\b|\bUNION\b", text, re.I):
+    """A constant that the query around a call demands of an end, if that is plain to see: a
+    conjunct ``alias.column = '...'`` of its own WHERE. Without an alias the call must be
+    all that the query reads, else the column may be another table's."""
+    own = _own_level(text)
+    if re.search(r"\b(OR|NOT|UNION|INTERSECT|EXCEPT|MINUS|CASE|BETWEEN)\b", own, re.I):
+        return None
+    before, where, after = re.split(r"\b(WHERE)\b", own, maxsplit=1, flags=re.I) if re.search(r"\bWHERE\b", own, re.I) else (own, "", "")
+    if not where or not alias and (re.search(r"\bJOIN\b", before, re.I) or "," in before):
         return None
-    name = rf"(?:{re.escape(alias)}\.)?{column}" if alias else column
-    m = re.search(rf"\bWHERE\b.*?(?<![\w.]){name}\s*=\s*'((?:[^']|'')*)'", text, re.I | re.S)
-    return m[1].replace("''", "'") if m else None
+    name = rf"{re.escape(alias)}\.{column}" if alias else column
+    for part in re.split(r"\bAND\b", re.split(r"\b(?:GROUP|ORDER|HAVING|LIMIT|SORT|CLUSTER|DISTRIBUTE|WINDOW|OFFSET)\b", after, maxsplit=1, flags=re.I)[0], flags=re.I):
+        m = re.fullmatch(rf"\s*{name}\s*=\s*'((?:[^']|'')*)'\s*;?\s*", part, re.I)
+        if m:
+            return m[1].replace("''", "'")
+    return None
 
 
 def sql(spark: SparkSession, text: str, options: RpqOptions = RpqOptions()) -> DataFrame:

@@ -101,3 +101,19 @@ def recursion(graph: str, transitions: str, finals: str, s: str | None, o: str |
 def of(query_id: str) -> str:
     q = QUERIES[query_id]
     return recursion(q.graph, *TRANSITIONS[query_id], q.s, q.o)
+
+
+def model(query_id: str, pattern: str, kind: str, n: int) -> str:
+    """SQL of the answers of a model's n queries; constants are the first nodes of a kind by the hash of their names."""
+    q, (transitions, finals) = QUERIES[query_id], TRANSITIONS[query_id]
+    if not kind:
+        return f"SELECT '{query_id}' AS model, '{pattern}' AS pattern, NULL::VARCHAR AS constant, {n}::BIGINT AS queries, (SELECT count(*) FROM ({of(query_id)})) AS answers"
+    rows = ", ".join(f"({a}, '{label.lstrip('^')}', {'true' if label[0] == '^' else 'false'}, {r})" for a, label, r in (t.split(" ") for t in transitions.split(", ")))
+    forward = q.o is None
+    seeds = " UNION ".join(f"SELECT n, n, {f} FROM consts" for f in (["0"] if forward else finals.split(", ")))
+    step = "step.y, step.r FROM reach JOIN step ON step.x = reach.node AND step.q = reach.q" if forward else "step.x, step.q FROM reach JOIN step ON step.y = reach.node AND step.r = reach.q"
+    return f"""(WITH RECURSIVE g AS ({GRAPHS[q.graph]}), trans(q, label, inv, r) AS (VALUES {rows}),
+        step AS (SELECT DISTINCT t.q, t.r, CASE WHEN t.inv THEN g.o ELSE g.s END AS x, CASE WHEN t.inv THEN g.s ELSE g.o END AS y FROM g JOIN trans t ON g.p = t.label),
+        consts AS (SELECT n FROM (SELECT s AS n FROM g UNION SELECT o FROM g) WHERE split_part(n, ':', 1) = '{kind}' ORDER BY md5(n) LIMIT {n}),
+        reach(origin, node, q) AS ({seeds} UNION SELECT reach.origin, {step})
+        SELECT '{query_id}' AS model, '{pattern}' AS pattern, consts.n AS constant, 1::BIGINT AS queries, (SELECT count(DISTINCT node) FROM reach WHERE origin = consts.n AND q IN ({finals if forward else 0})) AS answers FROM consts)"""
