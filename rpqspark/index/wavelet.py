@@ -159,5 +159,5 @@ def level_table(column: DataFrame, height: int, store: Store) -> DataFrame:
 def ranks(levels: DataFrame, asked: DataFrame) -> DataFrame:
     """(level, i, ones): rank_1 of the asked (level, i) by a count inside one word."""
     a = asked.withColumn("block", F.floor(F.col("i") / 64).cast("int"))
-    low = F.when(F.col("i") % 64 == 0, F.lit(0).cast("long")).otherwise(F.col("word").bitwiseAND(F.expr("shiftleft(1L, cast(i % 64 as int)) - 1")))
+    low = F.when(F.col("i") % 64 == 0, F.lit(0).cast("long")).otherwise(F.col("word").bitwiseAND(F.expr("shiftrightunsigned(-1L, 64 - cast(i % 64 as int))")))
     return a.join(levels, ["level", "block"]).select("level", "i", (F.col("ones_before") + F.bit_count(low)).cast("long").alias("ones"))

@@ -379,7 +379,6 @@ def queries() -> dict[str, Query]:
         "measure_winners": timed_log,
         "measure_ring": ring_counters,
         "log_answers": log_answers,
-        "log_answers_product": lambda spark, sf_dir: log_answers(spark, sf_dir, "product"),
         "index_interval": index_interval,
         "log_patterns": histogram,
         "log_clean": clean_log,
@@ -480,7 +479,6 @@ def oracle_sql() -> dict[str, str]:
         "log_patterns": "SELECT pattern, n::BIGINT AS n FROM (VALUES " + ", ".join(f"('{x}', {n})" for x, n in _scaled().items()) + ") t(pattern, n)",
         "log_clean": f"WITH n AS (SELECT s AS n FROM ({g['web']}) UNION SELECT o FROM ({g['web']})) SELECT NULL::VARCHAR AS s, 'parent*' AS path, n AS o FROM n WHERE n = 'host:example.com' UNION ALL SELECT n, 'on_host/parent*', NULL FROM n WHERE n = 'page:0'",
         "log_answers": " UNION ALL ".join(oracle.model(q.id, x, kind, n) for x, kind, q, n in log.models()),
-        "log_answers_product": " UNION ALL ".join(oracle.model(q.id, x, kind, n) for x, kind, q, n in log.models()),
         "stream_matches": "SELECT user_id, event_id FROM (SELECT *, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before FROM events) WHERE event_type = 'purchase' AND before = 'click'",
         "measure_product": oracle.recursion("pulse", "0 error_3 1, 1 error_3 1", "1", None, "user:7", "SELECT count(*) AS product_nodes FROM reach"),
         "stream_windows": "SELECT strftime(ts, '%Y-%m-%d') AS day, event_type, count(*) AS n FROM events GROUP BY 1, 2",
