@@ -21,12 +21,11 @@ A rule may ask for a second, ``shorter`` length. Anchors are then those of the s
 windows, surroundings reach as far as the longer ones, and the same orders and classes give
 the spans of both lengths.
 
-A gram that is frequent (a passage in a third of all rows) gets longer
-prefixes: where a sample shows it, its anchors are dealt by surroundings instead of
-by gram, and its windows are compared whole, as grams of full length, with equal
-ones merged before the shuffle. So are those of every gram that an exact count finds to
-have over ``GROUP`` classes, so that the groups of step 2 are bounded. Both only move work;
-every anchor is decided either way, by the same rule.
+A gram that is frequent (a passage in a third of all rows) is dealt by surroundings instead
+of by gram in step 1, where a sample shows it. A gram that has over ``GROUP`` classes, by an
+exact count, gets longer prefixes in step 2: its windows are compared whole, as grams of
+full length, with equal ones merged before the shuffle, so that the groups of step 2
+are bounded. Both only move work; every anchor is decided either way, by the same rule.
 """
 
 from __future__ import annotations
@@ -49,7 +48,7 @@ SAMPLE_ONE_IN, SIGHTINGS, PARTITION_SHARE = 64, 24, 0.5
 #: Frequent grams of the sample that are sent to every task at most (8 bytes each).
 FREQUENT = 20_000
 #: Classes of one gram that are compared in one task; a gram with more goes by its windows.
-GROUP = 20_000
+GROUP = 100_000
 
 ANCHOR, SPAN, REPRESENTATIVE, FREQUENT_ONE, SHORT_SPAN = 0, 1, 2, 3, 4
 _ROW = pa.schema([("p", pa.int64()), ("g", pa.int64()), ("c", pa.int64()), ("doc_id", pa.int64()), ("h", pa.int64()), ("pos", pa.int64()), ("n", pa.int64()), ("kind", pa.int8()), ("seen", pa.bool_())])
@@ -115,7 +114,8 @@ class Rule:
     cut: Callable[[object, int, int], bytes]
     back: Callable[[bytes], object]
     #: sequences -> their order, with ``depths`` (common-prefix lengths at which their classes may
-    #: change) and ``classes(depth)`` (a number for each; equal ones share ``depth`` symbols).
+    #: change), ``classes(depth)`` (a number for each; equal ones share ``depth`` symbols) and
+    #: ``between()`` (the common prefix of each two, for few).
     order: Callable[[list], object]
     #: Length of the longest common prefix of two sequences.
     prefix_of: Callable[[object, object], int]
@@ -195,6 +195,15 @@ class Sorted:
         out[self.order] = np.cumsum(self.lcp < depth)
         return out
 
+    def between(self) -> np.ndarray:
+        """Common prefix of each two: the least one between them in the order."""
+        n = len(self.order)
+        out = np.zeros((n, n), np.int64)
+        for a in range(n - 1):
+            at, after = self.order[a], self.order[a + 1 :]
+            out[at, after] = out[after, at] = np.minimum.accumulate(self.lcp[a + 1 :])
+        return out
+
 
 def merged(starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Union of spans, as disjoint spans in order."""
@@ -213,9 +222,9 @@ _COLUMNS = ("p", "g", "c", "doc", "h", "pos", "n", "kind", "seen")
 
 
 def decided(t: dict, rule: Rule) -> tuple[np.ndarray, np.ndarray]:
-    """Of rows sorted by (g, c, doc): which are covered by their class, which stand for it.
+    """Of rows sorted by (g, c, doc): which are covered by their class and were not before, which stand for it.
 
-    Sets ``seen`` where a class has a second place.
+    Sets ``seen`` where a class has a second place; the spans of such rows are known.
     """
     g, c, doc = t["g"], t["c"], t["doc"]
     same = np.concatenate([[False], (g[1:] == g[:-1]) & (c[1:] == c[:-1])])
@@ -224,9 +233,8 @@ def decided(t: dict, rule: Rule) -> tuple[np.ndarray, np.ndarray]:
         covered = (doc > doc[first]) & (doc != _NO_ID)
         return covered, ~covered
     n = np.bincount(first, minlength=len(g)) + np.bincount(first, weights=t["seen"], minlength=len(g)).astype(np.int64)
-    covered = n[first] > 1
-    t["seen"] = covered
-    return covered, ~same
+    before, t["seen"] = t["seen"].astype(bool), n[first] > 1
+    return t["seen"] & ~before, ~same
 
 
 def _take(t: dict, at) -> dict:
@@ -429,6 +437,20 @@ def _outermost(rule: Rule, reach: int, docs: np.ndarray, right, left) -> tuple[n
     return low, high
 
 
+#: Members up to which the common prefixes of each two are laid out.
+FEW = 32
+
+
+def _outermost_of_few(rule: Rule, reach: int, docs: np.ndarray, ahead: np.ndarray, behind: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The same for few members, from the common prefixes of each two on both sides."""
+    lo, hi = np.maximum(0, reach - ahead), np.minimum(reach, behind)
+    ok = lo <= hi
+    np.fill_diagonal(ok, False)
+    if rule.earlier:
+        ok &= (docs[None, :] < docs[:, None]) & (docs != _NO_ID)[:, None]
+    return np.where(ok, lo, reach + 1).min(axis=1), np.where(ok, hi, -1).max(axis=1)
+
+
 def shared(rule: Rule, left: list, right: list, docs: np.ndarray):
     """For each length (in the order of ``rule.kinds``): least and greatest offset of the windows
     that each member of a group shares; the least is over the reach where there is none.
@@ -439,20 +461,10 @@ def shared(rule: Rule, left: list, right: list, docs: np.ndarray):
     at the common-prefix lengths, so only offsets that these lengths set are looked at.
     All windows of an anchor overlap, so the outermost two bound what is covered.
     """
-    k, out = len(docs), []
-    if k == 2:
-        ahead, behind = rule.prefix_of(*right), rule.prefix_of(*left)
-        whom = (0, 1) if not rule.earlier else (1,) if docs[0] < docs[1] else (0,) if docs[1] < docs[0] else ()
-        for size, _ in rule.kinds:
-            reach = size - rule.prefix
-            low, high = np.full(k, reach + 1), np.full(k, -1)
-            lo, hi = max(0, reach - ahead), min(reach, behind)
-            for i in whom if lo <= hi else ():
-                if docs[i] != _NO_ID or not rule.earlier:
-                    low[i], high[i] = lo, hi
-            out.append((low, high))
-        return out
     ahead, behind = rule.order(right), rule.order(left)
+    if len(docs) <= FEW:
+        ahead, behind = ahead.between(), behind.between()
+        return [_outermost_of_few(rule, size - rule.prefix, docs, ahead, behind) for size, _ in rule.kinds]
     return [_outermost(rule, size - rule.prefix, docs, ahead, behind) for size, _ in rule.kinds]
 
 
@@ -464,6 +476,17 @@ def _compared(rule: Rule):
             return
         left = [rule.back(r[5])[: r[3]][::-1] for r in rows]
         right = [rule.back(r[5])[r[3] + rule.prefix :] for r in rows]
+        if len(rows) == 2:
+            # A tree of two has one inner node: the common prefix.
+            ahead, behind, docs = rule.prefix_of(*right), rule.prefix_of(*left), (rows[0][1], rows[1][1])
+            for size, kind in rule.kinds:
+                reach = size - rule.prefix
+                lo, hi = max(0, reach - ahead), min(reach, behind)
+                for i in (0, 1) if lo <= hi else ():
+                    if not rule.earlier or docs[i] is not None and docs[1 - i] is not None and docs[1 - i] < docs[i]:
+                        doc = _NO_ID if docs[i] is None else docs[i]
+                        spans.setdefault(kind, []).extend((doc, rows[i][2], p - hi, p - lo + size) for p in rows[i][4])
+            return
         docs = np.array([_NO_ID if r[1] is None else r[1] for r in rows], np.int64)
         for (size, kind), (low, high) in zip(rule.kinds, shared(rule, left, right, docs)):
             spans.setdefault(kind, []).extend((docs[i], rows[i][2], p - high[i], p - low[i] + size) for i in np.flatnonzero(high >= 0).tolist() for p in rows[i][4])
@@ -527,8 +550,9 @@ def repeats(docs: DataFrame, rule: Rule, name: str) -> tuple[DataFrame, DataFram
         schema = pa.schema([("g", pa.int64())])
         for b in batches:
             for t in b.column(1).fill_null(""):
-                # Once a document: repeats inside a document are merged before the shuffle anyway.
-                yield common.batch(schema, np.unique(anchors(rule.symbols(t.as_py().encode()), rule)[1]).view(np.int64))
+                # Once a class of a document: equal ones of a document are merged before the shuffle anyway.
+                _, g, c, *_ = anchors(rule.symbols(t.as_py().encode()), rule)
+                yield common.batch(schema, g[np.unique(mix(g ^ mix(c)), return_index=True)[1]].view(np.int64))
 
     sighted = keyed.sample(1 / SAMPLE_ONE_IN, 7).mapInArrow(seen, "g long").groupBy("g").count()
     sighted = stage.save(sighted, "sighted")
@@ -542,11 +566,11 @@ def repeats(docs: DataFrame, rule: Rule, name: str) -> tuple[DataFrame, DataFram
     common.small_batches(spark)
     stage.release()
 
-    stand = first.filter(F.col("kind") == REPRESENTATIVE)
+    stand = first.filter(F.col("kind").isin(REPRESENTATIVE, FREQUENT_ONE))
     heavy = stage.save(stand.groupBy("g").count().filter(F.col("count") > GROUP).select("g"), "heavy")
-    whole_ones, some_heavy = first.filter(F.col("kind") == FREQUENT_ONE), bool(heavy.limit(1).count())
+    whole_ones, some_heavy = None, bool(heavy.limit(1).count())
     if some_heavy:
-        stand, whole_ones = stand.join(heavy, "g", "left_anti"), whole_ones.unionByName(stand.join(heavy, "g", "left_semi").select(*first.columns))
+        stand, whole_ones = stand.join(heavy, "g", "left_anti"), stand.join(heavy, "g", "left_semi")
 
     def with_text(rows: DataFrame) -> DataFrame:
         of = rows.groupBy("doc_id", "h").agg(F.collect_list(F.struct("g", "pos", "n")).alias("have"))
@@ -557,7 +581,7 @@ def repeats(docs: DataFrame, rule: Rule, name: str) -> tuple[DataFrame, DataFram
     stage.release()
     columns = ["doc_id", "h", "pos", "n", "kind"]
     spans = first.filter(F.col("kind").isin(SPAN, SHORT_SPAN)).select(*columns).unionByName(second.select(*columns))
-    if frequent.value or some_heavy:
+    if some_heavy:
         whole = with_text(whole_ones).mapInArrow(_whole_windows(rule), ROW).repartition(n, "p").sortWithinPartitions("p", "g", "c", "doc_id")
         third = stage.save(whole.mapInArrow(_classes(rule, True), ROW), "third")
         stage.release()

@@ -105,6 +105,13 @@ class Subtree:
                 out[below] = below[0]
         return out
 
+    def between(self) -> np.ndarray:
+        """Common prefix of each two: the depth of the deepest inner node over both."""
+        out = np.zeros((len(self.suffixes),) * 2, np.int64)
+        for d, below in reversed(self.repeats):
+            out[np.ix_(below, below)] = d
+        return out
+
 
 def _same_words(a: list[bytes], b: list[bytes]) -> int:
     n = min(len(a), len(b))

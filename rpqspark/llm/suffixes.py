@@ -129,7 +129,11 @@ def deep_shallow(strings: list[bytes]) -> tuple[list[int], list[int]]:
             if pivot == -1:
                 order += equal  # strings that end here: nothing is smaller, all are equal
             elif equal:
-                todo.append((equal, depth + 1))
+                # What all of them share is passed in one step.
+                first, ahead = strings[equal[0]], depth + 1
+                while ahead < SHALLOW and ahead < len(first) and all(strings[i][ahead : ahead + 1] == first[ahead : ahead + 1] for i in equal):
+                    ahead += 1
+                todo.append((equal, ahead))
             if less:
                 todo.append((less, depth))
     return order, [0] + [common_prefix(strings[i], strings[j]) for i, j in zip(order, order[1:])]
