@@ -23,7 +23,6 @@ their head; a head whose labels are all alike rejects nothing. Repeated rows are
 from __future__ import annotations
 
 import math
-import operator
 import zlib
 from dataclasses import dataclass
 
@@ -34,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import common
-from .bpe import Finished
+from .anchors import mix
 
 LABELLED, ROUNDS, CONFIDENT, PASSES = 8000, 3, 0.98, 8
 WORD_BITS, META_BITS, BEGINNING = 18, 12, 4
@@ -49,38 +48,95 @@ def _slot(text: str, bits: int) -> int:
     return zlib.crc32(text.encode()) & (1 << bits) - 1
 
 
-def _word_slots(word: str) -> tuple[int, int]:
-    bare = word.strip(_STRIP) or word
-    return _slot("w" + bare, WORD_BITS), _slot("b" + bare[:BEGINNING], WORD_BITS)
-
-
-#: Bounded tightly: a reused worker keeps this table beside those of later stages.
-_slots = Finished(_word_slots, most=60_000)
-
-
-def text_view(text: str | None) -> tuple[np.ndarray, list[float]]:
-    """Hashed word features and measures of one text."""
-    text = text or ""
-    words = text.split()
-    n = max(1, len(words))
-    slots = {s for pair in map(_slots.__getitem__, set(text.lower().split())) for s in pair}
-    chars = max(1, len(text))
-    lines = text.split("\n")
-    marks = sum(map(text.count, _MARKS))
-    measures = [
-        sum(map(operator.eq, words, words[1:])) / n,
-        len(set(words)) / n / (1 + math.log(n)) * 4,
-        sum(map(str.isupper, words)) / n,
-        marks / chars * 5,
-        text.count("!") / n,
-        text.count("|") / n,
-        1 - len(set(lines)) / len(lines),
-        sum(map(str.isdigit, text)) / chars,
-        math.log(n) / 8,
-        chars / n / 20,
-        1.0 if n < 8 else 0.0,
-    ]
-    return np.fromiter(slots, np.int64, len(slots)), measures
+# Classes of bytes: white space between words, and what is stripped from a word's ends (the last
+# four stand in the two-byte marks of quotation and of opening questions and exclamations).
+_SPACE, _BARE = np.zeros(256, bool), np.ones(256, bool)
+_SPACE[[9, 10, 11, 12, 13, 32]] = True
+_BARE[np.flatnonzero(_SPACE)] = False
+_BARE[list(_STRIP.encode())] = False
+#: Random numbers for each byte and, taken modulo their number, each place in a word.
+_OF_BYTE, _OF_PLACE = (np.random.default_rng(n).integers(1, 1 << 63, 256, dtype=np.uint64) | np.uint64(1) for n in (5, 6))
+#: Bytes of text whose features are made at once; a longer text is taken alone.
+_PORTION = 1 << 20
+
+
+def _hash_words(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the stretches of bytes, and of the first ``BEGINNING`` characters of each."""
+    sizes = ends - starts
+    before = np.cumsum(sizes) - sizes
+    place = np.arange(int(sizes.sum())) - np.repeat(before, sizes)
+    of = data[np.repeat(starts, sizes) + place]
+    terms = _OF_BYTE[of] * _OF_PLACE[place & 255]
+    characters = np.cumsum((of & 0xC0) != 0x80)
+    first = characters - np.repeat(characters[before] - 1, sizes) <= BEGINNING
+    return mix(np.add.reduceat(terms, before)), mix(np.add.reduceat(np.where(first, terms, 0), before) ^ np.uint64(1 << 62))
+
+
+def _once(keys: np.ndarray) -> np.ndarray:
+    """The distinct keys, sorted."""
+    keys = np.sort(keys)
+    return keys[np.concatenate([[True], keys[1:] != keys[:-1]])] if len(keys) else keys
+
+
+def _portion_rows(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Slots, their number for each text, and measures."""
+    n = len(texts)
+    raws = [t.lower().encode() for t in texts]
+    firsts = np.cumsum([0] + [len(r) + 1 for r in raws])[:-1]
+    data = np.frombuffer(b" ".join([*raws, b""]), np.uint8)
+    inside = ~_SPACE[data]
+    edge = np.diff(inside.astype(np.int8), prepend=0, append=0)
+    starts, ends = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
+    row = np.searchsorted(firsts, starts, side="right") - 1
+    n_words = np.bincount(row, minlength=n)
+    keys = [np.empty(0, np.int64)]
+    distinct = repeated = np.zeros(n)
+    if len(starts):
+        whole, _ = _hash_words(data, starts, ends)
+        bare = np.flatnonzero(_BARE[data])
+        lo, hi = np.searchsorted(bare, starts), np.searchsorted(bare, ends) - 1
+        some = hi >= lo
+        at = lambda i: bare[np.minimum(i, len(bare) - 1)] if len(bare) else np.zeros_like(i)
+        words, beginnings = _hash_words(data, np.where(some, at(lo), starts), np.where(some, at(hi) + 1, ends))
+        keys += [row << WORD_BITS | (h & np.uint64((1 << WORD_BITS) - 1)).astype(np.int64) for h in (words, beginnings)]
+        again = (whole[1:] == whole[:-1]) & (row[1:] == row[:-1])
+        repeated = np.bincount(row[1:], weights=again, minlength=n)
+        distinct = np.bincount(_once(row << 40 | (whole >> np.uint64(24)).astype(np.int64)) >> 40, minlength=n)
+    keys = _once(np.concatenate(keys))
+    dense = []
+    for i, text in enumerate(texts):
+        words, chars, lines = max(1, int(n_words[i])), max(1, len(text)), text.split("\n")
+        dense.append([
+            repeated[i] / words,
+            distinct[i] / words / (1 + math.log(words)) * 4,
+            sum(map(str.isupper, text.split())) / words,
+            sum(map(text.count, _MARKS)) / chars * 5,
+            text.count("!") / words,
+            text.count("|") / words,
+            1 - len(set(lines)) / len(lines),
+            sum(map(text.count, "0123456789")) / chars,
+            math.log(words) / 8,
+            chars / words / 20,
+            1.0 if words < 8 else 0.0,
+        ])
+    return keys & (1 << WORD_BITS) - 1, np.bincount(keys >> WORD_BITS, minlength=n), np.array(dense)
+
+
+def text_rows(texts: list) -> Rows:
+    """The text view of texts: hashed word features, sorted in each row, and measures.
+
+    Words are runs of bytes other than ASCII white space, in lower case; marks are stripped from their ends.
+    """
+    parts, at, size = [], 0, 0
+    for i, t in enumerate(texts):
+        size += len(t or "")
+        if size >= _PORTION or i + 1 == len(texts):
+            parts.append(_portion_rows([x or "" for x in texts[at : i + 1]]))
+            at, size = i + 1, 0
+    if not parts:
+        return Rows(np.empty(0, np.int64), np.empty(0, np.int64), np.zeros((0, MEASURES)))
+    slots, sizes, dense = (np.concatenate(x) for x in zip(*parts))
+    return Rows(slots, np.cumsum(sizes, dtype=np.int64), dense)
 
 
 MEASURES = 11
@@ -212,12 +268,23 @@ _SUMS = pa.schema([("k", pa.int32()), ("chunk", pa.int32()), ("part", pa.binary(
 _FAR = 65535
 
 
-def _packed(slots: np.ndarray) -> bytes:
-    """Gaps between sorted slots, two bytes each."""
-    gaps = np.diff(np.sort(slots), prepend=0)
-    if len(gaps) and gaps.max() >= _FAR:
-        gaps = np.array([x for g in gaps.tolist() for x in [_FAR] * (g // _FAR) + [g % _FAR]])
-    return gaps.astype("<u2").tobytes()
+def _packed(rows: Rows) -> list[bytes]:
+    """Gaps between the sorted slots of each row, two bytes each."""
+    starts = np.concatenate([[0], rows.ends])[:-1]
+    gaps = np.diff(rows.slots, prepend=0)
+    some = starts[rows.ends > starts]
+    gaps[some] = rows.slots[some]
+    more = gaps // _FAR
+    if more.any():
+        # A far slot takes marks of its own before the rest of its gap.
+        out = np.full(len(gaps) + int(more.sum()), _FAR)
+        ends = np.cumsum(more + 1)
+        out[ends - 1] = gaps % _FAR
+        ends = np.concatenate([[0], ends])[np.concatenate([[0], rows.ends])]
+    else:
+        out, ends = gaps, np.concatenate([[0], rows.ends])
+    data, ends = out.astype("<u2").tobytes(), (2 * ends).tolist()
+    return [data[a:b] for a, b in zip(ends, ends[1:])]
 
 
 def _unpacked(slots: pa.Array, measures: pa.Array, meta: pa.Array) -> tuple[Rows, Rows]:
@@ -405,9 +472,8 @@ def _round(store: DataFrame, stage: common.Stage, own: list, past: list, turn: i
                 if len(some):
                     text = rows[0].take(some)
                     keep_slot = np.unpackbits(chosen.value)[text.slots] == 1
-                    cuts = np.concatenate([[0], np.cumsum(keep_slot)])[np.concatenate([[0], text.ends])]
-                    words = np.split(text.slots[keep_slot], cuts[1:-1])
-                    yield common.batch(schema, [_packed(w) for w in words], b.column(1).take(pa.array(some)), b.column(2).take(pa.array(some)), [x.tobytes() for x in lent[:, some].T.astype(np.float32)])
+                    text = Rows(text.slots[keep_slot], np.concatenate([[0], np.cumsum(keep_slot)])[text.ends], text.dense)
+                    yield common.batch(schema, _packed(text), b.column(1).take(pa.array(some)), b.column(2).take(pa.array(some)), [x.tobytes() for x in lent[:, some].T.astype(np.float32)])
 
     lent = stage.save(free.mapInArrow(labelled, "slots binary, measures binary, meta binary, lent binary"), f"lent{turn}")
     for _ in range(PASSES):
@@ -449,10 +515,9 @@ def co_train(store: DataFrame, stage: common.Stage, own: list, rounds: int = ROU
 
 
 def _views(b, at: dict) -> tuple[Rows, Rows]:
-    text = [text_view(t.as_py()) for t in b.column(at["text"])]
     get = lambda k: b.column(at[k]).to_pylist() if k in at else [None] * b.num_rows
     meta = [meta_view(*x) for x in zip(get("lang"), get("source"), get("n_chars"))]
-    return Rows.of([t[0] for t in text], [t[1] for t in text] or np.zeros((0, MEASURES))), Rows.of(meta)
+    return text_rows(b.column(at["text"]).to_pylist()), Rows.of(meta)
 
 
 _FIELDS = ("doc_id", "text", "lang", "source", "n_chars")
@@ -464,13 +529,9 @@ def features(docs: DataFrame, chosen: DataFrame) -> DataFrame:
 
     def work(batches):
         for b in batches:
-            slots, measures, meta = [], [], []
-            for t, lang, source, n in zip(*(c.to_pylist() for c in b.columns[1:5])):
-                words, sizes = text_view(t)
-                slots.append(_packed(words))
-                measures.append(np.array(sizes).tobytes())
-                meta.append(np.array(meta_view(lang, source, n), "<u2").tobytes())
-            yield common.batch(schema, b.column(0), *b.columns[5:], slots, measures, meta)
+            rows = text_rows(b.column(1).to_pylist())
+            meta = [np.array(meta_view(*x), "<u2").tobytes() for x in zip(*(c.to_pylist() for c in b.columns[2:5]))]
+            yield common.batch(schema, b.column(0), *b.columns[5:], _packed(rows), [m.tobytes() for m in rows.dense], meta)
 
     rows = docs.join(F.broadcast(chosen.withColumn("own", F.lit(True))), "doc_id", "left")
     tie = F.when(F.col("own"), F.xxhash64(*_FIELDS))

@@ -68,7 +68,32 @@ def test_features_pack_and_unpack():
     import pyarrow as pa
 
     sets = [[], [0], [65535], [5, 131070, 262143], [1, 2, 3], [200000]]
-    packed = pa.array([quality._packed(np.array(s, np.int64)) for s in sets], pa.binary())
+    packed = pa.array(quality._packed(quality.Rows.of(sets)), pa.binary())
     measures = pa.array([np.arange(quality.MEASURES, dtype=float).tobytes()] * len(sets), pa.binary())
     text, _ = quality._unpacked(packed, measures, pa.array([np.array([1, 2, 3, 4], "<u2").tobytes()] * len(sets), pa.binary()))
     assert [x.tolist() for x in np.split(text.slots, text.ends[:-1])] == sets
+
+
+def test_text_view_equals_a_plain_form():
+    rnd = random.Random(6)
+    texts = [None, "", " ", "!!! ,", "Ünïcode «wörd» ¿que? a b", "one", "x" * 5000, "La la LA la", "a|b! #c\n\nd\n\n12 3"]
+    texts += [" ".join(rnd.choice(["abc", "Abcd.", "(abcde)", "ÄÖÜäöü", "ABC", "日本語テキスト"]) for _ in range(rnd.randrange(40))) for _ in range(30)]
+
+    def one(word):
+        data = np.frombuffer(word.encode(), np.uint8)
+        return tuple(int(h[0]) & (1 << quality.WORD_BITS) - 1 for h in quality._hash_words(data, np.array([0]), np.array([len(data)])))
+
+    for whole in (quality.text_rows(texts),):
+        starts = [0, *whole.ends[:-1].tolist()]
+        for t, a, b, d in zip(texts, starts, whole.ends.tolist(), whole.dense):
+            words = [w.decode() for w in (t or "").lower().encode().split()]
+            bare = [w.strip(quality._STRIP) or w for w in words]
+            want = {one(w)[0] for w in bare} | {one(w)[1] for w in bare}
+            assert whole.slots[a:b].tolist() == sorted(want)
+            assert all(one(w)[1] == one(w[: quality.BEGINNING])[1] for w in bare)
+            n = max(1, len(words))
+            assert abs(d[0] - sum(x == y for x, y in zip(words, words[1:])) / n) < 1e-12
+            assert abs(d[8] - np.log(n) / 8) < 1e-12
+    one_by_one = [quality.text_rows([t]) for t in texts]
+    assert np.concatenate([r.slots for r in one_by_one]).tolist() == whole.slots.tolist()
+    assert quality.text_rows([]).dense.shape == (0, quality.MEASURES)
