@@ -13,12 +13,18 @@ make 32-bit keys (equal segment, and a neighbour with at most one bit flipped),
 so rows meet by an equi-join; the third prunes what met, and only then the full
 Hamming distance is taken.
 
-Equal fingerprints are one node from the start, so copies cost nothing. Nodes
-that lie close together in great number are contracted first: nodes at
-distance one are found by their 64 flips with one equi-join, and each bucket
+Equal fingerprints are one node from the start, so copies cost nothing. Each bucket
 of the join is cut to links that a forest needs, so that a group of n
 near copies gives about n links and not n*n/2.
 
+``near_groups`` is for texts that are alike and not only nearly equal: shingles of five
+words, each counted once, and a similarity (shared shingles over all) of 0.8 or more. There two fingerprints
+of 64 bits differ in about ten, of which no index on segments is selective. So fingerprints
+have 256 bits there, candidates come from keys of smallest hashes (24 keys of 6 each, which
+miss a pair at 0.8 once in 1,500 times), pigeonring chains over 16 segments prune them
+before the full Hamming distance, at most ``NEAR`` = 52 (39 are expected at 0.8), and the
+pairs left are held against their shingles.
+
 Null text has no words (fingerprint zero, linked like any other); repeated rows
 are rows of their own; an empty table gives an empty one; a null doc_id takes
 part but cannot name a component unless it is alone in it.
@@ -35,6 +41,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import common
+from .anchors import mix
 from .components import components
 
 SEED, SEGMENTS, WIDTH, DISTANCE = 42, 4, 16, 3
@@ -164,11 +171,188 @@ def groups(docs: DataFrame) -> DataFrame:
     return prints.join(of, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def one_of_each(docs: DataFrame) -> DataFrame:
-    """docs with one row of each group of near duplicates: the one whose doc_id names it.
+WORDS, SIMILARITY, NEAR_BITS, NEAR, NEAR_SEGMENTS, BANDS, ROWS = 5, 0.8, 256, 52, 16, 24, 6
+#: Nodes (16 bytes each) that are broadcast at most; more go by a shuffle.
+SENT = 500_000
+_LANES = mix(np.arange(1, NEAR_BITS // 64 + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+_BINS = BANDS * ROWS
+#: Where an empty bin borrows from: the same places, in the same order, for every text.
+_BORROW = np.random.default_rng(3).integers(0, _BINS, (64, _BINS))
+_ODD = np.random.default_rng(4).integers(0, 1 << 62, ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_LEAST = np.uint64(2**64 - 1)
+
+
+def shingles(text: bytes, words: int = WORDS) -> np.ndarray:
+    """Sorted distinct hashes of a text's shingles (fewer words: the whole sequence; none: none)."""
+    have = text.lower().split()
+    if not have:
+        return np.empty(0, np.uint64)
+    n = max(1, len(have) - words + 1)
+    parts = map(b" ".join, zip(*(have[i:] for i in range(words)))) if len(have) >= words else [b" ".join(have)]
+    hashes = np.sort(np.fromiter(map(xxhash.xxh64_intdigest, parts, repeat(SEED)), np.uint64, n))
+    return hashes[np.concatenate([[True], hashes[1:] != hashes[:-1]])]
+
+
+def sketch(hashes: np.ndarray) -> tuple[int, np.ndarray, np.ndarray]:
+    """Of a set of shingles: a hash of the whole set, its fingerprint of 256 bits, its keys."""
+    n = len(hashes)
+    if not n:
+        return 0, np.zeros(NEAR_BITS // 64, np.uint64), np.zeros(BANDS, np.uint64)
+    counts = np.zeros(NEAR_BITS, np.int64)
+    for i in range(0, n, 1 << 14):
+        lanes = mix(hashes[i : i + (1 << 14), None] ^ _LANES)
+        counts += np.unpackbits(lanes.view(np.uint8).reshape(len(lanes), -1), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    bins = np.full(_BINS, _LEAST)
+    np.minimum.at(bins, ((hashes >> np.uint64(32)) * np.uint64(_BINS) >> np.uint64(32)).astype(np.int64), mix(hashes))
+    empty = np.flatnonzero(bins == _LEAST)
+    own = bins.copy()
+    for turn in _BORROW:
+        if not len(empty):
+            break
+        bins[empty] = own[turn[empty]]
+        empty = empty[bins[empty] == _LEAST]
+    if len(empty):
+        bins[empty] = own.min()
+    keys = mix((bins.reshape(BANDS, ROWS) * _ODD).sum(axis=1, dtype=np.uint64) + mix(np.arange(BANDS, dtype=np.uint64)))
+    return xxhash.xxh64_intdigest(hashes.tobytes(), SEED), np.packbits(counts * 2 > n, bitorder="little").view(np.uint64), keys
+
+
+def near(fp: np.ndarray, others: np.ndarray, distance: int = NEAR) -> np.ndarray:
+    """Which of the others are within the distance: a chain of segments within its budgets first, then all bits."""
+    width = NEAR_BITS // NEAR_SEGMENTS
+    apart = np.bitwise_count((others ^ fp).view(f"<u{width // 8}")).astype(np.int16)
+    # A start from which one segment, then two, are within their shares of the distance.
+    one = apart <= distance // NEAR_SEGMENTS
+    two = apart + np.roll(apart, -1, axis=1) <= 2 * distance // NEAR_SEGMENTS
+    may = np.flatnonzero((one & two).any(axis=1))
+    return may[apart[may].sum(axis=1) <= distance]
+
+
+def _near_bucket(nodes: np.ndarray, fps: np.ndarray, out: list) -> None:
+    """Links of a bucket, as a forest with the closure of all its links.
+
+    Each node is compared with those only that no link reaches yet, so a bucket of n
+    alike takes about n steps.
+    """
+    left = np.arange(len(nodes))
+    while len(left):
+        todo, left = [int(left[0])], left[1:]
+        while todo and len(left):
+            i = todo.pop()
+            hit = near(fps[i], fps[left])
+            if len(hit):
+                ends = left[hit]
+                out[0] += [int(nodes[i])] * len(ends)
+                out[1] += nodes[ends].tolist()
+                todo += ends.tolist()
+                left = np.delete(left, hit)
+
+
+_LANE_NAMES = [f"f{i}" for i in range(NEAR_BITS // 64)]
+
+
+def _near_met(batches):
+    """Rows (k, node, lanes) sorted by key to links; a bucket may run over several batches."""
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+    rest = None
+
+    def done(k, nodes, fps):
+        starts = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]]))
+        ends = np.concatenate([starts[1:], [len(k)]])
+        out: list = [[], []]
+        for i in np.flatnonzero(ends - starts > 1):
+            _near_bucket(nodes[starts[i] : ends[i]], fps[starts[i] : ends[i]], out)
+        if out[0]:
+            yield common.batch(schema, *out)
+
+    for b in batches:
+        if not b.num_rows:
+            continue
+        t = [b.column(0).to_numpy(), b.column(1).to_numpy(), np.stack([b.column(i).to_numpy().view(np.uint64) for i in range(2, 2 + len(_LANE_NAMES))], axis=1)]
+        rest = t if rest is None else [np.concatenate(x) for x in zip(rest, t)]
+        last = int(np.searchsorted(rest[0], rest[0][-1]))
+        if last:
+            yield from done(*(x[:last] for x in rest))
+            rest = [x[last:] for x in rest]
+    if rest is not None:
+        yield from done(*rest)
+
+
+def _alike(similarity: float):
+    """Pairs with both sets of shingles to those that are similar enough."""
+
+    def work(batches):
+        for b in batches:
+            keep = []
+            for x, y in zip(b.column(2), b.column(3)):
+                x, y = np.frombuffer(x.as_buffer(), "<u4"), np.frombuffer(y.as_buffer(), "<u4")
+                shared = len(np.intersect1d(x, y, assume_unique=True))
+                keep.append(shared >= similarity * (len(x) + len(y) - shared))
+            yield b.select([0, 1]).filter(pa.array(keep, pa.bool_()))
+
+    return work
+
+
+def near_groups(docs: DataFrame, stage: common.Stage, words: int = WORDS, similarity: float = SIMILARITY) -> DataFrame:
+    """(key1, key2, doc_id, root) of every row of docs: hashes of the whole row, and its group.
+
+    Equal sets of shingles are one node. Null text has no words; texts without words are one group.
+    """
+    spark = docs.sparkSession
+    lanes = ", ".join(f"{f} long" for f in _LANE_NAMES)
+    schema = pa.schema([("key1", pa.int64()), ("key2", pa.int64()), ("doc_id", pa.int64()), ("node", pa.int64()), *[(f, pa.int64()) for f in _LANE_NAMES], ("keys", pa.binary()), ("parts", pa.binary())])
+
+    def work(batches):
+        for b in batches:
+            sets = [shingles((t.as_py() or "").encode(), words) for t in b.column(3)]
+            if sets:
+                node, fps, keys = zip(*map(sketch, sets))
+                fps = np.array(fps).view(np.int64)
+                parts = [np.unique((s >> np.uint64(16)).astype("<u4")).tobytes() for s in sets]
+                yield common.batch(schema, b.column(0), b.column(1), b.column(2), np.array(node, np.uint64).view(np.int64), *fps.T.copy(), [k.tobytes() for k in keys], parts)
+
+    def unpacked(batches):
+        out = pa.schema([("k", pa.int64()), ("node", pa.int64()), *[(f, pa.int64()) for f in _LANE_NAMES]])
+        for b in batches:
+            if b.num_rows:
+                keys = np.frombuffer(b"".join(b.column(b.num_columns - 1).to_pylist()), np.int64)
+                yield common.batch(out, keys, *(np.repeat(b.column(i).to_numpy(), BANDS) for i in range(b.num_columns - 1)))
+
+    common.small_batches(spark)
+    prints = stage.save(_keyed_rows(docs).select("key1", "key2", "doc_id", "text").mapInArrow(work, f"key1 long, key2 long, doc_id long, node long, {lanes}, keys binary, parts binary"), "prints")
+    common.small_batches(spark, 4096)
+    nodes = prints.groupBy("node").agg(*[F.first(f).alias(f) for f in _LANE_NAMES], F.first("keys").alias("keys"))
+    keyed = nodes.mapInArrow(unpacked, f"k long, node long, {lanes}")
+    found = keyed.repartition(common.partitions(spark), "k").sortWithinPartitions("k").mapInArrow(_near_met, "a long, b long")
+    pairs = stage.save(found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "pairs")
+    ends = stage.save(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct(), "ends")
+    ends = F.broadcast(ends) if ends.count() <= SENT else ends
+    sets = stage.save(prints.select("node", "parts").join(ends, "node").groupBy("node").agg(F.first("parts").alias("parts")), "sets")
+    both = pairs.join(sets.select(F.col("node").alias("a"), F.col("parts").alias("x")), "a").join(sets.select(F.col("node").alias("b"), F.col("parts").alias("y")), "b")
+    links = both.select("a", "b", "x", "y").mapInArrow(_alike(similarity), "a long, b long")
+    roots = components(links, stage).withColumnRenamed("node", "of")
+    common.small_batches(spark)
+    return prints.join(roots, F.col("node") == F.col("of"), "left").select("key1", "key2", "doc_id", F.coalesce("root", "node").alias("root"))
+
+
+def _keyed_rows(docs: DataFrame) -> DataFrame:
+    """doc_id, text and two hashes of the whole row; columns that cannot be hashed do not count."""
+    own = [F.col(f"`{f.name}`") for f in docs.schema.fields if "map" not in f.dataType.simpleString() and "variant" not in f.dataType.simpleString()]
+    return docs.select(F.xxhash64(*own).alias("key1"), F.xxhash64(F.lit(1), *reversed(own)).alias("key2"), F.col("doc_id").cast("long").alias("doc_id"), "text")
+
+
+def one_of_each(docs: DataFrame, words: int = WORDS) -> DataFrame:
+    """docs with one row of each group of near duplicates (see ``near_groups``): the one with the smallest doc_id.
 
-    Of rows that share this doc_id one stays, and one of the groups without ids.
+    Null ids come last; of rows that share an id the hash of the row decides, so repeated
+    rows leave one, and different groups keep one row each whatever their ids. An empty
+    table gives an empty one; all columns stay.
     """
-    chosen = groups(docs).filter("doc_id <=> component_id").select("component_id").distinct()
-    rows = docs.alias("d").join(chosen.alias("c"), F.expr("d.doc_id <=> c.component_id")).select("d.*")
-    return rows.dropDuplicates(["doc_id"])
+    stage = common.Stage(docs.sparkSession, "simhash")
+    of = near_groups(docs, stage, words)
+    least = of.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "key1", "key2")).alias("least"))
+    chosen = stage.save(least.select("least.key1", "least.key2"), "chosen")
+    names = docs.columns
+    own = [F.col(f"`{f.name}`") for f in docs.schema.fields if "map" not in f.dataType.simpleString() and "variant" not in f.dataType.simpleString()]
+    rows = docs.select(F.struct(*[F.col(f"`{n}`") for n in names]).alias("row"), F.xxhash64(*own).alias("key1"), F.xxhash64(F.lit(1), *reversed(own)).alias("key2"))
+    return rows.join(chosen, ["key1", "key2"]).dropDuplicates(["key1", "key2"]).select("row.*")
