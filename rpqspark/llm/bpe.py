@@ -3,8 +3,9 @@
 A word is held as two short arrays that lie side by side: its parts, and the
 rank of the merge of each part with its right neighbour. The smallest rank is
 found by a scan, the boundary at it is deleted, and the two ranks beside it are
-looked up anew; words are short, so a scan beats a heap. Words that were seen
-before come from a bounded table of finished words.
+looked up anew; words are short, so a scan beats a heap. A word of more than ``LONG`` parts
+goes by a heap of ranks over linked parts, which gives the same merges in the same order.
+Words that were seen before come from a bounded table of finished words.
 
 Nulls count as empty text. Special tokens that stand in a text are matched as
 the tokenizers library does by default. Any text length is encoded whole.
@@ -14,6 +15,7 @@ from __future__ import annotations
 
 import functools
 import hashlib
+import heapq
 import json
 import re
 
@@ -24,6 +26,8 @@ from . import common
 
 #: Rank of a pair that no merge joins.
 NONE = 1 << 60
+#: Parts up to which a word is scanned.
+LONG = 256
 #: Finished words that a worker holds before it forgets them all.
 WORD_TABLE = 150_000
 #: Characters whose classes and lower case agree in every library used here.
@@ -86,6 +90,8 @@ class Bpe:
         vocab, merge = self.vocab, self.merge
         parts = [vocab[c] for c in spelled[:-1]]
         parts.append(vocab[spelled[-1] + self.suffix])
+        if len(parts) > LONG:
+            return self.long_word(parts)
         ranks = [merge.get(p, (NONE, 0))[0] for p in zip(parts, parts[1:])]
         while ranks:
             least = min(ranks)
@@ -100,6 +106,25 @@ class Bpe:
                 ranks[i - 1] = merge.get((parts[i - 1], parts[i]), (NONE, 0))[0]
         return parts
 
+    def long_word(self, parts: list[int]) -> list[int]:
+        """The merges of a long word: the least rank first, the leftmost of equal ones."""
+        merge, n = self.merge, len(parts)
+        parts, ahead, behind = [*parts, -1], [*range(1, n + 1), n], [*range(-1, n)]
+        heap = [(merge[p][0], i, *p) for i, p in enumerate(zip(parts, parts[1:n])) if p in merge]
+        heapq.heapify(heap)
+        while heap:
+            _, i, left, right = heapq.heappop(heap)
+            j = ahead[i]
+            if parts[i] != left or parts[j] != right:
+                continue  # one of the two was merged meanwhile
+            parts[i], parts[j] = merge[left, right][1], -1
+            k = ahead[i] = ahead[j]
+            behind[k] = i
+            for a, b in ((i, k), (behind[i], i)):
+                if a >= 0 and (pair := (parts[a], parts[b])) in merge:
+                    heapq.heappush(heap, (merge[pair][0], a, *pair))
+        return [p for p in parts if p >= 0]
+
     def spans(self, text: str):
         """Stretches of a text between special tokens, and the special tokens."""
         return self.at_special.split(text) if self.at_special is not None and self.at_special.search(text) else (text,)

@@ -1,19 +1,25 @@
 """Exact top-k search by inner product, by norm-bucketed retrieval.
 
-The vectors of a block lie in buckets of similar length, longest first. A
-query's threshold is its k-th best product so far. A bucket whose longest vector
-cannot reach it ends the search. Otherwise the threshold, taken relative to the lengths,
-is a bound on the cosine: where it is high, vectors outside the range that the
-query's largest coordinates allow are pruned; where it is low, only those that
+Vectors are dealt by length, longest first, so a block holds vectors of similar length. The
+longest ones are met first and give each query a threshold, its k-th best product; blocks
+whose longest vector cannot reach the least threshold of a block of queries are left out of the
+join with it. In a block the vectors lie in buckets of similar length, longest first. A
+bucket whose longest vector cannot reach the query's threshold ends the search. Otherwise the
+threshold, taken relative to the lengths, is a bound on the cosine: where it is high, vectors outside
+the range that the query's largest coordinates allow are pruned; where it is low, only those that
 are too short. What is left is verified by its exact product.
+
+Products that no long holds have a null score; they are ranked as doubles. An empty table, or one
+without queries, gives an empty one.
 """
 
 from __future__ import annotations
 
 import numpy as np
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from . import vectors
+from . import common, vectors
 
 BUCKET, FOCUS, COSINE_FOR_COORDINATES = 256, 3, 0.75
 _EXACT = 2**53
@@ -27,15 +33,28 @@ def _best(scores: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.n
     return scores[top], ids[top]
 
 
-def buckets(ids, base, q_ids, queries, k: int = 5, bucket: int = BUCKET):
-    """The k largest integer products in one block, of each query, exactly."""
-    base, queries = np.floor(base * 256), np.floor(queries * 256)
-    if float(max(np.abs(base).max(), np.abs(queries).max(initial=0))) ** 2 * base.shape[1] >= _EXACT:
+class Buckets:
+    """The vectors of one block as whole numbers, longest first."""
+
+    def __init__(self, ids: np.ndarray, base: np.ndarray):
+        base = np.floor(base * 256)
+        self.most = float(np.abs(base).max())
+        self.length = np.sqrt((base**2).sum(axis=1))
+        order = np.lexsort((ids, -self.length))
+        self.ids, self.base, self.length = ids[order], base[order], self.length[order]
+        self.unit = self.base / np.maximum(self.length, 1e-300)[:, None]
+
+
+def buckets(ids, base, q_ids, queries, k: int = 5):
+    """(query id, vec_id, score) of the k largest integer products among some vectors, of each query, exactly."""
+    return largest_of(Buckets(ids, base), q_ids, queries, k)[:3]
+
+
+def largest_of(block: Buckets, q_ids, queries, k: int = 5, bucket: int = BUCKET):
+    """The k largest integer products in one block, of each query, exactly; scores as doubles beside."""
+    ids, base, length, unit, queries = block.ids, block.base, block.length, block.unit, np.floor(queries * 256)
+    if max(block.most, float(np.abs(queries).max(initial=0))) ** 2 * base.shape[1] >= _EXACT:
         return _large(ids, base, q_ids, queries, k)
-    length = np.sqrt((base**2).sum(axis=1))
-    order = np.lexsort((ids, -length))
-    ids, base, length = ids[order], base[order], length[order]
-    unit = base / np.maximum(length, 1e-300)[:, None]
     q_length = np.sqrt((queries**2).sum(axis=1))
     q_unit = queries / np.maximum(q_length, 1e-300)[:, None]
     focus = np.argsort(-np.abs(q_unit), axis=1)[:, :FOCUS]
@@ -71,21 +90,24 @@ def buckets(ids, base, q_ids, queries, k: int = 5, bucket: int = BUCKET):
             keep = row >= threshold[j]
             best[j] = _best(np.concatenate([best[j][0], row[keep]]), np.concatenate([best[j][1], ids[at[keep]]]), k)
             threshold[j] = best[j][0][-1]
-    return np.repeat(q_ids, [len(b[0]) for b in best]), np.concatenate([b[1] for b in best]), np.concatenate([b[0] for b in best]).astype(np.int64)
+    scores = np.concatenate([b[0] for b in best])
+    return np.repeat(q_ids, [len(b[0]) for b in best]), np.concatenate([b[1] for b in best]), scores.astype(np.int64), scores
 
 
 def _large(ids, base, q_ids, queries, k):
-    """Components too large for doubles: whole numbers of any size; scores that no long holds are cut to its range."""
+    """Components too large for doubles: whole numbers of any size."""
     whole = [[int(x) for x in v] for v in base]
-    out: list = [[], [], []]
+    out: list = [[], [], [], []]
     for q, v in zip(q_ids.tolist(), queries):
         v = [int(x) for x in v]
-        scores = sorted((-sum(a * b for a, b in zip(v, w)), i) for i, w in zip(ids.tolist(), whole) if i != q)[:k]
-        for s, i in scores:
-            out[0].append(q)
-            out[1].append(i)
-            out[2].append(max(-(2**63), min(2**63 - 1, -s)))
-    return tuple(np.array(x, np.int64) for x in out)
+        for s, i in sorted((-sum(a * b for a, b in zip(v, w)), i) for i, w in zip(ids.tolist(), whole) if i != q)[:k]:
+            for column, x in zip(out, (q, i, -s if -(2**63) < s <= 2**63 else None, float(-s))):
+                column.append(x)
+    return out
+
+
+#: One in so many vectors, the longest, is met first.
+FIRST_ONE_IN = 16
 
 
 def largest(table: DataFrame, vector: str = "embedding", every: int = 50, k: int = 5) -> DataFrame:
@@ -93,8 +115,23 @@ def largest(table: DataFrame, vector: str = "embedding", every: int = 50, k: int
 
     Components are floor(256 * x), x as double. Vectors that take no part: see ``vectors``.
     """
-
-    def find(ids, base, q_ids, queries):
-        return buckets(ids, base, q_ids, queries, k)
-
-    return vectors.search(table, vector, every, k, False, False, find)
+    spark = table.sparkSession
+    stage, turns = common.Stage(spark, "products"), common.partitions(spark)
+    common.small_batches(spark, 4096)
+    # At least the length in whole numbers, as floor moves a component by less than one.
+    length = F.sqrt(F.aggregate("v", F.lit(0.0), lambda s, x: s + F.pow(F.abs(x) * 256 + 1, F.lit(2.0))))
+    rows = vectors.usable(table, vector, False)
+    asked = vectors.packed_queries(rows, every, stage)
+    find = lambda block, q_ids, queries: largest_of(block, q_ids, queries, k)
+    cut = rows.agg(F.percentile_approx(length, 1 - 1 / FIRST_ONE_IN, 1000)).first()[0]
+    if cut is None:
+        return vectors.ranked(vectors.met(rows, asked, False, Buckets, find), k, False)
+    best = stage.save(vectors.met(rows.filter(length >= cut), asked, False, Buckets, find), "first")
+    bounds = vectors.ranked(best, k, False, "approx").filter(F.col("rank") == k).select("query_id", "approx")
+    # A vector reaches a threshold only if it is as long as the threshold is, relative to the query's length.
+    need = F.col("approx") / length
+    own = rows.filter(F.pmod("vec_id", F.lit(every)) == 0).join(bounds, F.col("vec_id") == F.col("query_id"), "left")
+    own = own.select("vec_id", "v", F.when(need.isNull() | F.isnan(need) | (need < 0), F.lit(0.0)).otherwise(need).alias("need"))
+    asked = stage.save(vectors.blocks(own.repartitionByRange(max(1, min(turns, 8)), "need").sortWithinPartitions("need"), vectors.BLOCK_QUERIES, min), "needs")
+    rest = rows.filter(length < cut).withColumn("length", length).repartitionByRange(turns, F.desc("length")).sortWithinPartitions(F.desc("length"))
+    return vectors.ranked(best.unionByName(vectors.met(rest, asked, False, Buckets, find, reach=True)), k, False)

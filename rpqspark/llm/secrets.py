@@ -2,8 +2,9 @@
 
 Base spans come from three patterns (assign, access, hex). Further spans come from
 candidate strings: runs of 20 or more characters of a key alphabet. A window of 20
-characters slides over a candidate; entering and leaving characters change the sum
-of c * log2(c) over the counts c, so each step looks at two counts only, and the window's
+characters slides over a candidate with the counts c of its characters, of which a step changes two:
+that of the character that enters and that of the one that leaves. So does the sum
+of c * log2(c), and the window's
 Shannon entropy is log2(20) - sum / 20. A candidate counts if the highest entropy
 reaches the bound of its character class, if it mixes digits and letters, if no
 base span holds it and if nothing on the allow list fits it.
@@ -11,6 +12,7 @@ base span holds it and if nothing on the allow list fits it.
 Positions are code points, ends exclusive. Null text is empty. A text of any length
 is scanned whole: one pass picks the texts in which anything can match, and match
 positions are summed up block by block, so that many matches stay affordable.
+Repeated rows are scanned alike; an empty table gives an empty one.
 """
 
 from __future__ import annotations
@@ -64,15 +66,22 @@ def _weight(count: str) -> str:
 
 
 def _entropy(value: str) -> str:
-    """SQL for the highest entropy of a window of a string, by incremental counts."""
-    count = lambda ch, win: f"size(filter({win}, z -> z = {ch}))"
-    step = f"""transform(array(struct(
-            ch[i - 1] AS entering, slice(ch, greatest(1, i - {WINDOW}), least(i - 1, {WINDOW})) AS win)), w ->
-        transform(array(struct(w.entering AS entering, {count("w.entering", "w.win")} AS c_in, get(w.win, 0) AS leaving, {count("get(w.win, 0)", "w.win")} AS c_out)), d ->
-        transform(array(acc.sum + {_weight("(d.c_in + 1)")} - {_weight("d.c_in")} - CASE WHEN i <= {WINDOW} THEN 0D ELSE
-            {_weight("(d.c_out + CASE WHEN d.entering = d.leaving THEN 1 ELSE 0 END)")} - {_weight("(d.c_out - 1 + CASE WHEN d.entering = d.leaving THEN 1 ELSE 0 END)")} END), t ->
-        struct(t AS sum, CASE WHEN i < {WINDOW} THEN 0D ELSE greatest(acc.best, log2({WINDOW}D) - t / {WINDOW}D) END AS best))[0])[0])[0]"""
-    return f"transform(array(split({value}, '')), ch -> aggregate(sequence(1, size(ch)), struct(0D AS sum, 0D AS best), (acc, i) -> {step}, acc -> acc.best))[0]"
+    """SQL for the highest entropy of a window of a string.
+
+    ``counts`` holds how often each distinct character of the string stands in the window; a step
+    adds one for the character that enters and takes one for that which leaves.
+    """
+    c_in, c_out = "acc.counts[p.entering - 1]", "acc.counts[p.leaving - 1]"
+    added = f"{_weight(f'({c_in} + 1)')} - {_weight(c_in)}"
+    taken = f"CASE WHEN p.leaving = 0 THEN 0D ELSE {_weight(c_out)} - {_weight(f'({c_out} - 1)')} END"
+    places = f"struct(array_position(ids, ch[i - 1]) AS entering, CASE WHEN i > {WINDOW} THEN array_position(ids, ch[i - 1 - {WINDOW}]) ELSE 0L END AS leaving)"
+    counts = "transform(acc.counts, (c, k) -> c + CASE WHEN k + 1 = p.entering THEN 1 WHEN k + 1 = p.leaving THEN -1 ELSE 0 END)"
+    total = f"CASE WHEN p.entering = p.leaving THEN acc.sum ELSE acc.sum + {added} - {taken} END"
+    step = f"""transform(array({places}), p -> transform(array({total}), t -> struct(t AS sum,
+        CASE WHEN i < {WINDOW} THEN 0D ELSE greatest(acc.best, log2({WINDOW}D) - t / {WINDOW}D) END AS best,
+        CASE WHEN p.entering = p.leaving THEN acc.counts ELSE {counts} END AS counts))[0])[0]"""
+    start = "struct(0D AS sum, 0D AS best, array_repeat(0, size(ids)) AS counts)"
+    return f"transform(array(split({value}, '')), ch -> transform(array(array_distinct(ch)), ids -> aggregate(sequence(1, size(ch)), {start}, (acc, i) -> {step}, acc -> acc.best))[0])[0]"
 
 
 def scanned(docs: DataFrame) -> DataFrame:

@@ -17,14 +17,15 @@ from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import common
 
 BLOCK_VECTORS, BLOCK_QUERIES = 2048, 256
-_BLOCK = pa.schema([("dim", pa.int32()), ("first", pa.int64()), ("ids", pa.binary()), ("vectors", pa.binary())])
-BLOCK = "dim int, first long, ids binary, vectors binary"
+_BLOCK = pa.schema([("dim", pa.int32()), ("first", pa.int64()), ("ids", pa.binary()), ("vectors", pa.binary()), ("extreme", pa.float64())])
+BLOCK = "dim int, first long, ids binary, vectors binary, extreme double"
 
 
 def usable(table: DataFrame, vector: str, nonzero: bool) -> DataFrame:
@@ -36,25 +37,30 @@ def usable(table: DataFrame, vector: str, nonzero: bool) -> DataFrame:
     return rows.filter(F.exists(v, lambda x: x != 0)) if nonzero else rows
 
 
-def blocks(rows: DataFrame, most: int) -> DataFrame:
-    """Packed blocks of up to ``most`` vectors of one length."""
+def blocks(rows: DataFrame, most: int, extreme: Callable = max) -> DataFrame:
+    """Packed blocks of up to ``most`` vectors of one length, in the order of the rows.
+
+    A third column of the rows, if there is one, gives each block its ``extreme``.
+    """
 
     def work(batches):
         have: dict[int, list] = {}
 
         def packed(dim, part):
-            ids, vectors = (np.concatenate(x) for x in zip(*part))
+            ids, vectors, own = (np.concatenate(x) for x in zip(*part))
             for i in range(0, len(ids), most):
-                yield common.batch(_BLOCK, [dim], [int(ids[i])], [ids[i : i + most].tobytes()], [vectors[i : i + most].tobytes()])
+                at = slice(i, i + most)
+                yield common.batch(_BLOCK, [dim], [int(ids[i])], [ids[at].tobytes()], [vectors[at].tobytes()], [float(extreme(own[at]))])
 
         for b in batches:
             ids, lists = b.column(0).to_numpy(), b.column(1)
+            own = b.column(2).to_numpy(zero_copy_only=False) if b.num_columns > 2 else np.zeros(len(ids))
             sizes = lists.value_lengths().to_numpy()
             flat, ends = lists.flatten().to_numpy(), np.cumsum(sizes)
             for dim in np.unique(sizes).tolist():
                 at = np.flatnonzero(sizes == dim)
                 vectors = flat[((ends[at] - dim)[:, None] + np.arange(dim)).ravel()].reshape(-1, dim)
-                have.setdefault(dim, []).append((ids[at], vectors))
+                have.setdefault(dim, []).append((ids[at], vectors, own[at]))
                 if sum(len(x[0]) for x in have[dim]) >= most:
                     yield from packed(dim, have.pop(dim))
         for dim, part in have.items():
@@ -63,30 +69,48 @@ def blocks(rows: DataFrame, most: int) -> DataFrame:
     return rows.mapInArrow(work, BLOCK)
 
 
-def search(table: DataFrame, vector: str, every: int, k: int, nearest: bool, nonzero: bool, find: Callable) -> DataFrame:
-    """(query_id, rank, vec_id, score) of the k best of each row whose id ``every`` divides.
+def packed_queries(rows: DataFrame, every: int, stage: common.Stage) -> DataFrame:
+    """The stored blocks of rows whose id ``every`` divides."""
+    return stage.save(blocks(rows.filter(F.pmod("vec_id", F.lit(every)) == 0), BLOCK_QUERIES), "queries")
+
 
-    ``find(ids, vectors, query ids, query vectors)`` gives arrays (query id, vec_id, score).
+def met(rows: DataFrame, asked: DataFrame, nearest: bool, prepare: Callable, find: Callable, reach: bool = False) -> DataFrame:
+    """(query_id, vec_id, score, approx) of what blocks of rows give to blocks of queries.
+
+    ``prepare(ids, vectors)`` is called once for a block and all query blocks that it
+    meets in a task; ``find(prepared, query ids, query vectors)`` gives arrays (query id, vec_id,
+    score, approx); the score is exact or null, approx orders scores that are null.
+    ``reach``: only pairs meet whose block has an extreme as large as that of the query block.
     """
-    spark = table.sparkSession
-    stage, turns = common.Stage(spark, "vectors"), common.partitions(spark)
-    rows = usable(table, vector, nonzero)
-    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "4096")
-    asked = stage.save(blocks(rows.filter(F.pmod("vec_id", F.lit(every)) == 0), BLOCK_QUERIES), "queries")
+    spark = rows.sparkSession
+    turns = common.partitions(spark)
+    common.small_batches(spark, 4096)
     turn = F.pmod(F.xxhash64("first", "dim"), F.lit(turns))
-    asked = asked.select(F.explode(F.sequence(F.lit(0).cast("long"), F.lit(turns - 1).cast("long"))).alias("turn"), "dim", F.col("ids").alias("q_ids"), F.col("vectors").alias("q_vectors"))
-    met = blocks(rows, BLOCK_VECTORS).withColumn("turn", turn).join(asked, ["turn", "dim"]).select("dim", "ids", "vectors", "q_ids", "q_vectors")
+    each = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(turns - 1).cast("long"))).alias("turn")
+    asked = asked.select(each, "dim", F.col("ids").alias("q_ids"), F.col("vectors").alias("q_vectors"), F.col("extreme").alias("q_extreme"))
+    own = blocks(rows, BLOCK_VECTORS).withColumn("turn", turn).join(asked, ["turn", "dim"])
+    if reach:
+        # The margin only lets more pairs meet: lengths are rounded.
+        own = own.filter(F.col("extreme") * (1 + 1e-9) + 1e-6 >= F.col("q_extreme"))
     kind = "double" if nearest else "long"
-    schema = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64() if nearest else pa.int64())])
+    schema = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64() if nearest else pa.int64()), ("approx", pa.float64())])
 
     def work(batches):
+        last, prepared = None, None
         for b in batches:
             for dim, *packed in zip(*b.columns):
                 dim, (ids, vectors, q_ids, q_vectors) = dim.as_py(), (x.as_buffer() for x in packed)
                 unpack = lambda i, v: (np.frombuffer(i, np.int64), np.frombuffer(v).reshape(-1, dim))
-                yield common.batch(schema, *find(*unpack(ids, vectors), *unpack(q_ids, q_vectors)))
+                # The pairs of a block follow each other, as it is the streamed side of the join.
+                if last != (own_key := (dim, ids.size, xxhash.xxh64_intdigest(ids))):
+                    last, prepared = own_key, prepare(*unpack(ids, vectors))
+                yield common.batch(schema, *find(prepared, *unpack(q_ids, q_vectors)))
+
+    return own.select("dim", "ids", "vectors", "q_ids", "q_vectors").mapInArrow(work, f"query_id long, vec_id long, score {kind}, approx double")
+
 
-    found = met.mapInArrow(work, f"query_id long, vec_id long, score {kind}")
-    order = [F.col("score").asc() if nearest else F.col("score").desc(), F.col("vec_id")]
-    ranked = found.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(*order)))
-    return ranked.filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+def ranked(found: DataFrame, k: int, nearest: bool, *more: str) -> DataFrame:
+    """(query_id, rank, vec_id, score, more columns) of the k best of each query."""
+    order = [F.col("score").asc()] if nearest else [F.col("approx").desc(), F.col("score").desc()]
+    rows = found.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(*order, F.col("vec_id"))))
+    return rows.filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score", *more)

@@ -46,3 +46,57 @@ def test_given_pages_keep_their_articles(spark, sf_dir):
         import html
 
         assert got[r.page_id] == " ".join(html.unescape(part).split()), r.page_id
+
+
+def made(spark, rows):
+    return spark.createDataFrame(rows, "page_id long, url string, html string")
+
+
+def test_the_tree_decides_inside_articles_too(spark):
+    """Repeated parts of a host go, whatever their place; without the tree they stay."""
+    page = lambda i: f"<body><article><h1 class='post-header'>Title {i}</h1><div class='box'>Read our house rules</div><p>Text {i} here</p><p>And more</p></article></body>"
+    table = made(spark, [(i, f"http://h.example/{i}", page(i)) for i in range(20)])
+    for importance, rules in ((pages.IMPORTANCE, ""), (0, "Read our house rules ")):
+        got = {r.page_id: r.text for r in pages.extract(table, importance).collect()}
+        assert all(got[i] == f"Title {i} {rules}Text {i} here And more" for i in range(20))
+
+
+def test_copies_do_not_make_an_article_furniture(spark):
+    same = "<body><div class='story'><p>The one story</p></div></body>"
+    own = lambda i: f"<body><div class='story'><p>A story of its own, {i}</p></div></body>"
+    rows = [(i, f"http://h.example/{i}", same) for i in range(90)] + [(i, f"http://h.example/{i}", own(i)) for i in range(90, 100)] + [(i, f"http://k.example/{i}", same) for i in range(100, 130)]
+    got = {r.page_id: r.text for r in pages.extract(made(spark, rows)).collect()}
+    assert all(got[i] == ("The one story" if i < 90 or i >= 100 else f"A story of its own, {i}") for i in range(130))
+
+
+def test_tree_equals_a_plain_count(spark):
+    import math
+    from collections import Counter, defaultdict
+
+    rows = [(i, f"http://h{i % 2}.example/{i}", f"<body><div class='a'>same{i % 3}</div><p><b>x{i % 5}</b></p><p>y{i}</p></body>") for i in range(14)]
+    got = {(r.host, r.node): r for r in pages.style_tree(made(spark, rows)).collect()}
+    for at in ("h0.example", "h1.example"):
+        own, shown = {r[2] for r in rows if f"//{at}" in r[1]}, defaultdict(Counter)
+        for page in own:
+            for kind in (0, 1):
+                for node, x in {(b[0], b[3] if kind == 0 else b[1]) for b in pages.blocks(page)}:
+                    shown[node, kind][x] += 1
+        m = len(own)
+        for node in {n for n, _ in shown}:
+            measure = [1 - (m - 1) / m * sum(c * math.log(c) for c in shown[node, k].values()) / sum(shown[node, k].values()) / math.log(m) for k in (0, 1)]
+            w = 1 - 0.9 ** len(shown[node, 1])
+            r = got[at, node]
+            assert r.pages == m and abs(r.content - measure[0]) < 1e-9 and abs(r.presentation - measure[1]) < 1e-9
+            assert abs(r.importance - max(measure[0], w * measure[1] + (1 - w) * measure[0])) < 1e-9
+
+
+def test_salted_join_and_deep_pages(spark, monkeypatch):
+    import time
+
+    page = lambda i: f"<body><div class='top'>Hello</div><p>{i}</p></body>"
+    table = made(spark, [(i, "http://h.example/", page(i)) for i in range(20)])
+    monkeypatch.setattr(pages, "SENT", 0)
+    assert {r.page_id: r.text for r in pages.extract(table).collect()} == {i: str(i) for i in range(20)}
+    deep = "".join(f"<div>t{i}" for i in range(20_000))
+    began = time.time()
+    assert pages.main_text(deep).startswith("t0 t1 ") and time.time() - began < 5

@@ -79,3 +79,20 @@ def test_random_characters_of_the_plain_range():
         for _ in range(1500):
             t = "".join(rnd.choice(pool) for _ in range(rnd.randrange(1, 30)))
             assert own.encode(t) == lib.encode(t, add_special_tokens=False).ids, ascii(t)
+
+
+def test_long_words_merge_alike_and_in_time():
+    import random
+    import time
+
+    rnd = random.Random(5)
+    for file in ("word_bpe_49k.json", "byte_bpe_50k.json"):
+        path = public_tokenizers.path(file)
+        own, lib = bpe.Bpe(path), Tokenizer.from_file(path)
+        for letters in ("ab", "theandrsio", "a"):
+            t = "".join(rnd.choice(letters) for _ in range(3000))
+            assert own.encode(t) == lib.encode(t, add_special_tokens=False).ids
+        t = "".join(rnd.choice("etaoinshrdlu") for _ in range(40_000))
+        began = time.process_time()
+        ids = own.encode(t)
+        assert time.process_time() - began < 2 and ids == lib.encode(t, add_special_tokens=False).ids

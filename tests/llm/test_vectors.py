@@ -82,3 +82,41 @@ def test_few_huge_and_empty(spark):
     one = table(spark, [[1e30, 2.0], [3.0, 1e30], [1.0, 1.0], [5.0]], ids=[0, 1, 2, None])
     assert [(r.query_id, r["rank"], r.vec_id) for r in sorted(products.largest(one).collect())] == [(0, 1, 1), (0, 2, 2)]
     assert len(neighbours.nearest(one).collect()) == 2
+
+
+def test_short_vectors_are_never_met(spark, monkeypatch):
+    """Vectors of very different lengths: exact, and no short block reaches a query."""
+    rng = np.random.default_rng(8)
+    x = rng.standard_normal((900, 8)).astype(np.float32)
+    x[40:] *= 0.001
+    seen = []
+    inner = products.vectors.met
+
+    def spy(rows, asked, nearest, prepare, find, reach=False):
+        if reach:
+            packed = products.vectors.blocks(rows, products.vectors.BLOCK_VECTORS).agg({"extreme": "max"}).first()[0]
+            seen.append((packed, [r.extreme for r in asked.collect()]))
+        return inner(rows, asked, nearest, prepare, find, reach)
+
+    monkeypatch.setattr(products.vectors, "met", spy)
+    got = sorted(tuple(r) for r in products.largest(table(spark, x.tolist()), every=10).collect())
+    whole, want = np.floor(x.astype(float) * 256).astype(int), []
+    for q in range(0, 900, 10):
+        s = sorted((-int(whole[q] @ whole[i]), i) for i in range(900) if i != q)[:5]
+        want += [(q, n + 1, i, -p) for n, (p, i) in enumerate(s)]
+    assert got == sorted(want) and len(seen) == 1 and seen[0][0] > 0
+
+
+def test_recall_on_the_given_vectors(spark, sf_dir):
+    given = spark.read.parquet(f"{sf_dir.replace('0.001', '0.01')}/embeddings.parquet")
+    rows = [(r.vec_id, np.array(r.embedding, float)) for r in given.collect() if r.embedding]
+    ids, x = np.array([i for i, _ in rows]), np.stack([v for _, v in rows])
+    got = {}
+    for r in neighbours.nearest(given).collect():
+        got.setdefault(r.query_id, set()).add(r.vec_id)
+    hits = total = 0
+    for q, found in got.items():
+        d = np.sqrt(((x - x[ids == q][0]) ** 2).sum(axis=1))
+        near = [i for i in ids[np.lexsort((ids, d))].tolist() if i != q][:10]
+        hits, total = hits + len(found & set(near)), total + 10
+    assert hits >= 0.9 * total
