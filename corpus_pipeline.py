@@ -14,27 +14,47 @@ from rpqspark.llm import common, packing, quality, secrets, simhash, suffixes
 
 
 def good_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the quality classifier keeps."""
+    """Documents that the quality classifier keeps, with all their columns.
+
+    Null text is scored like empty text; unknown or null languages, sources and sizes count as
+    seen in no fit; repeated rows are scored alike; an empty table, or one
+    without labels, loses nothing.
+    """
     return quality.kept(docs, common.read(spark, sf_dir, "labels"))
 
 
 def distinct_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates."""
+    """One document of each group of near duplicates: five-word shingles, similarity 0.8.
+
+    The smallest doc_id stays, null ids come last; repeated rows leave one; texts without
+    words (null, empty, blank) are one group; rows that share an id but are not alike all stay.
+    """
     return simhash.one_of_each(docs)
 
 
 def without_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without the passages that occur elsewhere."""
+    """Documents without the passages (250 bytes or more, about fifty words) that occur elsewhere.
+
+    Null text stays null, empty text empty; every row stays, also one that loses all its text;
+    rows that are still repeated are places of their own.
+    """
     return suffixes.without_repeats(docs)
 
 
 def without_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents with secrets masked."""
+    """Documents with secrets masked.
+
+    Null text stays null; repeated rows are masked alike; every row stays.
+    """
     return secrets.redact(docs)
 
 
 def sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token pieces of all documents and their places in sequences."""
+    """Token pieces of all documents and their places in sequences.
+
+    Null text is empty; every row has a piece at least; repeated rows are packed as rows of
+    their own; an empty table gives no sequences.
+    """
     return packing.best_fit(docs, public_tokenizers.path("byte_bpe_50k.json"))
 
 
