@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import uuid
+import warnings
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -16,7 +17,11 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 
 def small_batches(spark: SparkSession, rows: int = BATCH_ROWS) -> None:
-    """Bound the memory of a Python worker: a batch holds ``rows`` texts at most."""
+    """Bound the memory of a Python worker: a batch holds ``rows`` texts at most.
+
+    The session's setting is changed and stays so, as results are lazy and a batch is made
+    when they are read; callers with needs of their own set it before they read.
+    """
     if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) != rows:
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))
 
@@ -41,7 +46,10 @@ class Stage:
         self.spark, root = spark, spark.conf.get("spark.checkpoint.dir", None)
         if not root:
             given = spark.sparkContext._jsc.sc().getCheckpointDir()
-            root = given.get() if given.isDefined() else "/tmp/checkpoints"
+            root = given.get() if given.isDefined() else None
+        if not root:
+            root = f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/_stages"
+            warnings.warn(f"spark.checkpoint.dir is unset; intermediate tables go to {root}", stacklevel=2)
         self.root = f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
     def save(self, df: DataFrame, table: str) -> DataFrame:

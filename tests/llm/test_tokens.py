@@ -4,6 +4,7 @@ import zlib
 import numpy as np
 import public_tokenizers
 import pytest
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from rpqspark.llm import bpe, packing
@@ -96,3 +97,12 @@ def test_long_words_merge_alike_and_in_time():
         began = time.process_time()
         ids = own.encode(t)
         assert time.process_time() - began < 2 and ids == lib.encode(t, add_special_tokens=False).ids
+
+
+def test_packing_odd_rows(spark, docs_of):
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    assert packing.best_fit(docs_of([]), path).collect() == []
+    docs = docs_of(["a b", None, "a b", ""], [None, 1, None, 1]).withColumns({"piece": F.lit(9), "length": F.lit("x"), "_group": F.lit(0)})
+    got = packing.best_fit(docs, path).collect()
+    assert sorted(str((r.doc_id, r.piece, r.length)) for r in got) == sorted(str(x) for x in [(None, 0, 3), (1, 0, 1), (None, 0, 3), (1, 0, 1)])
+    assert len({r.sequence_id for r in got}) == 1
