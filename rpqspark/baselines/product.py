@@ -10,6 +10,7 @@ from ..exec.store import Store
 from ..graph.model import Graph
 from ..lang.ast import Expr
 from ..lang.parser import parse
+from ..lang.rewrite import reverse
 
 
 def transitions(g: Graph, e: Expr, automaton: str = "position") -> tuple[list[tuple], int, set[int]]:
@@ -54,6 +55,11 @@ def reached(g: Graph, e: Expr | str, sources: DataFrame | None = None, automaton
 
 def evaluate(g: Graph, e: Expr | str, s: str | None = None, o: str | None = None, automaton: str = "position", materialised: bool = False) -> DataFrame:
     """(s, o) pairs; ``materialised`` writes the product graph before the search."""
+    e = parse(e) if isinstance(e, str) else e
+    if s is None and o is not None:
+        # From the constant end, over the mirrored expression.
+        out = evaluate(g, reverse(e), o, None, automaton, materialised)
+        return out.select(F.col("o").alias("s"), F.col("s").alias("o"))
     sources = g.spark.createDataFrame([(s,)], "node string") if s is not None else None
     seen, finals, _ = reached(g, e, sources, automaton, materialised)
     out = seen.filter(F.col("state").isin(*finals)).select(F.col("origin").alias("s"), F.col("node").alias("o")).distinct()

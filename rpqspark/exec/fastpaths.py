@@ -39,9 +39,14 @@ def alternation(g: Graph, classes: list[Class]) -> DataFrame:
     return out.distinct()
 
 
-def concat2(g: Graph, a: Class, b: Class) -> DataFrame:
-    """Both sides are cut to the common middle nodes first, then expanded."""
+def concat2(g: Graph, a: Class, b: Class, s: str | None = None, o: str | None = None) -> DataFrame:
+    """Both sides are cut to the common middle nodes first, then expanded; a constant end cuts its
+    side, and with it the middle, before anything is joined."""
     left, right = edges_of(g, a).withColumnRenamed("o", "m"), edges_of(g, b).withColumnRenamed("s", "m")
+    if s is not None or o is not None:
+        left = left if s is None else left.filter(F.col("s") == s)
+        right = right if o is None else right.filter(F.col("o") == o)
+        return left.join(right, "m").select("s", "o").distinct()
     middle = left.select("m").distinct().join(right.select("m").distinct(), "m", "left_semi")
     return left.join(middle, "m", "left_semi").join(right.join(middle, "m", "left_semi"), "m").select("s", "o").distinct()
 
@@ -77,8 +82,9 @@ def plan(e: Expr) -> str:
     return "words" if star_free_words(e) is not None else ""
 
 
-def evaluate(g: Graph, e: Expr) -> DataFrame | None:
-    """(s, o) of all answers, or None if the expression has a closure."""
+def evaluate(g: Graph, e: Expr, s: str | None = None, o: str | None = None) -> DataFrame | None:
+    """(s, o) of all answers, or None if the expression has a closure. Constants only save work
+    here; the caller filters by them."""
     e = simplify(push_inverse(e))
     match plan(e):
         case "single":
@@ -86,7 +92,7 @@ def evaluate(g: Graph, e: Expr) -> DataFrame | None:
         case "alternation":
             return alternation(g, list(e.parts))
         case "concat2":
-            return concat2(g, *e.parts)
+            return concat2(g, *e.parts, s, o)
         case "words":
             return fixed_length(g, star_free_words(e))
     return None

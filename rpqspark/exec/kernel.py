@@ -8,6 +8,7 @@ that is zeroed cell by cell after use, never as a whole.
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass
 
 import numpy as np
@@ -38,10 +39,18 @@ class Local:
 
 
 def fetch(g: Graph, labels: list[str], most: int) -> pa.Table | None:
-    """Edges of the labels as an Arrow table, or None if there are more than ``most``."""
+    """Edges of the labels as an Arrow table, or None if there are more than ``most``.
+
+    A stored graph knows the counts of its labels, so nothing is read beyond the bound, and what is
+    read comes from all tasks; of another graph one row more than the bound is asked for.
+    """
     from pyspark.sql import functions as F
 
-    rows = g.edges.filter(F.col("p").isin(labels)).limit(most + 1).toArrow()
+    rows = g.edges.filter(F.col("p").isin(labels))
+    if g.is_stored:
+        known = g.counts()
+        return rows.toArrow() if sum(known.get(x, 0) for x in labels) <= most else None
+    rows = rows.limit(most + 1).toArrow()
     return None if rows.num_rows > most else rows
 
 
@@ -77,6 +86,8 @@ class Search:
         self.g, self.chunks, self.bits, self.backward = graph, chunks, chunk_bits, backward
         self.visited = np.empty(0, np.int64)
         self.levels = self.entered = self.states = self.tested = 0
+        #: Time at which a search gives up.
+        self.deadline: float | None = None
 
     def look(self, x: np.ndarray) -> np.ndarray:
         out = np.zeros(len(x), np.int64)
@@ -102,6 +113,8 @@ class Search:
             if order == "dfs" and len(key) > 1:
                 stack += [(key[i : i + 1], mask[i : i + 1]) for i in range(len(key) - 1, -1, -1)]
                 continue
+            if self.deadline is not None and time.monotonic() > self.deadline:
+                raise TimeoutError("the time limit is over")
             touched.append(key)
             self.levels += 1
             self.entered += len(key)
@@ -138,18 +151,17 @@ class Search:
                 self.visited[cell] |= new
                 stack.append((cell, new))
         found = np.unique(np.concatenate(hits)) if hits else np.empty(0, np.int64)
-        masks = self.visited
         if touched:
             self.visited[np.concatenate(touched)] = 0
-        del masks
         return found // v, found % v
 
 
-def evaluate_local(spark: SparkSession, rows: pa.Table, tables: Tables, origins: DataFrame | None, backward: bool, arrive=None, useful: np.ndarray | None = None, chunk: int | None = None) -> DataFrame:
+def evaluate_local(spark: SparkSession, rows: pa.Table, tables: Tables, origins: DataFrame | None, backward: bool, arrive=None, useful: np.ndarray | None = None, chunk: int | None = None, limit: int | None = None, timeout_s: float | None = None) -> DataFrame:
     """(origin, node) reached from each origin; the expression's empty path is not included.
 
     ``origins``: (node); None: every node that may start. Backward searches start in the
-    final states and report the initial one; forward the other way.
+    final states and report the initial one; forward the other way. ``limit``: a task ends
+    after so many answers; ``timeout_s``: a task that searches longer fails.
     """
     graph = local(rows, tables, backward, arrive)
     last = tables.nfa.mask(tables.nfa.last)
@@ -175,13 +187,17 @@ def evaluate_local(spark: SparkSession, rows: pa.Table, tables: Tables, origins:
 
     def work(batches):
         graph, chunks, bits, ids = sent.value
-        search = Search(graph, chunks, bits, backward)
+        search, left = Search(graph, chunks, bits, backward), limit
+        search.deadline = None if timeout_s is None else time.monotonic() + timeout_s
         for b in batches:
             known = [(n, ids[n]) for n in b.column(0).to_pylist() if n in ids]
             for i in range(0, len(known), size):
                 part = known[i : i + size]
+                if left is not None and left <= 0:
+                    return
                 at = np.array([k for _, k in part], np.int64)
                 o, n = search.run(np.arange(len(part)), at, np.full(len(part), start, np.int64), report)
+                left = None if left is None else left - len(o)
                 names = np.array([x for x, _ in part], object)
                 for j in range(0, len(o), 100_000):
                     yield pa.RecordBatch.from_arrays([pa.array(names[o[j : j + 100_000]], pa.string()), pa.array(graph.names[n[j : j + 100_000]], pa.string())], schema=schema)

@@ -93,7 +93,7 @@ def evaluate(g: Graph, path: str | Expr, s: str | None = None, o: str | None = N
         out = _from_set(g, p, tables, s_set, o_set, options, stats, node_filter)
     elif p.fast_path and not node_filter:
         stats.fast_path = p.fast_path
-        out = _shape(fastpaths.evaluate(g, p.expr), p, g)
+        out = _shape(fastpaths.evaluate(g, p.expr, p.s, p.o), p, g)
     else:
         out = _traversed(g, p, tables, options, stats, node_filter)
     if tables.nfa.nullable and options.zero_length_unknown == "self":
@@ -153,7 +153,7 @@ def _traversed(g: Graph, p: RpqPlan, tables, options: RpqOptions, stats: RunStat
     one = lambda name: spark.createDataFrame([(name,)], "node string")
     if p.s is None and p.o is None:
         if rows is not None:
-            found = kernel.evaluate_local(spark, rows, tables, None, p.start == "objects", _arrive(tables))
+            found = kernel.evaluate_local(spark, rows, tables, None, p.start == "objects", _arrive(tables), limit=None if p.same else options.limit, timeout_s=options.timeout_s)
             s, o = ("node", "origin") if p.start == "objects" else ("origin", "node")
             out = found.select(F.col(s).alias("s"), F.col(o).alias("o"))
             if nullable:
@@ -166,14 +166,14 @@ def _traversed(g: Graph, p: RpqPlan, tables, options: RpqOptions, stats: RunStat
         return out.filter("s = o").select("s") if p.same else out
     if p.s is not None and p.o is not None:
         if rows is not None:
-            found = kernel.evaluate_local(spark, rows, tables, one(p.o if back else p.s), back, _arrive(tables)).filter(F.col("node") == (p.s if back else p.o)).select("node")
+            found = kernel.evaluate_local(spark, rows, tables, one(p.o if back else p.s), back, _arrive(tables), timeout_s=options.timeout_s).filter(F.col("node") == (p.s if back else p.o)).select("node")
             if nullable and p.s == p.o:
                 found = found.union(g.nodes().filter(F.col("node") == p.s))
             return found.agg((F.count("*") > 0).alias("found"))
         return _both_constant(g, p, tables, options, stats, back, node_filter)
     const, column = (p.o, "s") if p.o is not None else (p.s, "o")
     if rows is not None:
-        found = kernel.evaluate_local(spark, rows, tables, one(const), p.o is not None, _arrive(tables)).select(F.col("node").alias(column))
+        found = kernel.evaluate_local(spark, rows, tables, one(const), p.o is not None, _arrive(tables), limit=options.limit, timeout_s=options.timeout_s).select(F.col("node").alias(column))
         if nullable:
             found = found.union(g.nodes().filter(F.col("node") == const).select(F.col("node").alias(column))).distinct()
         return found

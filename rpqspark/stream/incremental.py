@@ -29,9 +29,13 @@ class Incremental:
         self._run(self._seed)
 
     def _run(self, seeds: DataFrame) -> None:
-        seen = backward.traverse(Graph(self.edges), self.tables, seeds, [], True, RpqOptions())
+        seen = backward.traverse(self._graph(), self.tables, seeds, [], True, RpqOptions())
         self.visited = self.store.save(state.merged(seen, self.masks, []), f"visited/{self.k}")
 
+    def _graph(self) -> Graph:
+        # Written already, so a traversal reads the edges where they lie and copies none.
+        return Graph(self.edges, is_stored=True)
+
     def add(self, edges: DataFrame) -> None:
         self.k += 1
         new = edges.select("s", "p", "o").distinct().join(self.edges, ["s", "p", "o"], "left_anti")
@@ -44,7 +48,7 @@ class Incremental:
         front = self.store.save(first, f"front/{self.k}")
         masks = self.masks
         if front.limit(1).count():
-            seen = backward.traverse(Graph(self.edges), self.tables, front, [], True, RpqOptions(), premarked=old)
+            seen = backward.traverse(self._graph(), self.tables, front, [], True, RpqOptions(), premarked=old)
             self.visited = self.store.save(state.merged(seen.unionByName(old), masks, []), f"visited/{self.k}")
 
     def answers(self) -> DataFrame:

@@ -67,8 +67,8 @@ def _run(g: Graph, method: str, s: str | None, path: str, o: str | None, options
     if method == "product":
         return product.evaluate(g, path, s, o).count()
     if method == "per node":
-        out = pernode.evaluate(g, path)
-        return out.filter(" AND ".join([f"{c} = '{v}'" for c, v in (("s", s), ("o", o)) if v is not None] or ["true"])).count()
+        out = pernode.evaluate(g, path, o=o)
+        return (out if s is None else out.filter(F.col("s") == s)).count()
     return alp.evaluate(g, path, s, o).count()
 
 
