@@ -156,7 +156,7 @@ class Search:
         return found // v, found % v
 
 
-def evaluate_local(spark: SparkSession, rows: pa.Table, tables: Tables, origins: DataFrame | None, backward: bool, arrive=None, useful: np.ndarray | None = None, chunk: int | None = None, limit: int | None = None, timeout_s: float | None = None) -> DataFrame:
+def evaluate_local(spark: SparkSession, rows: pa.Table, tables: Tables, origins: DataFrame | None, backward: bool, arrive=None, useful: np.ndarray | None = None, chunk: int | None = None, limit: int | None = None, timeout_s: float | None = None, visit: str = "bfs") -> DataFrame:
     """(origin, node) reached from each origin; the expression's empty path is not included.
 
     ``origins``: (node); None: every node that may start. Backward searches start in the
@@ -196,7 +196,7 @@ def evaluate_local(spark: SparkSession, rows: pa.Table, tables: Tables, origins:
                 if left is not None and left <= 0:
                     return
                 at = np.array([k for _, k in part], np.int64)
-                o, n = search.run(np.arange(len(part)), at, np.full(len(part), start, np.int64), report)
+                o, n = search.run(np.arange(len(part)), at, np.full(len(part), start, np.int64), report, order=visit)
                 left = None if left is None else left - len(o)
                 names = np.array([x for x, _ in part], object)
                 for j in range(0, len(o), 100_000):

@@ -25,6 +25,10 @@ class RpqOptions:
     timeout_s: float | None = None
     #: auto, forward (from s), backward (from o).
     direction: str = "auto"
+    #: The sequence of visits in a task of the kernel: bfs or dfs. The answers are the same.
+    visit: str = "bfs"
+    #: v-to-v on the frontier: split at a label that has so many times fewer edges than the ends; 0: never.
+    rare_times: int = 4
     #: v-to-v: objects or subjects are looked up first.
     order: str = "subjects"
     #: v-to-v: phase two only enters what phase one marked.

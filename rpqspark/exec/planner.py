@@ -16,9 +16,9 @@ from ..automaton import bitparallel
 from ..automaton.bitparallel import Masks
 from ..graph.model import Graph
 from ..lang import patterns, rewrite
-from ..lang.ast import Cat, Expr, text
+from ..lang.ast import Cat, Class, Expr, text
 from ..lang.parser import parse
-from . import backward, fastpaths, kernel, pairs, ring
+from . import backward, fastpaths, kernel, pairs, rare, ring
 from .options import RpqOptions, RunStats
 
 
@@ -54,6 +54,17 @@ def choose_direction(e: Expr, counts: dict[str, int]) -> tuple[str, str]:
     return ("subjects", f"{a} edges against {b}") if a <= b else ("objects", f"{b} edges against {a}")
 
 
+def rare_label(e: Expr, counts: dict[str, int], times: int) -> str | None:
+    """The label of a top-level concatenation at which to split a query with two open ends: it
+    stands there once, forward, and has ``times`` fewer edges than either end would start with."""
+    parts = e.parts if isinstance(e, Cat) else ()
+    plain = [next(iter(p.labels))[0] for p in parts if isinstance(p, Class) and not p.negated and len(p.labels) == 1 and not next(iter(p.labels))[1]]
+    nfa = bitparallel.compile(e).nfa
+    ends = min(sum(counts.get(n, 0) for q in states for n, _ in nfa.positions[q - 1].labels) for states in (nfa.first, nfa.last)) if nfa.positions else 0
+    rare = [x for x in plain if plain.count(x) == 1 and counts.get(x, 0) * times <= ends]
+    return min(rare, key=lambda x: (counts.get(x, 0), x)) if rare else None
+
+
 def _constant(term: str | None) -> str | None:
     return None if patterns.is_variable(term) else term
 
@@ -153,12 +164,16 @@ def _traversed(g: Graph, p: RpqPlan, tables, options: RpqOptions, stats: RunStat
     one = lambda name: spark.createDataFrame([(name,)], "node string")
     if p.s is None and p.o is None:
         if rows is not None:
-            found = kernel.evaluate_local(spark, rows, tables, None, p.start == "objects", _arrive(tables), limit=None if p.same else options.limit, timeout_s=options.timeout_s)
+            found = kernel.evaluate_local(spark, rows, tables, None, p.start == "objects", _arrive(tables), limit=None if p.same else options.limit, timeout_s=options.timeout_s, visit=options.visit)
             s, o = ("node", "origin") if p.start == "objects" else ("origin", "node")
             out = found.select(F.col(s).alias("s"), F.col(o).alias("o"))
             if nullable:
                 out = out.union(g.nodes().select(F.col("node").alias("s"), F.col("node").alias("o"))).distinct()
             return out.filter("s = o").select("s") if p.same else out
+        if options.rare_times and not node_filter and not _arrive(tables) and (label := rare_label(p.expr, g.counts(p.labels), options.rare_times)):
+            stats.extra["split at"] = label
+            out = rare.split_evaluate(g, p.expr, label, options, stats)
+            return out.filter("s = o").select("s") if p.same else out
         order = p.start if not p.expr or not _arrive(tables) else "subjects"
         reversed_tables = bitparallel.compile(rewrite.reverse(p.expr), options.chunk_bits, options.mask_bits) if order == "objects" else tables
         marks = _premarks(g, tables, node_filter)
@@ -173,7 +188,7 @@ def _traversed(g: Graph, p: RpqPlan, tables, options: RpqOptions, stats: RunStat
         return _both_constant(g, p, tables, options, stats, back, node_filter)
     const, column = (p.o, "s") if p.o is not None else (p.s, "o")
     if rows is not None:
-        found = kernel.evaluate_local(spark, rows, tables, one(const), p.o is not None, _arrive(tables), limit=options.limit, timeout_s=options.timeout_s).select(F.col("node").alias(column))
+        found = kernel.evaluate_local(spark, rows, tables, one(const), p.o is not None, _arrive(tables), limit=options.limit, timeout_s=options.timeout_s, visit=options.visit).select(F.col("node").alias(column))
         if nullable:
             found = found.union(g.nodes().filter(F.col("node") == const).select(F.col("node").alias(column))).distinct()
         return found

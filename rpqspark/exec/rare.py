@@ -15,9 +15,9 @@ from . import backward
 from .options import RpqOptions, RunStats
 
 
-def split(path: str, label: str):
+def split(path, label: str):
     """(before, after) of the one place where a top-level concatenation reads the label."""
-    e = simplify(push_inverse(parse(path)))
+    e = simplify(push_inverse(parse(path) if isinstance(path, str) else path))
     parts = e.parts if isinstance(e, Cat) else (e,)
     at = [i for i, p in enumerate(parts) if isinstance(p, Class) and p == sym(label)]
     if len(at) != 1:
@@ -26,7 +26,7 @@ def split(path: str, label: str):
     return join(parts[: at[0]]), join(parts[at[0] + 1 :])
 
 
-def split_evaluate(g: Graph, path: str, label: str, options: RpqOptions = RpqOptions(), stats: RunStats | None = None) -> DataFrame:
+def split_evaluate(g: Graph, path, label: str, options: RpqOptions = RpqOptions(), stats: RunStats | None = None) -> DataFrame:
     """(s, o) of all answers; both runs are keyed by the end of the rare edge."""
     before, after = split(path, label)
     rare = g.edges.filter(F.col("p") == label).select(F.col("s").alias("a"), F.col("o").alias("b"))

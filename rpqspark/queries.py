@@ -344,6 +344,8 @@ def queries() -> dict[str, Query]:
         "rpq_negated": on_graph("pulse", lambda g: planner.evaluate(g, "!(error_3|click_1)/click_1+", o="user:7")),
         "rpq_same_variable": on_graph("flow", lambda g: planner.evaluate(g, "error/click", s="?x", o="?x")),
         "rpq_rare_split": on_graph("web", lambda g: rare.split_evaluate(g, "on_host/parent/parent*", "on_host")),
+        "rpq_rare_auto": on_graph("pulse", lambda g: planner.evaluate(g, "error_3+/signup_2/click_1+", options=dataclasses.replace(FRONTIER, rare_times=1))),
+        "rpq_depth_first": workload("w05", executor="kernel", visit="dfs"),
         "rpq_next_solution": on_graph("web", lambda g: seek.next_solution(g, "on_host/parent*", "s", "page:5", o="host:com")),
         "rpq_pattern_join": on_graph("trade", lambda g: bgp.evaluate(g, [("?c", "lives_in", "nation:3"), ("?o", "placed_by", "?c"), ("?o", "has_part/supplied_by", "?s"), ("?s", "based_in/in_region?", "?r")])),
         "rpq_sql": sql_call,
@@ -418,7 +420,7 @@ def oracle_sql() -> dict[str, str]:
     out = {f"graph_{n}": f"SELECT s, p, o FROM ({sql})" for n, sql in g.items()}
     out |= {f"rpq_{i}": oracle.of(i) for i in QUERIES}
     out |= {f"ring_{i}": oracle.of(i) for i in RING}
-    for name, i in {"rpq_frontier_to": "w02b", "rpq_frontier_from": "w05", "rpq_frontier_pairs": "w13", "rpq_frontier_objects": "w13", "rpq_frontier_wide": "w17", "rpq_frontier_found": "w21", "rpq_frontier_meet": "w21", "rpq_no_fast_path": "w08", "rpq_no_pruning": "w01", "base_product": "w01", "base_materialised": "w05", "base_subset": "w05", "base_epsilon": "w05", "base_operators": "w13", "base_per_node": "w17", "base_per_node_all": "w13", "base_recursive_sql": "w05", "stream_incremental": "w01", "rpq_no_visited": "w17", "rpq_no_range_start": "w13", "rpq_forward": "w21"}.items():
+    for name, i in {"rpq_frontier_to": "w02b", "rpq_frontier_from": "w05", "rpq_frontier_pairs": "w13", "rpq_frontier_objects": "w13", "rpq_frontier_wide": "w17", "rpq_frontier_found": "w21", "rpq_frontier_meet": "w21", "rpq_no_fast_path": "w08", "rpq_no_pruning": "w01", "base_product": "w01", "base_materialised": "w05", "base_subset": "w05", "base_epsilon": "w05", "base_operators": "w13", "base_per_node": "w17", "base_per_node_all": "w13", "base_recursive_sql": "w05", "stream_incremental": "w01", "rpq_no_visited": "w17", "rpq_no_range_start": "w13", "rpq_forward": "w21", "rpq_depth_first": "w05"}.items():
         out[name] = oracle.of(i)
     parent = _pairs("web", "0 parent 1, 1 parent 1", "1")
     out |= {
@@ -438,6 +440,7 @@ def oracle_sql() -> dict[str, str]:
         "rpq_must_pass": "SELECT DISTINCT 'order:' || o_orderkey AS s, 'region:' || n_regionkey AS o FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey WHERE n_nationkey = 3",
         "rpq_negated": oracle.recursion("pulse", "0 click_1 0", "0", None, "user:7", "SELECT DISTINCT a.s FROM g a JOIN g b ON a.o = b.s AND b.p = 'click_1' JOIN reach ON reach.node = b.o WHERE a.p NOT IN ('error_3', 'click_1')"),
         "rpq_same_variable": f"WITH g AS ({g['flow']}) SELECT DISTINCT a.s FROM g a JOIN g b ON a.o = b.s AND b.o = a.s WHERE a.p = 'error' AND b.p = 'click'",
+        "rpq_rare_auto": _pairs("pulse", "0 error_3 1, 1 error_3 1, 1 signup_2 2, 2 click_1 3, 3 click_1 3", "3"),
         "rpq_rare_split": _pairs("web", "0 on_host 1, 1 parent 2, 2 parent 2", "2"),
         "rpq_next_solution": _pairs("web", "0 on_host 1, 1 parent 1", "1", "SELECT min(origin) AS value", where="AND node = 'host:com' AND origin >= 'page:5'"),
         "rpq_pattern_join": f"""WITH g AS ({g['trade']}), based AS (SELECT s, o FROM g WHERE p = 'based_in'),

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import functools
+
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import udf, udtf
 from pyspark.sql.types import BooleanType, IntegerType, StringType, StructType
@@ -39,7 +41,7 @@ class RpqLocal:
     """Answers on a tiny graph that a row carries, as arrays of sources, labels and targets."""
 
     def eval(self, s: list, p: list, o: list, path: str):
-        n = position.build(parse(path))
+        n = _automaton(path)
         edges = list(zip(s or (), p or (), o or ()))
         for x in sorted({v for a, _, b in edges for v in (a, b)}):
             seen, todo = {(x, 0)}, [(x, 0)]
@@ -57,12 +59,17 @@ class RpqLocal:
                 yield x, v
 
 
+@functools.lru_cache(256)
+def _automaton(path: str) -> position.PositionNFA:
+    return position.build(parse(path))
+
+
 @udf(BooleanType(), useArrow=True)
 def rpq_accepts(word, path):
     """Whether a list of forward labels spells a word of the path."""
     if word is None or path is None:
         return None
-    return position.build(parse(path)).accepts([(w, False) for w in word])
+    return _automaton(path).accepts([(w, False) for w in word])
 
 
 def register(spark: SparkSession) -> None:

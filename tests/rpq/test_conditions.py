@@ -155,3 +155,11 @@ def test_recursion_grows_until_nothing_is_new(spark):
     assert rcte.evaluate(chain, "a+", "n0").count() == 10
     with pytest.raises(ValueError):
         rcte.evaluate(chain, "a+", "n0", max_depth=6)
+
+
+def test_rare_labels():
+    counts = {"a": 100, "b": 90, "r": 5, "q": 4}
+    pick = lambda path, times=4: planner.rare_label(parse(path), counts, times)
+    assert pick("a+/r/b+") == "r" and pick("a+/r/q/b+") == "q"
+    assert pick("a+/r/r/b+") is None and pick("a+/^r/b+") is None and pick("r/b+") is None
+    assert pick("a+/r/b+", 40) is None and pick("(a/r)+") is None
