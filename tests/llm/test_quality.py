@@ -97,3 +97,70 @@ def test_text_view_equals_a_plain_form():
     one_by_one = [quality.text_rows([t]) for t in texts]
     assert np.concatenate([r.slots for r in one_by_one]).tolist() == whole.slots.tolist()
     assert quality.text_rows([]).dense.shape == (0, quality.MEASURES)
+
+
+def plain_lent(past, rows, confident):
+    """Labels lent to each head and view, row by row: the first round of which the other view is sure."""
+    out = []
+    for pairs in past:
+        for v in range(2):
+            own = []
+            for i in range(len(rows[0].ends)):
+                label = None
+                for pair in pairs:
+                    p = 1 / (1 + np.exp(-pair[1 - v].calibrated(rows[1 - v].take(np.array([i])))[0]))
+                    if label is None and (p >= confident or p <= 1 - confident):
+                        label = float(p >= 0.5)
+                own.append(label)
+            out.append(own)
+    return out
+
+
+def test_exchange_of_labels_equals_a_plain_form(spark):
+    """What executors lend and add up for a round, against one process that goes row by row."""
+    from rpqspark.llm import common
+
+    rows, labels = corpus(n=400, seed=5)
+    rows = [(*r[:3], "bad" if q == 0 else r[3], r[4]) for r, (_, q, _) in zip(rows, labels)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").repartition(3)
+    known = spark.createDataFrame([(i, q, t) for i, q, t in labels[:150]], "doc_id long, quality int, toxic int")
+    store = common.Stage(spark, "test").save(quality.features(docs, known), "features")
+    t = store.filter("own").toArrow().sort_by("doc_id").combine_chunks()
+    views = quality._unpacked(*(t.column(c).combine_chunks() for c in ("slots", "measures", "meta")))
+    y = 1.0 - np.array(t.column("quality").to_pylist(), float)
+    own = [quality._Labelled(views, y)]
+    past = [[own[0].first()]]
+    free = store.filter("NOT own").select("slots", "measures", "meta")
+    local = free.toArrow().combine_chunks()
+    all_rows = quality._unpacked(*(c.combine_chunks() for c in local.columns))
+    want = plain_lent(past, all_rows, 0.9)
+    got = quality._lent(past, all_rows, 0.9)
+    assert [[None if np.isnan(x) else x for x in r] for r in got.tolist()] == want and sum(x is not None for x in want[0]) > 50
+    sums = quality._summed(free, {0: 2 * (1 << quality.WORD_BITS) + 2 * quality.MEASURES + 2}, lambda b: (lambda r, l: {0: quality._counts(r[0].take(at), l[0][at], 1 << quality.WORD_BITS) for at in [np.flatnonzero(~np.isnan(l[0]))]})(r := quality._unpacked(*b.columns), quality._lent(past, r, 0.9)))
+    at = [i for i, x in enumerate(want[0]) if x is not None]
+    seen, bad = np.zeros(1 << quality.WORD_BITS), np.zeros(1 << quality.WORD_BITS)
+    for i in at:
+        slots = all_rows[0].take(np.array([i])).slots
+        seen[slots] += 1
+        bad[slots] += want[0][i]
+    m = 1 << quality.WORD_BITS
+    assert (sums[0][:m] == seen).all() and (sums[0][m : 2 * m] == bad).all()
+    assert sums[0][-2] == len(at) and sums[0][-1] == sum(want[0][i] for i in at)
+
+
+def test_slope_is_the_slope():
+    rng = np.random.default_rng(3)
+    rows = quality.Rows.of([rng.choice(50, 6, replace=False) for _ in range(40)], rng.standard_normal((40, 3)))
+    y = rng.integers(0, 2, 40).astype(float)
+    names = np.arange(0, 50, 2)
+    point = quality.Point(6, names, np.zeros(3), np.ones(3), rng.standard_normal(len(names) + 4) * 0.1)
+    g = point.slope(rows, y)
+    for i in range(len(point.at)):
+        at = point.at.copy()
+        losses = []
+        for step in (1e-5, -1e-5):
+            point.at = at.copy()
+            point.at[i] += step
+            losses.append(point.slope(rows, y)[-1])
+        point.at = at
+        assert abs((losses[0] - losses[1]) / 2e-5 - g[i]) < 1e-4
