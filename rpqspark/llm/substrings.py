@@ -43,20 +43,38 @@ class Node:
         self.depth, self.children, self.ends = depth, {}, []
 
 
-class Subtree:
+class Subtree(anchors.Sorted):
     """The suffix tree of the suffixes of one prefix group.
 
     An edge is named by its first word and holds (node below, suffix that spells it); the
-    words between two depths are read from that suffix. ``repeats`` lists the inner nodes:
-    depth and suffixes below, two or more.
+    words between two depths are read from that suffix. The leaves in the order of a walk,
+    each with the depth of the inner node that joins it with the one before, say which suffixes
+    lie below a node of some depth. ``repeats`` lists the inner nodes themselves.
     """
 
     def __init__(self, suffixes: list[list[bytes]]):
         self.suffixes, self.root = suffixes, Node(0)
         for i, s in enumerate(suffixes):
             self._add(i, s)
-        self.repeats = [(node.depth, below) for node, below in self._below() if len(below) > 1]
-        self.depths = np.array(sorted({d for d, _ in self.repeats} | {0}), np.int64)
+        super().__init__(*self._walk())
+
+    @property
+    def repeats(self) -> list[tuple[int, list[int]]]:
+        """Depth and suffixes, two or more, of every inner node, children before parents."""
+        return [(node.depth, below) for node, below in self._below() if len(below) > 1]
+
+    def _walk(self) -> tuple[list[int], list[int]]:
+        order, joined, stack = [], [], [(self.root, -1)]
+        while stack:
+            node, by = stack.pop()
+            for i in node.ends:
+                order.append(i)
+                joined.append(by)
+                by = node.depth
+            children = [child for child, _ in node.children.values()]
+            stack += [(child, node.depth) for child in children[:0:-1]]
+            stack += [(child, by) for child in children[:1]]
+        return order, joined
 
     def _add(self, i: int, s: list[bytes]) -> None:
         node, at = self.root, 0
@@ -96,22 +114,6 @@ class Subtree:
             out.append((node, below))
         return out
 
-    def classes(self, depth: int) -> np.ndarray:
-        """A number for each suffix: equal where a node of this depth or deeper holds both."""
-        out = np.arange(len(self.suffixes), dtype=np.int64)
-        # Deepest first: a shallower node that still counts joins what lies below it.
-        for d, below in self.repeats:
-            if d >= depth:
-                out[below] = below[0]
-        return out
-
-    def between(self) -> np.ndarray:
-        """Common prefix of each two: the depth of the deepest inner node over both."""
-        out = np.zeros((len(self.suffixes),) * 2, np.int64)
-        for d, below in reversed(self.repeats):
-            out[np.ix_(below, below)] = d
-        return out
-
 
 def _same_words(a: list[bytes], b: list[bytes]) -> int:
     n = min(len(a), len(b))
