@@ -53,8 +53,8 @@ class Store:
             Store.live.remove(self)
 
 
-def release(spark: SparkSession, keep: tuple[str, ...] = ("graph",)) -> int:
-    """Deletes the tables of past evaluations, whose answers were read; stored graphs stay. Gives their number."""
+def release(spark: SparkSession, keep: tuple[str, ...] = ("graph", "cyclic", "encode", "levels", "incremental")) -> int:
+    """Deletes the tables of past evaluations, whose answers were read; stored graphs, indexes and running streams stay. Gives their number."""
     done = [s for s in Store.live if s.spark is spark and not s.root.rsplit("/", 1)[1].startswith(keep)]
     for s in done:
         s.drop()
