@@ -65,7 +65,7 @@ class Graph:
         pruned by folder, the node table, and the label counts."""
         from ..exec.store import Store
 
-        store = Store(self.spark, name)
+        store = Store(self.spark, f"graph_{name}")
         self.edges.hint("rebalance", "p").write.partitionBy("p").parquet(store.path("edges"))
         edges = self.spark.read.schema("s string, o string, p string").parquet(store.path("edges")).select("s", "p", "o")
         nodes = store.save(Graph(edges).nodes(), "nodes")
