@@ -210,7 +210,8 @@ def style_tree(pages: DataFrame) -> DataFrame:
                 yield common.batch(schema, *zip(*rows))
 
     seen = common.columns(pages, ["url", "html"]).mapInArrow(work, "host string, node long, kind byte, shown long, page long").distinct()
-    counted = seen.groupBy("host", "node", "kind", "shown").agg(F.count("*").alias("c"))
+    # Written, as both the nodes and the numbers of pages are taken from it.
+    counted = common.Stage(pages.sparkSession, "pages").save(seen.groupBy("host", "node", "kind", "shown").agg(F.count("*").alias("c")), "counted")
     nodes = counted.filter(F.col("kind") != PAGE_OF).groupBy("host", "node").agg(
         *[F.sum(F.when(F.col("kind") == k, F.col("c") * F.log("c"))).alias(f"spread{k}") for k in (BLOCK_OF, STYLE_OF)],
         *[F.sum(F.when(F.col("kind") == k, F.col("c"))).alias(f"n{k}") for k in (BLOCK_OF, STYLE_OF)],
