@@ -1,10 +1,10 @@
 """What both searches share: vectors in blocks, queries against all blocks, the best of each.
 
 Vectors travel as packed blocks of bounded size. Queries are packed likewise, and
-each block of queries meets every block of vectors by an equi-join on a number
-that blocks of vectors carry once for each block of queries; nothing that grows
-with the table is broadcast or collected. A pair of blocks gives at most k rows a
-query, and a ranking over those picks the k best.
+each block of queries is copied to every part of the shuffled vectors, in which it meets
+their blocks; nothing that grows with the table is broadcast or collected, and a task holds
+a bounded group of queries. A pair of blocks gives at most k rows a query, and a ranking over those
+picks the k best.
 
 Vectors that are null, of another length than the query, or that hold a null or
 a non-finite component take no part, nor do rows without an id. Repeated rows
@@ -17,13 +17,14 @@ from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import common
 
 BLOCK_VECTORS, BLOCK_QUERIES = 2048, 256
+#: Copies of the queries at most (they are a fiftieth of the vectors, or less), and their bytes that a task holds.
+COPIES, HELD = 50, 64 << 20
 _BLOCK = pa.schema([("dim", pa.int32()), ("first", pa.int64()), ("ids", pa.binary()), ("vectors", pa.binary()), ("extreme", pa.float64())])
 BLOCK = "dim int, first long, ids binary, vectors binary, extreme double"
 
@@ -81,32 +82,44 @@ def met(rows: DataFrame, asked: DataFrame, nearest: bool, prepare: Callable, fin
     meets in a task; ``find(prepared, query ids, query vectors)`` gives arrays (query id, vec_id,
     score, approx); the score is exact or null, approx orders scores that are null.
     ``reach``: only pairs meet whose block has an extreme as large as that of the query block.
+
+    Both sides are dealt to the same parts by number: a block of vectors to one turn, a block of
+    queries to all turns. Queries of more than ``HELD`` bytes are dealt into groups,
+    each of which every block of vectors meets in a part of its own.
     """
     spark = rows.sparkSession
-    turns = common.partitions(spark)
+    turns = min(common.partitions(spark), COPIES)
     common.small_batches(spark, 4096)
-    turn = F.pmod(F.xxhash64("first", "dim"), F.lit(turns))
-    each = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(turns - 1).cast("long"))).alias("turn")
-    asked = asked.select(each, "dim", F.col("ids").alias("q_ids"), F.col("vectors").alias("q_vectors"), F.col("extreme").alias("q_extreme"))
-    own = blocks(rows, BLOCK_VECTORS).withColumn("turn", turn).join(asked, ["turn", "dim"])
-    if reach:
-        # The margin only lets more pairs meet: lengths are rounded.
-        own = own.filter(F.col("extreme") * (1 + 1e-9) + 1e-6 >= F.col("q_extreme"))
+    size = asked.agg(F.sum(F.length("vectors"))).first()[0] or 0
+    groups = -(-size // HELD) or 1
+    whole = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    row = F.monotonically_increasing_id()
+    # Blocks follow each other in a partition, so that turns and groups are dealt evenly.
+    dealt = lambda n: F.pmod(F.shiftright(row, 33) + row.bitwiseAND(F.lit((1 << 33) - 1)), F.lit(n)).cast("int")
+    names = ["part", "own", "dim", "ids", "vectors", "extreme"]
+    own = blocks(rows, BLOCK_VECTORS).withColumn("turn", dealt(turns)).withColumn("group", whole(groups))
+    asked = asked.withColumn("group", dealt(groups)).withColumn("turn", whole(turns))
+    own, asked = (x.withColumns({"part": F.col("turn") * groups + F.col("group"), "own": F.lit(k)}).select(names) for k, x in ((True, own), (False, asked)))
+    parts = asked.unionByName(own).repartitionById(turns * groups, F.col("part")).sortWithinPartitions("own")
     kind = "double" if nearest else "long"
     schema = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64() if nearest else pa.int64()), ("approx", pa.float64())])
 
     def work(batches):
-        last, prepared = None, None
+        held: list = []
         for b in batches:
-            for dim, *packed in zip(*b.columns):
-                dim, (ids, vectors, q_ids, q_vectors) = dim.as_py(), (x.as_buffer() for x in packed)
-                unpack = lambda i, v: (np.frombuffer(i, np.int64), np.frombuffer(v).reshape(-1, dim))
-                # The pairs of a block follow each other, as it is the streamed side of the join.
-                if last != (own_key := (dim, ids.size, xxhash.xxh64_intdigest(ids))):
-                    last, prepared = own_key, prepare(*unpack(ids, vectors))
-                yield common.batch(schema, *find(prepared, *unpack(q_ids, q_vectors)))
-
-    return own.select("dim", "ids", "vectors", "q_ids", "q_vectors").mapInArrow(work, f"query_id long, vec_id long, score {kind}, approx double")
+            for mine, dim, ids, packed, extreme in zip(*b.columns):
+                dim, extreme = dim.as_py(), extreme.as_py()
+                ids, at = np.frombuffer(ids.as_py(), np.int64), np.frombuffer(packed.as_py()).reshape(-1, dim)
+                if not mine.as_py():
+                    held.append((dim, ids, at, extreme))
+                    continue
+                # The margin only lets more pairs meet: lengths are rounded.
+                meets = [(i, v) for d, i, v, x in held if d == dim and (not reach or extreme * (1 + 1e-9) + 1e-6 >= x)]
+                prepared = prepare(ids, at) if meets else None
+                for i, v in meets:
+                    yield common.batch(schema, *find(prepared, i, v))
+
+    return parts.select(names[1:]).mapInArrow(work, f"query_id long, vec_id long, score {kind}, approx double")
 
 
 def ranked(found: DataFrame, k: int, nearest: bool, *more: str) -> DataFrame:

@@ -120,3 +120,31 @@ def test_recall_on_the_given_vectors(spark, sf_dir):
         near = [i for i in ids[np.lexsort((ids, d))].tolist() if i != q][:10]
         hits, total = hits + len(found & set(near)), total + 10
     assert hits >= 0.9 * total
+
+
+@pytest.mark.parametrize("search", [neighbours.nearest])
+def test_copies_of_queries_do_not_grow_with_the_partitions(spark, search):
+    """However many partitions a shuffle has, queries are copied a bounded number of times, and not by way of the driver."""
+    was = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "600")
+    try:
+        plan = search(table(spark, made(n=400, dim=4)))._jdf.queryExecution().toString()
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", was)
+    assert "BroadcastExchange" not in plan and "Join" not in plan
+
+
+def test_groups_of_queries_are_exact(spark, monkeypatch):
+    """Queries beyond what a task holds meet every block in groups."""
+    vectors = products.vectors
+    x = np.random.default_rng(5).standard_normal((640, 8)).astype(np.float32)
+    want = [sorted(tuple(r) for r in f(table(spark, x.tolist()), every=4).collect()) for f in (neighbours.nearest, products.largest)]
+    monkeypatch.setattr(vectors, "HELD", 3000)
+    monkeypatch.setattr(vectors, "BLOCK_QUERIES", 10)
+    monkeypatch.setattr(vectors, "BLOCK_VECTORS", 50)
+    monkeypatch.setattr(vectors, "COPIES", 3)
+    assert sorted(tuple(r) for r in products.largest(table(spark, x.tolist()), every=4).collect()) == want[1]
+    got = sorted(tuple(r) for r in neighbours.nearest(table(spark, x.tolist()), every=4).collect())
+    d = {(q, i): float(np.sqrt(((x[q].astype(float) - x[i].astype(float)) ** 2).sum())) for q, _, i, _ in got}
+    assert len(got) == len(want[0]) and all(s == pytest.approx(d[q, i], abs=1e-12) for q, _, i, s in got)
+    assert len({r[:3:2] for r in got} & {r[:3:2] for r in want[0]}) >= 0.9 * len(got)
