@@ -122,7 +122,7 @@ def test_recall_on_the_given_vectors(spark, sf_dir):
     assert hits >= 0.9 * total
 
 
-@pytest.mark.parametrize("search", [neighbours.nearest])
+@pytest.mark.parametrize("search", [neighbours.nearest, products.largest])
 def test_copies_of_queries_do_not_grow_with_the_partitions(spark, search):
     """However many partitions a shuffle has, queries are copied a bounded number of times, and not by way of the driver."""
     was = spark.conf.get("spark.sql.shuffle.partitions")
