@@ -4,6 +4,7 @@ from rpqspark.baselines import product
 from rpqspark.exec import planner
 from rpqspark.exec.options import RpqOptions, RunStats
 from rpqspark.graph import sources
+from rpqspark.graph.model import Graph
 from rpqspark.metrics import bench, check, cost
 from rpqspark.workload import log
 from rpqspark.workload.table1 import FREQUENCIES
@@ -40,3 +41,11 @@ def test_synthetic_log(spark, sf_dir):
     assert made == log.generate(graphs, 60) and len({m[0].split(".")[0] for m in made}) >= len(FREQUENCIES)
     runs = log.run(spark, graphs, [m for m in made if m[1] == "chat"][:2])
     assert runs.filter("seconds > 0").count() == runs.count() > 0
+
+
+def test_product_size_from_an_object_counts_every_state(spark):
+    """x -> y -> z by one label and plus: backward from z both states of x and y, and the final one of z."""
+    g = Graph.of(spark.createDataFrame([("x", "a", "y"), ("y", "a", "z")], "s string, p string, o string"))
+    size = cost.product_size(g, "a+", o="z").first()
+    assert (size.product_nodes, size.product_edges) == (5, 4)
+    assert cost.product_size(g, "a+", s="x").first().product_nodes == 3
