@@ -148,3 +148,53 @@ def test_groups_of_queries_are_exact(spark, monkeypatch):
     d = {(q, i): float(np.sqrt(((x[q].astype(float) - x[i].astype(float)) ** 2).sum())) for q, _, i, _ in got}
     assert len(got) == len(want[0]) and all(s == pytest.approx(d[q, i], abs=1e-12) for q, _, i, s in got)
     assert len({r[:3:2] for r in got} & {r[:3:2] for r in want[0]}) >= 0.9 * len(got)
+
+
+def exact(x, every, k=5):
+    whole, want = [[math.floor(256 * float(a)) for a in v] for v in x], []
+    for q in range(0, len(x), every):
+        s = sorted((-sum(a * b for a, b in zip(whole[q], v)), i) for i, v in enumerate(whole) if i != q)[:k]
+        want += [(q, n + 1, i, -p) for n, (p, i) in enumerate(s)]
+    return sorted(want)
+
+
+def test_copies_and_blocks_do_not_multiply_what_is_found(spark, monkeypatch):
+    """A task gives k rows a query, however many blocks it meets, and of equal vectors only as many are met as can be among the best."""
+    vectors, inner, met = products.vectors, products.vectors.met, []
+    x = np.random.default_rng(9).standard_normal((60, 8)).astype(np.float32)
+    x = np.concatenate([x] * 15 + [x[:1]] * 300)
+
+    def spy(rows, asked, nearest, prepare, find, reach=False):
+        out = inner(rows, asked, nearest, prepare, find, reach)
+        met.append((rows.count(), out.count()))
+        return out
+
+    monkeypatch.setattr(vectors, "met", spy)
+    monkeypatch.setattr(vectors, "BLOCK_VECTORS", 8)
+    monkeypatch.setattr(vectors, "COPIES", 2)
+    got = sorted(tuple(r) for r in products.largest(table(spark, x.tolist()), every=50).collect())
+    assert got == exact(x, 50)
+    assert sum(n for n, _ in met) <= 60 * 6 and all(found <= 24 * 5 * 2 for _, found in met)
+
+
+@pytest.mark.parametrize("scale", [1, 30, 300, 1e5, 1e6])
+def test_products_of_every_size_are_exact(spark, scale):
+    """Whole numbers of two bytes and more, sums that single precision, double precision or neither holds."""
+    x = np.random.default_rng(10).standard_normal((300, 6)).astype(np.float32)
+    x[::3] *= np.float32(scale)
+    assert sorted(tuple(r) for r in products.largest(table(spark, x.tolist()), every=20).collect()) == exact(x, 20)
+
+
+def test_buckets_far_in_a_coordinate_are_left_out():
+    rng = np.random.default_rng(11)
+    centre = rng.standard_normal((8, 32))
+    centre *= 500 / np.linalg.norm(centre, axis=1, keepdims=True)
+    base = np.floor(np.repeat(centre, 256, axis=0) + rng.standard_normal((2048, 32)))
+    queries = np.floor(centre[:1] + rng.standard_normal((20, 32)))
+    search, ids = products.Search(5), np.arange(2048)
+    best, seen, inner = search.start(np.arange(3000, 3020), queries), [], search._products
+    search.meet(products.Buckets(ids[:256], base[:256]), best)
+    best.rank()
+    search._products = lambda b, i, *rest: (seen.append(len(i)), inner(b, i, *rest))
+    search.meet(products.Buckets(ids, base), best)
+    assert seen == [256]
