@@ -51,6 +51,8 @@ def headed(vectors: np.ndarray) -> pa.Array:
 
 def _split(column: pa.Array):
     """(form, places, vectors) of the vectors of each form and length in a batch; lists hold doubles, binaries are ``headed``."""
+    if not len(column):
+        return
     if pa.types.is_binary(column.type):
         ends = np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + len(column) + 1]
         flat, starts, sizes = np.frombuffer(column.buffers()[2] or b"", np.uint8), ends[:-1], np.diff(ends)
