@@ -1,5 +1,6 @@
 """Measures, logs and counters."""
 
+from rpqspark import queries
 from rpqspark.baselines import product
 from rpqspark.exec import planner
 from rpqspark.exec.options import RpqOptions, RunStats
@@ -49,3 +50,24 @@ def test_product_size_from_an_object_counts_every_state(spark):
     size = cost.product_size(g, "a+", o="z").first()
     assert (size.product_nodes, size.product_edges) == (5, 4)
     assert cost.product_size(g, "a+", s="x").first().product_nodes == 3
+
+
+def test_the_index_is_searched_beyond_one_shard(spark):
+    """A graph over one shard is searched on the index of the path's labels, or in rounds over many shards; the answers are the same."""
+    rows = [(f"n{i}", "ab"[i % 3 == 0], f"n{(i * 7 + j) % 40}") for i in range(40) for j in range(2)] + [(f"n{i}", "c", f"m{i}") for i in range(40)]
+    g = Graph.of(spark.createDataFrame(rows, "s string, p string, o string")).stored("shards")
+    for path, s, o in (("a/b", None, None), ("a*/b", None, "n3"), ("^b/a+", "n3", None), ("(a|b)*", "m1", None), ("a/^a", "n1", "n2"), ("b*", None, None)):
+        wanted = planner.evaluate(g, path, s, o)
+        wanted = sorted(map(tuple, wanted.collect()))
+        for most in (100, 5):
+            stats = RunStats()
+            got = planner.evaluate(g, path, s, o, RpqOptions(executor="ring", kernel_edges=most, index_only=True), stats=stats)
+            assert sorted(map(tuple, got.collect())) == wanted, (path, most)
+            assert (stats.rounds > 0) == (most == 5), (path, most)
+
+
+def test_a_timed_log_has_no_limits(spark, sf_dir, monkeypatch):
+    asked = []
+    monkeypatch.setattr(log, "_run", lambda g, method, s, path, o, options: asked.append(options) or 1)
+    assert queries.timed_log(spark, sf_dir).first().queries == 20
+    assert len(asked) == 40 and all(o.limit is None and o.timeout_s is None and o.index_only for o in asked)
